@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from gridsparse.llm import bpe
+from gridsparse.llm import bpe, language, toxicity
 
 QUERIES = {
     "op2_byte_bpe": bpe.op2_byte_bpe,
+    "op7_toxicity": toxicity.op7_toxicity,
+    "op9_language": language.op9_language,
 }
 ORACLE_SQL: dict[str, str] = {}
