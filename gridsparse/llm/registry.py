@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from gridsparse.llm import bpe, language, toxicity
+from gridsparse.llm import bpe, language, pii, toxicity
 
 QUERIES = {
     "op2_byte_bpe": bpe.op2_byte_bpe,
     "op7_toxicity": toxicity.op7_toxicity,
+    "op8_pii": pii.op8_pii,
     "op9_language": language.op9_language,
 }
 ORACLE_SQL: dict[str, str] = {}
