@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from gridsparse.llm import bpe, language, pii, toxicity
+from gridsparse.llm import bpe, language, media, pii, toxicity
 
 QUERIES = {
     "op2_byte_bpe": bpe.op2_byte_bpe,
+    "op3_media": media.op3_media,
     "op7_toxicity": toxicity.op7_toxicity,
     "op8_pii": pii.op8_pii,
     "op9_language": language.op9_language,
