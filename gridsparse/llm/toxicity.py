@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from gridsparse.llm import common
 
-PER_CLASS = 3000
+PER_CLASS = 800
 PREFIXES = (3, 4, 5, 6, 7, 8)
 BUCKETS = 1 << 20
 WINDOW = 24
@@ -156,17 +156,19 @@ def fit(texts: list[str | None], toxic: list[int], share: float) -> Field:
     buckets = prefix_buckets(data, starts, ends)
     bad = y[row]
     inside, outside = (np.bincount(buckets[side].ravel(), minlength=BUCKETS) for side in (bad, ~bad))
-    seen = np.bincount(np.unique(row[bad][:, None] * np.int64(BUCKETS) + buckets[bad]) % BUCKETS, minlength=BUCKETS)
+    seen = np.zeros(BUCKETS, np.int32)  # toxic documents with the prefix
+    for r in np.flatnonzero(y):
+        seen[np.unique(buckets[word_offsets[r] : word_offsets[r + 1]])] += 1
     odds = np.log((inside + 0.5) / (bad.sum() + 1)) - np.log((outside + 0.5) / ((~bad).sum() + 1))
     telling = (odds > 1.5) & (seen >= max(3, 0.002 * y.sum()))
     telling[0] = False
-    ids = np.full(BUCKETS, -1)
+    ids = np.full(BUCKETS, -1, np.int32)
     ids[np.flatnonzero(telling)] = np.arange(telling.sum())
     local = ids[buckets]
     active = (local >= 0).any(axis=1)
     if not active.any():
         return empty
-    tag = active & bad & (np.where(local >= 0, odds[buckets], 0).max(axis=1) > 2.0)
+    tag = active & bad & (np.where(local >= 0, odds.astype(np.float32)[buckets], np.float32(0)).max(axis=1) > 2.0)
     weights, bias, trans = _fit_chain(local, active, tag, word_offsets, row, int(telling.sum()))
     dense = np.zeros(BUCKETS, np.float32)
     dense[np.flatnonzero(telling)] = weights
