@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from gridsparse.llm import bpe, language, media, pii, toxicity
+from gridsparse.llm import bpe, language, media, mixing, pii, toxicity
 
 QUERIES = {
+    "op1_mixing": mixing.op1_mixing,
     "op2_byte_bpe": bpe.op2_byte_bpe,
     "op3_media": media.op3_media,
     "op7_toxicity": toxicity.op7_toxicity,

@@ -10,8 +10,8 @@ of them is one matrix power and exact forward-backward visits the others only.
 A document's score is a logistic function of its marginals' sum, density and
 maximum.
 
-Fitting reads at most ``PER_CLASS`` labelled training documents of each class
-(those of least id hash); scoring reads every text whole.  Null and empty texts
+Fitting reads at most ``PER_CLASS`` labelled training documents (those of least
+id hash); scoring reads every text whole.  Null and empty texts
 have no tokens and get the score of zero evidence; without labelled training
 rows of both classes every score is the share of toxic training labels (0 if
 none).  Rows repeat as in the input.
@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from gridsparse.llm import common
 
-PER_CLASS = 800
+PER_CLASS = (2000, 1000)  # documents without and with the label
 PREFIXES = (3, 4, 5, 6, 7, 8)
 BUCKETS = 1 << 20
 WINDOW = 24
@@ -164,11 +164,12 @@ def fit(texts: list[str | None], toxic: list[int], share: float) -> Field:
     telling[0] = False
     ids = np.full(BUCKETS, -1, np.int32)
     ids[np.flatnonzero(telling)] = np.arange(telling.sum())
-    local = ids[buckets]
+    strong = telling & (odds > 2.0)
+    local, tag = ids[buckets], bad.copy()
     active = (local >= 0).any(axis=1)
     if not active.any():
         return empty
-    tag = active & bad & (np.where(local >= 0, odds.astype(np.float32)[buckets], np.float32(0)).max(axis=1) > 2.0)
+    tag[tag] = strong[buckets[tag]].any(axis=1)
     weights, bias, trans = _fit_chain(local, active, tag, word_offsets, row, int(telling.sum()))
     dense = np.zeros(BUCKETS, np.float32)
     dense[np.flatnonzero(telling)] = weights
@@ -243,15 +244,15 @@ def _fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int
     return beta
 
 
-def fit_from_labels(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Field:
-    """Fit on up to ``per_class`` documents of each class among the rows that may be learned from."""
+def fit_from_labels(docs: DataFrame, labels: DataFrame, per_class: tuple[int, int] = PER_CLASS) -> Field:
+    """Fit on up to ``per_class`` documents of either class among the rows that may be learned from."""
     known = labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     known = known.where(common.crc_bucket("doc_id", 4) != 2)
     counts = {int(r["toxic"]): r["n"] for r in known.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     share = counts.get(1, 0) / max(1, sum(counts.values()))
     chosen = None
     for side in (0, 1):
-        part = known.where(F.col("toxic") == side).orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_class)
+        part = known.where(F.col("toxic") == side).orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_class[side])
         chosen = part if chosen is None else chosen.unionAll(part)
     texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])
     rows = sorted((r["doc_id"], r["text"], r["toxic"]) for r in texts.where(F.col("text").isNotNull()).collect())
