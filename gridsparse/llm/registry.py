@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from gridsparse.llm import bpe, language, media, mixing, pii, toxicity
+from gridsparse.llm import bpe, language, media, mixing, neardup, pii, toxicity
 
 QUERIES = {
     "op1_mixing": mixing.op1_mixing,
     "op2_byte_bpe": bpe.op2_byte_bpe,
     "op3_media": media.op3_media,
+    "op6_neardup": neardup.op6_neardup,
     "op7_toxicity": toxicity.op7_toxicity,
     "op8_pii": pii.op8_pii,
     "op9_language": language.op9_language,
