@@ -126,12 +126,13 @@ def fit(texts: list[str], languages: list[str]) -> Codebook | None:
 
 def fit_from_documents(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Codebook | None:
     """Fit on about ``per_language`` learnable documents of each language, drawn by id hash."""
-    known = docs.select("doc_id", "text", "lang").where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (common.crc_bucket("doc_id", 3) != 1))
+    known = docs.select("doc_id", "lang").where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & (common.crc_bucket("doc_id", 3) != 1))
     counts = known.groupBy("lang").agg(F.count("*").alias("n"))
     counts = counts.select(F.col("lang").alias("of_lang"), (F.lit(per_language) / F.col("n")).alias("rate"))
     draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(9)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    rows = known.join(counts, F.col("lang") == F.col("of_lang")).where(draw < F.col("rate")).select("doc_id", "text", "lang").collect()
-    rows = sorted((r["doc_id"] if r["doc_id"] is not None else -1, r["lang"], r["text"]) for r in rows)
+    chosen = known.join(counts, F.col("lang") == F.col("of_lang")).where(draw < F.col("rate")).select("doc_id", "lang").distinct()
+    rows = docs.select("doc_id", "text", "lang").where(F.col("text").isNotNull()).join(F.broadcast(chosen), ["doc_id", "lang"]).collect()
+    rows = sorted((r["doc_id"], r["lang"], r["text"]) for r in rows)
     return fit([r[2] for r in rows], [r[1] for r in rows])
 
 
