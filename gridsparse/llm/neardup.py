@@ -250,3 +250,16 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
 def op6_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All documents, three-word shingles, links at 85 per cent."""
     return link(common.read_table(spark, sf_dir, "documents"), width=3, percent=85)
+
+
+def deduplicate(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """``docs`` with one document of each component: that of the least id, once."""
+    links = common.materialize(link(docs, width, percent), "linked")
+    gone = common.materialize(links.where(~F.col("kept")).select("doc_id").distinct(), "gone")
+    out = docs.join(bounded(gone), "doc_id", "left_anti").select(docs.columns)
+    repeated = links.where("kept AND doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    repeated = common.materialize(repeated, "repeated")
+    if repeated.head(1):
+        again = out.join(bounded(repeated), "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"])
+        out = out.join(bounded(repeated), "doc_id", "left_anti").select(docs.columns).unionByName(again)
+    return out

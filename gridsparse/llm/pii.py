@@ -192,6 +192,7 @@ def redact(text: str, spans: list[Span]) -> str:
     return "".join([*out, text[done:]])
 
 
+HINT = re.compile(r"[0-9@]|dot|DOT|[(\[]at[)\]]")
 MARKS = np.zeros(256, bool)
 MARKS[48:58] = MARKS[ord("@")] = True
 
@@ -231,6 +232,26 @@ def detect(docs: DataFrame, model: boosting.Boosted | None, redacted: bool = Fal
     return common.map_slices(docs.select("doc_id", "text"), kernel, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, redacted string")
 
 
+def redact_documents(docs: DataFrame, model: boosting.Boosted | None) -> DataFrame:
+    """``docs``, all columns, with the spans of each text replaced by their kinds and ``n_chars`` brought up to date."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def kernel(part: pa.RecordBatch) -> pa.RecordBatch:
+        texts = part.column("text").to_pylist()
+        sizes = part.column("n_chars").to_pylist() if "n_chars" in part.schema.names else None
+        for i, text in enumerate(texts):
+            if text and HINT.search(text):
+                texts[i] = redact(text, find(text, shared.value)[1])
+                if sizes and sizes[i] is not None:
+                    sizes[i] = len(texts[i])
+        out = part.set_column(part.schema.get_field_index("text"), "text", pa.array(texts, part.column("text").type))
+        if sizes:
+            out = out.set_column(out.schema.get_field_index("n_chars"), "n_chars", pa.array(sizes, part.column("n_chars").type))
+        return out
+
+    return common.map_slices(docs, kernel, docs.schema)
+
+
 def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document's personal data."""
     docs = common.read_table(spark, sf_dir, "documents")

@@ -284,3 +284,14 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = (common.read_table(spark, sf_dir, t) for t in ("documents", "labels"))
     scored = score_documents(docs, fit_from_labels(docs, labels))
     return scored.select("doc_id", (common.crc_bucket("doc_id", 4) == 2).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"), "n_toxic")
+
+
+def keep_clean(docs: DataFrame, field: Field, threshold: float = THRESHOLD) -> DataFrame:
+    """The rows of ``docs``, all columns, whose score is under ``threshold``."""
+    shared = docs.sparkSession.sparkContext.broadcast(field)
+
+    def kernel(part: pa.RecordBatch) -> pa.RecordBatch:
+        score = shared.value.spans(*common.utf8(part.column("text")))[4]
+        return part.filter(pa.array(score < threshold))
+
+    return common.map_slices(docs, kernel, docs.schema)
