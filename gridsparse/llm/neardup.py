@@ -37,7 +37,8 @@ from gridsparse.llm.components import connected_components
 BANDS, ROWS = 26, 5
 SKETCH_BITS = 512
 SLACK = 5.5
-CHUNK = 256
+CHUNK = 256  # partners of one document in a run that confirms them
+RUN = 1024  # members of one band key in a chunk of a run that compares them
 BROADCAST_ROWS = 2_000_000
 
 _draw = np.random.default_rng(20240601)
@@ -161,57 +162,75 @@ def confirm(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Data
                         head, key = [], (a, r)
                     if role == 0:
                         head.append(s)
-                    elif len(s):
-                        for h in head:
-                            shared = np.count_nonzero(h[np.minimum(np.searchsorted(h, s), len(h) - 1)] == s) if len(h) else 0
-                            if shared and 100 * shared >= percent * (len(h) + len(s) - shared):
-                                left.append(a)
-                                right.append(d)
-                                break
+                    elif any(alike(h, s, percent) for h in head):
+                        left.append(a)
+                        right.append(d)
                 yield pa.RecordBatch.from_arrays([pa.array(left, pa.int64()), pa.array(right, pa.int64())], names=["a", "b"])
 
     return texts.select("doc_id", "a", "run", "role", "text").mapInArrow(run, "a long, b long")
 
 
-def across_components(members: DataFrame, limit: int) -> DataFrame:
-    """Pairs of ``members`` (key, component, node, sketch) of one key but different components, within the sketch limit.
+def across_components(members: DataFrame, docs: DataFrame, width: int, percent: int, limit: int) -> DataFrame:
+    """Links (a, b) among ``members`` (band, key, component, node, bands, sketch) of one key but different components.
 
-    A key's members are dealt to chunks; a run compares two chunks, so its size is bounded whatever the key's.
+    A key's members are dealt to chunks; a run compares two chunks, so its size
+    is bounded whatever the key's.  A run carries the texts: pairs within the
+    sketch limit, in the first band that they share, are confirmed on full sets
+    where they meet, and only links leave it.
     """
-    sizes = members.groupBy("key").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks"))
+    sizes = members.groupBy("key").agg(F.ceil(F.count("*") / RUN).cast("int").alias("chunks"))
     placed = members.join(sizes, "key").withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))
     placed = placed.withColumn("other", other).withColumn("lo", F.least("chunk", "other")).withColumn("hi", F.greatest("chunk", "other"))
-    runs = placed.select("key", "lo", "hi", "chunk", "component", "node", "sketch").repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "chunk")
-
-    def compare(rows):
-        chunk, component, node = (np.array([r[k] for r in rows], np.int64) for k in (0, 1, 2))
-        bits = np.array([r[3] for r in rows], np.int64).view(np.uint64)
-        first, second = (np.flatnonzero(chunk == c) for c in (chunk[0], chunk[-1]))
-        if chunk[0] == chunk[-1] and rows[0][4] != rows[0][5]:
+    placed = common.materialize(placed.select(F.col("node").alias("doc_id"), "key", "lo", "hi", "chunk", "band", "component", "bands", "sketch"), "runs")
+    texts = docs.select("doc_id", "text").join(bounded(placed, 8 * placed.count()), "doc_id")
+    runs = texts.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "chunk")
+
+    def compare(rows: list[dict]) -> list[tuple[int, int]]:
+        chunk, component, node = (np.array([r[k] for r in rows], np.int64) for k in ("chunk", "component", "doc_id"))
+        whole = rows[0]["lo"] == rows[0]["hi"]
+        if not whole and chunk[0] == chunk[-1]:
             return []
+        bits, bands = (np.array([r[k] for r in rows], np.int64).view(np.uint64) for k in ("sketch", "bands"))
+        earlier = bands[:, : rows[0]["band"]]
+        first, second = (np.flatnonzero(chunk == c) for c in (rows[0]["lo"], rows[0]["hi"]))
+        sets: dict[int, np.ndarray] = {}
+
+        def set_of(k):
+            if k not in sets:
+                sets[k] = shingle_sets(pa.array([rows[k]["text"]], pa.string()), width)[0]
+            return sets[k]
+
         out = []
-        for i in first:
-            apart = np.bitwise_count(bits[second] ^ bits[i]).sum(axis=1)
-            good = second[(apart <= limit) & (component[second] != component[i])]
-            if chunk[0] == chunk[-1]:
-                good = good[good > i]
-            out += [(min(node[i], node[j]), max(node[i], node[j])) for j in good]
+        for i in first.tolist():
+            later = second[second > i] if whole else second
+            good = later[(np.bitwise_count(bits[later] ^ bits[i]).sum(axis=1) <= limit) & (component[later] != component[i])]
+            good = good[~(earlier[good] == earlier[i]).any(axis=1)]
+            out += [(min(node[i], node[j]), max(node[i], node[j])) for j in good.tolist() if alike(set_of(i), set_of(j), percent)]
         return out
 
     def run(batches):
         key, rows = None, []
         for batch in batches:
-            found = []
-            for k, lo, hi, c, comp, node, sketch in zip(*(batch.column(i).to_pylist() for i in range(7)), strict=True):
-                if key != (k, lo, hi):
-                    found += compare(rows) if len(rows) > 1 else []
-                    key, rows = (k, lo, hi), []
-                rows.append((c, comp, node, sketch, lo, hi))
-            yield _pairs(found)
+            for part in common.slices(batch):
+                found = []
+                for row in part.to_pylist():
+                    if key != (row["key"], row["lo"], row["hi"]):
+                        found += compare(rows) if len(rows) > 1 else []
+                        key, rows = (row["key"], row["lo"], row["hi"]), []
+                    rows.append(row)
+                yield _pairs(found)
         yield _pairs(compare(rows) if len(rows) > 1 else [])
 
-    return runs.mapInArrow(run, "a long, b long").distinct()
+    return runs.select("doc_id", "key", "lo", "hi", "chunk", "band", "component", "bands", "sketch", "text").mapInArrow(run, "a long, b long").distinct()
+
+
+def alike(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """Whether two sorted sets have ``100 * |both| >= percent * |either|``."""
+    if not len(x) or not len(y) or 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
+        return False
+    shared = np.count_nonzero(x[np.minimum(np.searchsorted(x, y), len(x) - 1)] == y)
+    return 100 * shared >= percent * (len(x) + len(y) - shared)
 
 
 def _pairs(found) -> pa.RecordBatch:
@@ -224,7 +243,7 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     limit = sketch_limit(percent / 100)
     known = signed.where(F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0))
     classes = common.materialize(known.groupBy("set_a", "set_b", "n_shingles").agg(F.min("doc_id").alias("node"), F.min_by("bands", "doc_id").alias("bands"), F.min_by("sketch", "doc_id").alias("sketch")), "classes")
-    keyed = classes.select("node", F.explode("bands").alias("key"))
+    keyed = classes.select("node", F.posexplode("bands").alias("band", "key"))
     buckets = keyed.groupBy("key").agg(F.min("node").alias("leader"), F.count("*").alias("members")).where("members > 1")
     shared = common.materialize(keyed.join(buckets.select("key", "leader"), "key"), "shared-bands")
     least = shared.where("node <> leader").groupBy(F.col("node").alias("b")).agg(F.min("leader").alias("a"))
@@ -234,11 +253,10 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     links = common.materialize(confirm(pairs, docs, width, percent), "links")
     labels = common.materialize(connected_components(links), "components")
 
-    placed = shared.join(labels, "node", "left").select("key", "node", F.coalesce("component", "node").alias("component"))
+    placed = shared.join(labels, "node", "left").select("band", "key", "node", F.coalesce("component", "node").alias("component"))
     mixed = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("key")
-    members = common.materialize(placed.join(mixed, "key").join(drawn, "node").select("key", "component", "node", "sketch"), "mixed-bands")
-    more = across_components(members, limit).join(pairs, ["a", "b"], "left_anti")
-    more = common.materialize(confirm(common.materialize(more, "more-pairs"), docs, width, percent), "more-links")
+    members = common.materialize(placed.join(mixed, "key").join(classes.select("node", "bands", "sketch"), "node"), "mixed-bands")
+    more = common.materialize(across_components(members, docs, width, percent, limit), "more-links")
     if more.head(1):
         labels = common.materialize(connected_components(links.unionAll(more)), "components")
     of_class = classes.select("set_a", "set_b", "n_shingles", "node").join(labels, "node", "left").select("set_a", "set_b", "n_shingles", F.coalesce("component", "node").alias("component"))
