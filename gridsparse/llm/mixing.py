@@ -67,49 +67,62 @@ def targets(sources: DataFrame, weights=WEIGHTS, share: float = SHARE, most: flo
     return ranked.select("source", "source_rank", "source_size", "documents", "weight", target.alias("target"))
 
 
+def bind(value: Column, body) -> Column:
+    """``body`` of ``value``, which is evaluated once."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def _ratio(s: Column, k: Column) -> Column:
+    """P(k + 1) over P(k) for the draw in the struct ``s`` of doubles."""
+    return (s["marked"] - k) * (s["drawn"] - k) / ((k + 1.0) * (s["rest"] - s["drawn"] + k + 1.0))
+
+
+def _walk(s: Column, up: bool, wanted: Column | None) -> Column:
+    """Go from the mode to the end of one side, adding probabilities; stop counting once ``wanted`` is reached.
+
+    Gives a struct of the relative probability p, the mass added and the value ``at`` which it was reached.
+    """
+    steps = F.when(s["top"] > s["mode"], F.sequence(s["mode"].cast("long"), s["top"].cast("long") - 1)) if up else F.when(s["mode"] > s["bottom"], F.sequence(s["mode"].cast("long") - 1, s["bottom"].cast("long")))
+    start = F.struct(F.lit(1.0).alias("p"), F.lit(0.0).alias("mass"), s["mode"].alias("at"))
+
+    def step(state, k):
+        ratio = _ratio(s, k.cast("double"))
+        p = state["p"] * (ratio if up else 1.0 / ratio)
+        if wanted is None:
+            return F.struct(p.alias("p"), (state["mass"] + p).alias("mass"), state["at"].alias("at"))
+        on = (state["mass"] < wanted).cast("double")
+        return F.struct(p.alias("p"), (state["mass"] + p * on).alias("mass"), F.when(on > 0, k.cast("double") + (1.0 if up else 0.0)).otherwise(state["at"]).alias("at"))
+
+    return F.aggregate(F.coalesce(steps, F.array().cast("array<long>")), start, step)
+
+
 def hypergeometric(total: Column, marked: Column, drawn: Column, chance: Column) -> Column:
     """How many of ``drawn`` out of ``total`` are among the ``marked`` ones, by inversion of ``chance``.
 
     Probabilities relative to the mode's follow from their ratios; only values
     within 12 deviations of the mode are walked, the rest being under 1e-30.
+    Values are taken in this order: the mode, those above it, those below it.
     """
     d = lambda c: c.cast("double")
-    low = F.greatest(F.lit(0).cast("long"), drawn - (total - marked))
-    high = F.least(marked, drawn)
-    mode = F.least(F.greatest(F.floor((d(drawn) + 1) * (d(marked) + 1) / (d(total) + 2)).cast("long"), low), high)
-    spread = F.sqrt(d(drawn) * d(marked) * (d(total) - d(marked)) * (d(total) - d(drawn)) / F.greatest(d(total) * d(total) * (d(total) - 1), F.lit(1.0)))
-    reach = F.ceil(12 * spread + 12).cast("long")
-    top, bottom = F.least(high, mode + reach), F.greatest(low, mode - reach)
-    ratio = lambda k: (d(marked) - d(k)) * (d(drawn) - d(k)) / ((d(k) + 1) * (d(total) - d(marked) - d(drawn) + d(k) + 1))
-    up_steps = F.when(top > mode, F.sequence(mode, top - 1)).otherwise(F.array().cast("array<long>"))
-    down_steps = F.when(mode > bottom, F.sequence(mode - 1, bottom)).otherwise(F.array().cast("array<long>"))
-    start = F.struct(F.lit(1.0).alias("p"), F.lit(0.0).alias("mass"))
-
-    def add(step):
-        def run(state, k):
-            p = state["p"] * step(k)
-            return F.struct(p.alias("p"), (state["mass"] + p).alias("mass"))
-
-        return run
-
-    up, down = add(ratio), add(lambda k: 1 / ratio(k))
-    above = F.aggregate(up_steps, start, up, lambda s: s["mass"])
-    below = F.aggregate(down_steps, start, down, lambda s: s["mass"])
+    given = F.struct(d(total).alias("total"), d(marked).alias("marked"), d(drawn).alias("drawn"), (d(total) - d(marked)).alias("rest"), chance.alias("chance"))
 
-    def walk(steps, step, first, wanted, shift):
-        """The value at which the mass walked so far reaches ``wanted``."""
-        begin = F.struct(F.lit(1.0).alias("p"), F.lit(0.0).alias("mass"), first.alias("at"))
+    def with_mode(g):
+        low, high = F.greatest(F.lit(0.0), g["drawn"] - g["rest"]), F.least(g["marked"], g["drawn"])
+        mode = F.least(F.greatest(d(F.floor((g["drawn"] + 1) * (g["marked"] + 1) / (g["total"] + 2))), low), high)
+        spread = F.sqrt(g["drawn"] * g["marked"] * g["rest"] * (g["total"] - g["drawn"]) / F.greatest(g["total"] * g["total"] * (g["total"] - 1), F.lit(1.0)))
+        reach = d(F.ceil(12 * spread + 12))
+        return bind(F.struct(g["marked"].alias("marked"), g["drawn"].alias("drawn"), g["rest"].alias("rest"), g["chance"].alias("chance"), mode.alias("mode"), low.alias("low"), high.alias("high"), reach.alias("reach")), with_ends)
 
-        def run(s, k):
-            p = s["p"] * step(k)
-            more = s["mass"] < wanted
-            return F.struct(p.alias("p"), F.when(more, s["mass"] + p).otherwise(s["mass"]).alias("mass"), F.when(more, k + shift).otherwise(s["at"]).alias("at"))
+    def with_ends(g):
+        top, bottom = F.least(g["high"], g["mode"] + g["reach"]), F.greatest(g["low"], g["mode"] - g["reach"])
+        ends = F.struct(*(g[c].alias(c) for c in ("marked", "drawn", "rest", "chance", "mode")), top.alias("top"), bottom.alias("bottom"))
+        return bind(ends, lambda s: bind(F.struct(_walk(s, True, None)["mass"].alias("above"), _walk(s, False, None)["mass"].alias("below")), lambda m: choose(s, m)))
 
-        return F.aggregate(steps, begin, run, lambda s: s["at"])
+    def choose(s, m):
+        wanted = s["chance"] * (1.0 + m["above"] + m["below"])
+        return F.when(wanted <= 1.0, s["mode"]).when(wanted <= 1.0 + m["above"], _walk(s, True, wanted - 1.0)["at"]).otherwise(_walk(s, False, wanted - 1.0 - m["above"])["at"])
 
-    # order of the line: the mode, then the values above it, then those below it
-    wanted = chance * (1.0 + above + below)
-    return F.when(wanted <= 1.0, mode).when(wanted <= 1.0 + above, walk(up_steps, ratio, mode, wanted - 1.0, 1)).otherwise(walk(down_steps, lambda k: 1 / ratio(k), mode, wanted - 1.0 - above, 0))
+    return bind(given, with_mode).cast("long")
 
 
 def _left_counts(seed: int, level: int) -> Column:
@@ -120,7 +133,7 @@ def _left_counts(seed: int, level: int) -> Column:
         count = pair["count"]
         chance = uniform(F.lit(seed), F.lit(level), F.col("node"), pair["rank"])
         part = F.when(count == 0, F.lit(0).cast("long")).otherwise(hypergeometric(state["total"], count, state["drawn"], chance))
-        return F.struct((state["total"] - count).alias("total"), (state["drawn"] - part).alias("drawn"), F.concat(state["left"], F.array(part)).alias("left"))
+        return bind(part, lambda p: F.struct((state["total"] - count).alias("total"), (state["drawn"] - p).alias("drawn"), F.concat(state["left"], F.array(p)).alias("left")))
 
     pairs = F.zip_with("counts", "ranks", lambda c, r: F.struct(c.alias("count"), r.alias("rank")))
     return F.aggregate(pairs, begin, draw, lambda s: s["left"])
