@@ -20,6 +20,8 @@ not returned.  A query's results may hold the query's own document.
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
@@ -35,7 +37,8 @@ SHARD_BYTES = 48 << 20
 BLOCK = 64
 COMMON_SHARE = 1 / 24
 MOST_COMMON = 256
-QUERY_BLOCK = 1024
+QUERY_BLOCK = 4096
+BLOCK_TERMS = 4_000_000
 INDEX_SCHEMA = "shard long, n_docs int, words long, ids binary, lengths binary, terms binary, starts binary, docs binary, counts binary"
 
 
@@ -190,24 +193,44 @@ def search(docs: DataFrame, queries: DataFrame, top: int = TOP) -> DataFrame:
     idf = F.log(1 + (F.lit(float(n)) - F.col("df") + 0.5) / (F.col("df") + 0.5))
     weighted = wanted.join(counted, "term").groupBy("query").agg(F.array_sort(F.collect_list(F.struct("term", idf.alias("idf")))).alias("terms"))
     weighted = common.materialize(weighted, "queries")
-    blocks = max(1, -(-weighted.count() // QUERY_BLOCK))
-    placed = weighted.withColumn("of_block", F.pmod(F.xxhash64("query"), F.lit(blocks)).cast("int"))
-    every_block = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
-    cells = index.select(F.col("shard").alias("of_shard")).distinct().withColumn("of_block", every_block)
-    left, right = index.withColumn("block", every_block), placed.join(cells, "of_block")
-
-    def score(one: pa.Table, many: pa.Table) -> pa.Table:
-        out: list[tuple] = []
-        for row in one.to_pylist():
-            shard = Shard(row, mean)
-            for query, terms in zip(many.column("query").to_pylist(), many.column("terms"), strict=True):
-                pairs = terms.values
-                found, scores, _ = shard.search(pairs.field("term").to_numpy(zero_copy_only=False).view(np.uint64), pairs.field("idf").to_numpy(zero_copy_only=False), top)
-                out += zip([query] * len(found), shard.ids[found].tolist(), scores.tolist(), strict=True)
-        q, d, s = zip(*out, strict=True) if out else ((), (), ())
-        return pa.table({"query": pa.array(q, pa.int64()), "doc_id": pa.array(d, pa.int64()), "score": pa.array(s, pa.float64())})
-
-    hits = left.groupBy("shard", "block").cogroup(right.groupBy("of_shard", "of_block")).applyInArrow(score, "query long, doc_id long, score double")
+    size = weighted.agg(F.count("*"), F.sum(F.size("terms"))).first()
+    blocks = max(1, -(-size[0] // QUERY_BLOCK), -(-(size[1] or 0) // BLOCK_TERMS))
+    parts = []
+    for b in range(blocks):
+        here = weighted.where(F.pmod(F.xxhash64("query"), F.lit(blocks)) == b) if blocks > 1 else weighted
+        found = _best(_score_block(index, here, mean, top), top)
+        parts.append(common.materialize(found, "hits") if blocks > 1 else found)
+    return functools.reduce(DataFrame.unionByName, parts)
+
+
+def _score_block(index: DataFrame, queries: DataFrame, mean: float, top: int) -> DataFrame:
+    """Each shard's best hits for a block of queries; the block (bounded in queries and terms) is broadcast, the index stays where it is."""
+    rows = queries.collect()
+    ids = [r["query"] for r in rows]
+    ends = np.cumsum([0] + [len(r["terms"]) for r in rows])
+    terms = np.fromiter((t["term"] for r in rows for t in r["terms"]), np.int64, ends[-1]).view(np.uint64)
+    weights = np.fromiter((t["idf"] for r in rows for t in r["terms"]), np.float64, ends[-1])
+    shared = index.sparkSession.sparkContext.broadcast((ids, ends, terms, weights))
+
+    def run(batches):
+        ids, ends, terms, weights = shared.value
+        for batch in batches:
+            for k in range(batch.num_rows):
+                shard = Shard(batch.slice(k, 1).to_pylist()[0], mean)
+                q, d, s = [], [], []
+                for number, query in enumerate(ids):
+                    cut = slice(ends[number], ends[number + 1])
+                    found, scores, _ = shard.search(terms[cut], weights[cut], top)
+                    q += [query] * len(found)
+                    d.append(shard.ids[found])
+                    s.append(scores)
+                columns = [pa.array(q, pa.int64()), pa.array(np.concatenate(d) if d else [], pa.int64()), pa.array(np.concatenate(s) if s else [], pa.float64())]
+                yield pa.RecordBatch.from_arrays(columns, names=["query", "doc_id", "score"])
+
+    return index.mapInArrow(run, "query long, doc_id long, score double")
+
+
+def _best(hits: DataFrame, top: int) -> DataFrame:
     rank = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "doc_id"))
     return hits.withColumn("rank", rank).where(F.col("rank") <= top)
 
