@@ -16,10 +16,13 @@ from gridsparse.sources import files
 from gridsparse.sources.tables import Tables, read_table
 from gridsparse.storage import shared_dir
 
-CENTS = F.round(F.col("l_extendedprice") * 100).cast("long")
 CENTS_SQL = "CAST(round(l_extendedprice * 100) AS BIGINT)"
 
 
+def cents():
+    return F.round(F.col("l_extendedprice") * 100).cast("long")
+
+
 def _over(table: str, body):
     return lambda spark, sf_dir: body(read_table(spark, sf_dir, table))
 
@@ -31,7 +34,7 @@ def add(name: str, table: str, text: str, body) -> None:
 add("r01_scan", "region", "SELECT r_regionkey, r_name FROM region", lambda d: d.select("r_regionkey", "r_name"))
 add("r07_block_of_index", "lineitem", "SELECT l_orderkey // 1000 AS block, count(*) AS n FROM lineitem GROUP BY 1", lambda d: d.groupBy(F.expr("l_orderkey div 1000").alias("block")).agg(F.count("*").alias("n")))
 add("r08_predicates", "lineitem", "SELECT l_orderkey, l_partkey FROM lineitem WHERE l_returnflag IN ('R', 'A') AND l_quantity BETWEEN 10 AND 12 AND l_partkey < 500 AND l_shipdate IS NOT NULL", lambda d: d.where(F.col("l_returnflag").isin("R", "A") & F.col("l_quantity").between(10, 12) & (F.col("l_partkey") < 500) & F.col("l_shipdate").isNotNull()).select("l_orderkey", "l_partkey"))
-add("r20_hash_aggregate", "lineitem", f"SELECT l_returnflag, count(*) AS n, CAST(sum({CENTS_SQL}) AS BIGINT) AS cents FROM lineitem GROUP BY 1", lambda d: d.groupBy("l_returnflag").agg(F.count("*").alias("n"), F.sum(CENTS).alias("cents")))
+add("r20_hash_aggregate", "lineitem", f"SELECT l_returnflag, count(*) AS n, CAST(sum({CENTS_SQL}) AS BIGINT) AS cents FROM lineitem GROUP BY 1", lambda d: d.groupBy("l_returnflag").agg(F.count("*").alias("n"), F.sum(cents()).alias("cents")))
 add("r21_sort_aggregate", "lineitem", "SELECT l_suppkey, min(l_partkey) AS part, arg_min(l_orderkey, l_partkey * 100000000 + l_orderkey) AS first_order FROM lineitem GROUP BY 1", lambda d: d.groupBy("l_suppkey").agg(F.min(F.struct("l_partkey", "l_orderkey")).alias("m")).select("l_suppkey", F.col("m.l_partkey").alias("part"), F.col("m.l_orderkey").alias("first_order")))
 add("r22_distinct", "lineitem", "SELECT count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem", lambda d: d.agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers")))
 add("r25_cube", "orders", "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)", lambda d: d.cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")))
@@ -49,7 +52,7 @@ add("r41_arrays", "embeddings", "SELECT vec_id, CAST(list_sum(list_transform(emb
 add("r43_json", "events", "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1", lambda d: d.groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n")))
 add("r44_decimal", "lineitem", "SELECT l_suppkey, CAST(sum(CAST(round(l_extendedprice * 100) AS DECIMAL(20, 0))) AS BIGINT) AS cents FROM lineitem GROUP BY 1", lambda d: d.groupBy("l_suppkey").agg(F.sum(F.round(F.col("l_extendedprice") * 100).cast("decimal(20,0)")).cast("long").alias("cents")))
 add("r56_hash_sample", "lineitem", "SELECT l_orderkey, l_partkey, l_linenumber FROM lineitem WHERE substr(md5(CAST(l_orderkey AS VARCHAR)), 1, 1) = '0'", lambda d: d.where(F.substring(F.md5(F.col("l_orderkey").cast("string")), 1, 1) == "0").select("l_orderkey", "l_partkey", "l_linenumber"))
-add("r52_salted_sum", "lineitem", f"SELECT l_linestatus, CAST(sum({CENTS_SQL}) AS BIGINT) AS v FROM lineitem GROUP BY 1", lambda d: relational.salted_sum(d, ["l_linestatus"], CENTS))
+add("r52_salted_sum", "lineitem", f"SELECT l_linestatus, CAST(sum({CENTS_SQL}) AS BIGINT) AS v FROM lineitem GROUP BY 1", lambda d: relational.salted_sum(d, ["l_linestatus"], cents()))
 
 
 def _join(name: str, how: str, hint: str | None, left: str, right: str, on: tuple[str, str], columns: list[str], text: str) -> None:
@@ -166,7 +169,7 @@ def r50_scalar_udf(spark, sf_dir):
     def own(x: pd.Series) -> pd.Series:
         return (x * 7919) % 1000
 
-    return read_table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_linenumber", own(CENTS).alias("v"))
+    return read_table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_linenumber", own(cents()).alias("v"))
 
 
 @register("r51_grouped_udf", "SELECT l_suppkey, CAST(bit_xor(l_partkey) AS BIGINT) AS v FROM lineitem GROUP BY 1")
