@@ -746,3 +746,17 @@ def er_tall(spark, sf_dir):
     a = a.with_df(settle(a.df))
     rows = [(d, measures.nnz(a.multiply(generators.erdos_renyi(spark, 1024, 8, d), strategy="broadcast"))) for d in (1, 10, 100)]
     return spark.createDataFrame(rows, "per_column int, nnz_c long")
+
+
+# -- experiment workloads ---------------------------------------------------------
+def _workload(wid: str):
+    def run(spark, sf_dir):
+        from gridsparse import workloads
+
+        return workloads.run(spark, sf_dir, wid)
+
+    return run
+
+
+for _wid in ("w01_relabel", "w02_subgraphs", "w03_replace_window", "w04_square", "w05_stage_sizes", "w06_restrict", "w07_triple", "w08_diagonal_split", "w09_tall_skinny", "w10_methods", "w12_search", "w15_storage"):
+    register(_wid)(_workload(_wid))
