@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from gridsparse.llm import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-CACHE_ENTRIES = 250_000
+CACHE_ENTRIES = 150_000
 #: White space as the tokenizer library's pattern engine has it (fixed values).
 WHITE = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 

@@ -7,7 +7,9 @@ is made for a word.
 
 from __future__ import annotations
 
+import pickle
 import uuid
+import zlib
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -53,6 +55,17 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def fit_remotely(sample: DataFrame, fit: Callable[[list[dict]], object]):
+    """``fit`` of the rows of a bounded ``sample``, in one task; only the pickled model comes to the driver."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = [row for batch in batches for row in batch.to_pylist()]
+        yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(pickle.dumps(fit(rows)), 1)], pa.binary())], names=["model"])
+
+    made = sample.repartition(1).mapInArrow(run, "model binary").collect()
+    return pickle.loads(zlib.decompress(made[0]["model"])) if made else fit([])
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser, vectorised."""
     x = x * _GOLD

@@ -131,7 +131,11 @@ def fit_from_documents(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Cod
     counts = counts.select(F.col("lang").alias("of_lang"), (F.lit(per_language) / F.col("n")).alias("rate"))
     draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(9)), F.lit(1 << 30)) / F.lit(float(1 << 30))
     chosen = known.join(counts, F.col("lang") == F.col("of_lang")).where(draw < F.col("rate")).select("doc_id", "lang").distinct()
-    rows = docs.select("doc_id", "text", "lang").where(F.col("text").isNotNull()).join(F.broadcast(chosen), ["doc_id", "lang"]).collect()
+    rows = docs.select("doc_id", "text", "lang").where(F.col("text").isNotNull()).join(F.broadcast(chosen), ["doc_id", "lang"])
+    return common.fit_remotely(rows, _fit_rows)
+
+
+def _fit_rows(rows: list[dict]) -> Codebook | None:
     rows = sorted((r["doc_id"], r["lang"], r["text"]) for r in rows)
     return fit([r[2] for r in rows], [r[1] for r in rows])
 

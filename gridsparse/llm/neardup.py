@@ -39,7 +39,7 @@ SKETCH_BITS = 512
 SLACK = 5.5
 CHUNK = 256  # partners of one document in a run that confirms them
 RUN = 1024  # members of one band key in a chunk of a run that compares them
-BROADCAST_ROWS = 2_000_000
+BROADCAST_ROWS = 500_000  # narrow rows: ids and a few numbers
 
 _draw = np.random.default_rng(20240601)
 MULTIPLIERS = (_draw.integers(0, 1 << 32, BANDS * ROWS, dtype=np.uint32) | np.uint32(1))[:, None]
@@ -183,7 +183,8 @@ def across_components(members: DataFrame, docs: DataFrame, width: int, percent:
     other = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))
     placed = placed.withColumn("other", other).withColumn("lo", F.least("chunk", "other")).withColumn("hi", F.greatest("chunk", "other"))
     placed = common.materialize(placed.select(F.col("node").alias("doc_id"), "key", "lo", "hi", "chunk", "band", "component", "bands", "sketch"), "runs")
-    texts = docs.select("doc_id", "text").join(bounded(placed, 8 * placed.count()), "doc_id")
+    nodes = bounded(common.materialize(placed.select("doc_id").distinct(), "run-nodes"))
+    texts = common.materialize(docs.select("doc_id", "text").join(nodes, "doc_id", "left_semi"), "run-texts").join(placed, "doc_id")
     runs = texts.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "chunk")
 
     def compare(rows: list[dict]) -> list[tuple[int, int]]:

@@ -157,7 +157,11 @@ def fit_from_documents(docs: DataFrame, sample: int = SAMPLE_DOCUMENTS) -> boost
     """Fit on about ``sample`` documents that hold a digit, drawn by id hash."""
     total = docs.count()
     draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(8)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    rows = docs.select("doc_id", "text").where((draw < F.lit(sample / max(1, total))) & F.col("text").rlike("[0-9]")).collect()
+    rows = docs.select("doc_id", "text").where((draw < F.lit(sample / max(1, total))) & F.col("text").rlike("[0-9]"))
+    return common.fit_remotely(rows, _fit_rows)
+
+
+def _fit_rows(rows: list[dict]) -> boosting.Boosted | None:
     return fit([r["text"] for r in sorted(rows, key=lambda r: (r["doc_id"] is None, r["doc_id"], r["text"]))])
 
 

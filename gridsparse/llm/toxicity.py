@@ -255,7 +255,11 @@ def fit_from_labels(docs: DataFrame, labels: DataFrame, per_class: tuple[int, in
         part = known.where(F.col("toxic") == side).orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_class[side])
         chosen = part if chosen is None else chosen.unionAll(part)
     texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])
-    rows = sorted((r["doc_id"], r["text"], r["toxic"]) for r in texts.where(F.col("text").isNotNull()).collect())
+    return common.fit_remotely(texts.where(F.col("text").isNotNull()).select("doc_id", "text", "toxic"), lambda rows: _fit_rows(rows, share))
+
+
+def _fit_rows(rows: list[dict], share: float) -> Field:
+    rows = sorted((r["doc_id"], r["text"], r["toxic"]) for r in rows)
     return fit([r[1] for r in rows], [r[2] for r in rows], share)
 
 
