@@ -205,11 +205,12 @@ def search(docs: DataFrame, queries: DataFrame, top: int = TOP) -> DataFrame:
 
 def _score_block(index: DataFrame, queries: DataFrame, mean: float, top: int) -> DataFrame:
     """Each shard's best hits for a block of queries; the block (bounded in queries and terms) is broadcast, the index stays where it is."""
-    rows = queries.collect()
-    ids = [r["query"] for r in rows]
-    ends = np.cumsum([0] + [len(r["terms"]) for r in rows])
-    terms = np.fromiter((t["term"] for r in rows for t in r["terms"]), np.int64, ends[-1]).view(np.uint64)
-    weights = np.fromiter((t["idf"] for r in rows for t in r["terms"]), np.float64, ends[-1])
+    block = queries.select("query", "terms").toArrow()
+    lists = block.column("terms").combine_chunks()
+    ids = block.column("query").to_pylist()
+    ends = np.concatenate(([0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False)))).astype(np.int64)
+    terms = lists.flatten().field("term").to_numpy(zero_copy_only=False).view(np.uint64)
+    weights = lists.flatten().field("idf").to_numpy(zero_copy_only=False)
     shared = index.sparkSession.sparkContext.broadcast((ids, ends, terms, weights))
 
     def run(batches):
