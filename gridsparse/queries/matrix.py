@@ -189,7 +189,6 @@ def tall_skinny(spark, sf_dir):
 
 
 # -- element-wise ---------------------------------------------------------------
-S8 = "SELECT i, j, v FROM h"
 
 
 @register("ew_add", sql("SELECT i, j, CAST(sum(v) AS BIGINT) AS v FROM (SELECT i, j, v FROM h UNION ALL SELECT i, j, v FROM g) GROUP BY ALL", "h", "g"))
