@@ -19,12 +19,12 @@ def affine_inverse(y: Column, n: int, factor: int = 1103, shift: int = 17) -> Co
     return F.pmod((y - F.lit(shift)) * F.lit(pow(factor, -1, n)), F.lit(n))
 
 
-def feistel(x: Column, n: int, seed: int, rounds: int = 4, walks: int = 12) -> Column:
+def feistel(x: Column, n: int, seed: int, rounds: int = 4, walks: int = 96) -> Column:
     """A keyed pseudo-random bijection of [0, n) as one expression.
 
-    A balanced network permutes [0, 4**h) above n; values that leave the range
-    walk on, at most ``walks`` times, and a rotation is what remains of those
-    that never return (it keeps the map one to one only if none remains).
+    A balanced network permutes [0, 4**h), at most four times n; a value that
+    leaves the range walks on until it returns.  One that has not after
+    ``walks`` steps (a chance under 1e-12) raises an error.
     """
     half = max(1, math.ceil(math.log2(max(2, n)) / 2))
     low = F.lit((1 << half) - 1)
@@ -36,8 +36,8 @@ def feistel(x: Column, n: int, seed: int, rounds: int = 4, walks: int = 12) -> C
         return F.shiftleft(left, half).bitwiseOR(right)
 
     start = F.struct(once(x.cast("long")).alias("v"))
-    walked = F.aggregate(F.sequence(F.lit(1), F.lit(walks * 8)), start, lambda s, _: F.struct(F.when(s["v"] >= n, once(s["v"])).otherwise(s["v"]).alias("v")))
-    return walked["v"]
+    walked = F.aggregate(F.sequence(F.lit(1), F.lit(walks)), start, lambda s, _: F.struct(F.when(s["v"] >= n, once(s["v"])).otherwise(s["v"]).alias("v")))
+    return F.when(walked["v"] < n, walked["v"]).otherwise(F.raise_error(F.lit("the walk did not return")).cast("long"))
 
 
 def md5_rank(keys: DataFrame, key: str = "idx", salt: str = "7:") -> DataFrame:
