@@ -2,9 +2,10 @@
 
 Base spans (e-mail, IP, card, phone) follow fixed formats and always stay.
 High-recall generators propose further, overlapping spans: loosely separated
-digit groups, spelled-out e-mail addresses, long mixed tokens.  Boosted trees
-on format and context features, calibrated on a held-out fold, keep those whose
-probability passes the threshold of their kind.
+digit groups, spelled-out e-mail addresses, mixed tokens of 16 characters and
+more.  Boosted trees on format and context features, calibrated on a held-out
+fold, keep those whose probability passes the threshold of their kind.  Spans
+may overlap; redaction covers their union.
 
 The trees learn from candidates of a bounded sample of documents; a candidate
 is positive if it fills a base span, is spelled-out mail with a word and a
@@ -38,7 +39,7 @@ CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 #: Generators of candidates beyond the base formats.
 DIGITS = re.compile(r"(?<![0-9])[0-9](?:[ .()/-]{0,2}[0-9]){6,24}(?![0-9])")
-TOKEN = re.compile(r"(?<![A-Za-z0-9_-])[A-Za-z0-9_-]{16,128}(?![A-Za-z0-9_-])")
+TOKEN = re.compile(r"(?<![A-Za-z0-9_-])[A-Za-z0-9_-]{16,}+")
 SPELLED = re.compile(r"[ \[(]{1,2}(?:at|AT)[ \])]{1,2}[A-Za-z0-9-]{2,40}(?:(?:[ \[(]{1,2}(?:dot|DOT)[ \])]{1,2}|\.)[A-Za-z0-9-]{2,20}){1,4}")
 CUES = re.compile(r"(?i)(phone|tel|call|mobile|mail|card|visa|account|token|secret|password|passwd|key|api)\W{0,6}$")
 ASSIGNED = re.compile(r"(?i)(token|secret|password|passwd|key|api\w*)\s*[=:]\s*[\"']?$")
@@ -166,18 +167,18 @@ def _fit_rows(rows: list[dict]) -> boosting.Boosted | None:
 
 
 def find(text: str, model: boosting.Boosted | None) -> tuple[list[Span], list[Span]]:
-    """Base spans, and all spans: an added one overlaps no base span and no stronger added one."""
+    """Base spans, and all spans: an added one may overlap others but lies inside no base span and no stronger added one."""
     base = base_spans(text)
     if model is None:
         return base, base
-    proposed = [c for c in candidates(text) if all(c[2] <= b[1] or c[1] >= b[2] for b in base)]
+    proposed = [c for c in candidates(text) if all(c[1] < b[1] or c[2] > b[2] for b in base)]
     if not proposed:
         return base, base
     chance = model.probability(np.array([describe(text, c) for c in proposed], float))
     added: list[Span] = []
     for i in np.argsort(-chance, kind="stable"):
         c = proposed[i]
-        if chance[i] >= THRESHOLDS[c[0]] and all(c[2] <= a[1] or c[1] >= a[2] for a in added):
+        if chance[i] >= THRESHOLDS[c[0]] and all(c[1] < a[1] or c[2] > a[2] for a in added):
             added.append(c)
     return base, sorted(base + added, key=_place)
 

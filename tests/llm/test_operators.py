@@ -402,6 +402,22 @@ def test_pii(spark, docs, rows):
     assert pii.fit_from_documents(docs.limit(0)) is None
 
 
+def test_long_secrets_and_secrets_that_hold_other_spans(spark):
+    rng = random.Random(3)
+    hexes = lambda n: "".join(rng.choice("0123456789abcdef") for _ in range(n))
+    texts = [f"word mail bob{k}@mail{k % 9}.example.com and 10.1.2.{k} or +1 (543) 555-01{k:02d} end plain_{k}_identifier_name" for k in range(60)]
+    texts += [f'name token = "{hexes(rng.choice([32, 40, 64]))}" more {k * 37} x {10**9 + k}' for k in range(60)]
+    model = pii.fit(texts)
+    card = "4111-1111-1111-1111"
+    assert ("card", 0, 19) in pii.base_spans(card)
+    for secret in (hexes(129), hexes(3000), f"{hexes(20)}-{card}-{hexes(20)}", "eyJ" + hexes(400)):
+        text = f'name token = "{secret}" more'
+        clean = pii.redact(text, pii.find(text, model)[1])
+        assert secret[:12] not in clean and secret[-12:] not in clean and clean.startswith('name token = "[') and clean.endswith(']" more')
+    assert pii.redact("ab 12345 cd", [("secret", 3, 6), ("card", 5, 8)]) == "ab [SECRET] cd"
+    assert pii.candidates("a" * 2_000_000 + "1") == [("secret", 0, 2_000_001)]
+
+
 def test_boosting():
     rng = np.random.default_rng(0)
     x = rng.normal(size=(800, 4))
