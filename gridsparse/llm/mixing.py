@@ -2,8 +2,10 @@
 
 All steps are DataFrame expressions.  A hash of the id permutes a source's
 documents and cuts them into blocks.  A source's target turns into an exact
-quota of blocks: whole passes over it, then a run of blocks of one more pass;
-in the last of these blocks documents are taken one by one up to the target.
+quota of blocks: whole passes over it, then a run of blocks of one more pass.
+From the first block that does not fit on, documents are taken one by one:
+those larger than the words left are skipped, so what a source misses in the end
+is less than each of its documents that could have been taken once more.
 The quotas are dealt to output shards by a binary tree: at each node a
 multivariate hypergeometric draw (source after source, by inversion around the
 mode) says how many of each source's blocks go left.  A leaf takes a run of
@@ -31,7 +33,6 @@ BLOCK_DOCUMENTS = 64
 MOST_BLOCK_BITS = 16
 SHARD_WORDS = 1 << 22
 MOST_SHARD_BITS = 12
-FILL_CANDIDATES = 256
 
 
 def uniform(*parts) -> Column:
@@ -171,8 +172,11 @@ class Plan:
         before = F.coalesce(F.sum("words").over(Window.partitionBy("source_rank").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
         sums = sums.withColumn("before", before)
         state = F.when((F.col("words") > 0) & (F.col("before") + F.col("words") <= F.col("room")), 2).when((F.col("words") > 0) & (F.col("before") < F.col("room")), 1).otherwise(0)
-        self.blocks = common.materialize(sums.select("source_rank", "block", "passes", "block_bits", "before", "room", state.alias("state")), "mix-blocks")
-        self.last = self._last_documents(keyed)
+        blocks = common.materialize(sums.select("source_rank", "block", "passes", "before", "room", state.alias("state")), "mix-blocks")
+        self.last = self._last_documents(keyed, blocks)
+        touched = self.last.select("source_rank", "block").distinct().withColumn("touched", F.lit(1))
+        state = F.when((F.col("state") == 0) & F.col("touched").isNotNull(), 1).otherwise(F.col("state"))
+        self.blocks = common.materialize(blocks.join(touched, ["source_rank", "block"], "left").select("source_rank", "block", "passes", state.alias("state")), "mix-states")
         self.shards = self._shards(shard_words)
 
     def _keyed(self, rows: DataFrame) -> DataFrame:
@@ -183,35 +187,61 @@ class Plan:
         block = F.when(F.col("block_bits") == 0, F.lit(0)).otherwise(F.expr("shiftrightunsigned(mix_key, 64 - block_bits)"))
         return joined.withColumn("block", block.cast("long")).drop("block_bits")
 
-    def _last_documents(self, keyed: DataFrame) -> DataFrame:
-        """The documents taken one more time from each source's last block.
+    def _last_documents(self, keyed: DataFrame, blocks: DataFrame) -> DataFrame:
+        """The documents taken one more time from each source's first block that does not fit, and from those after it.
 
-        In key order while they fit, then, among the next few hundred, the
-        largest that still fit.
+        Each round fills one block a source.  Between two such blocks all
+        documents that fit the words left are taken whole blocks at a time, by
+        the blocks' sums; the next one to fill is where these sums exceed the
+        words left.  Rounds end when no later document fits.
         """
-        edge = self.blocks.where("state = 1").select("source_rank", "block", (F.col("room") - F.col("before")).alias("space"))
-        rows = keyed.join(edge, ["source_rank", "block"]).groupBy("source_rank", "block", "space", "mix_key", "doc_id", "size").agg(F.count("*").alias("times"))
+        place = ["source_rank", "block"]
+        edge = blocks.where("state = 1").select(*place, (F.col("room") - F.col("before")).cast("double").alias("space"))
+        rows = keyed.select(*place, "mix_key", "doc_id", "size").where("size > 0")
+        taken = None
+        while True:
+            chosen = common.materialize(self._fill(rows.join(edge, place)), "mix-last")
+            taken = chosen if taken is None else taken.unionByName(chosen)
+            used = chosen.groupBy("source_rank").agg(F.sum("words").alias("used"))
+            left = edge.join(used, "source_rank", "left").select("source_rank", F.col("block").alias("done"), (F.col("space") - F.coalesce("used", F.lit(0))).alias("space"))
+            later = rows.join(F.broadcast(left), "source_rank").where("block > done and size <= space")
+            small = later.groupBy(*place, "space", "mix_key", "doc_id", "size").agg((F.col("size") * F.count("*")).alias("words")).where("words <= space")
+            small = common.materialize(small, "mix-small")
+            if not small.head(1):
+                break
+            order = Window.partitionBy("source_rank").orderBy("block")
+            sums = small.groupBy(*place, "space").agg(F.sum("words").alias("words")).withColumn("upto", F.sum("words").over(order))
+            sums = common.materialize(sums, "mix-small-sums")
+            whole = small.join(sums.where("upto <= space").select(*place), place).select(*place, "mix_key", "doc_id", "size", "words")
+            taken = taken.unionByName(common.materialize(whole, "mix-last"))
+            beyond = F.struct("block", (F.col("space") - F.col("upto") + F.col("words")).alias("space"))
+            edge = common.materialize(sums.where("upto > space").groupBy("source_rank").agg(F.min(beyond).alias("e")).select("source_rank", "e.block", "e.space"), "mix-edge")
+            if not edge.head(1):
+                break
+            rows = small.join(F.broadcast(edge.select("source_rank", F.col("block").alias("from"))), "source_rank").where("block >= from").select(rows.columns)
+        return common.materialize(taken.drop("words").withColumn("one_more", F.lit(True)), "mix-last")
+
+    def _fill(self, rows: DataFrame) -> DataFrame:
+        """What is taken of ``rows`` of one block a source: in key order while it fits, then the largest that still fit."""
+        rows = rows.groupBy("source_rank", "block", "space", "mix_key", "doc_id", "size").agg(F.count("*").alias("times"))
         words = F.col("size") * F.col("times")
         order = Window.partitionBy("source_rank").orderBy("mix_key", "doc_id", "size")
         rows = rows.withColumn("words", words).withColumn("upto", F.sum("words").over(order)).withColumn("nth", F.row_number().over(order))
         whole = Window.partitionBy("source_rank")
         fits = F.col("upto") <= F.col("space")
-        rows = rows.withColumn("fit_words", F.coalesce(F.max(F.when(fits, F.col("upto"))).over(whole), F.lit(0))).withColumn("fit_rows", F.coalesce(F.max(F.when(fits, F.col("nth"))).over(whole), F.lit(0)))
-        near = ~fits & (F.col("nth") <= F.col("fit_rows") + FILL_CANDIDATES) & (words > 0)
+        rows = rows.withColumn("fit_words", F.coalesce(F.max(F.when(fits, F.col("upto"))).over(whole), F.lit(0)))
         item = F.struct((-F.col("words")).alias("less"), F.col("mix_key"), F.col("doc_id"), F.col("size"))
-        waiting = F.array_sort(F.collect_list(F.when(near, item)).over(whole))
+        waiting = F.array_sort(F.collect_list(F.when(~fits & (F.col("words") <= F.col("space") - F.col("fit_words")), item)).over(whole))
         rows = rows.withColumn("waiting", F.when(F.col("nth") == 1, waiting))
-        kind = "array<struct<mix_key:long,doc_id:long,size:long>>"
-        begin = F.struct((F.col("space") - F.col("fit_words")).cast("double").alias("left"), F.array().cast(kind).alias("chosen"))
+        begin = F.struct((F.col("space") - F.col("fit_words")).cast("double").alias("left"), F.array().cast("array<struct<less:long,mix_key:long,doc_id:long,size:long>>").alias("chosen"))
 
         def fill(state, x):
             ok = -x["less"] <= state["left"]
-            more = F.concat(state["chosen"], F.array(F.struct(x["mix_key"].alias("mix_key"), x["doc_id"].alias("doc_id"), x["size"].alias("size"))))
-            return F.struct(F.when(ok, state["left"] + x["less"]).otherwise(state["left"]).alias("left"), F.when(ok, more).otherwise(state["chosen"]).alias("chosen"))
+            return F.struct(F.when(ok, state["left"] + x["less"]).otherwise(state["left"]).alias("left"), F.when(ok, F.concat(state["chosen"], F.array(x))).otherwise(state["chosen"]).alias("chosen"))
 
-        extra = rows.where("nth = 1").select("source_rank", F.explode(F.aggregate("waiting", begin, fill, lambda s: s["chosen"])).alias("c")).select("source_rank", "c.mix_key", "c.doc_id", "c.size")
-        taken = rows.where(fits).select("source_rank", "mix_key", "doc_id", "size").unionByName(extra)
-        return common.materialize(taken.withColumn("one_more", F.lit(True)), "mix-last")
+        extra = rows.where("nth = 1").select("source_rank", "block", F.explode(F.aggregate("waiting", begin, fill, lambda s: s["chosen"])).alias("c"))
+        extra = extra.select("source_rank", "block", "c.mix_key", "c.doc_id", "c.size", (-F.col("c.less")).alias("words"))
+        return rows.where(fits).select("source_rank", "block", "mix_key", "doc_id", "size", "words").unionByName(extra)
 
     def _shards(self, shard_words: int) -> DataFrame:
         """For each block the shard of each pass over it, in order."""
@@ -235,7 +265,7 @@ class Plan:
 
     def apply(self, rows: DataFrame) -> DataFrame:
         """``rows`` (doc_id, source, size, and any others) with source_size, target, copies and shards."""
-        out = self._keyed(rows).join(self.shards, ["source_rank", "block"], "left").join(self.last, ["source_rank", "mix_key", "doc_id", "size"], "left")
+        out = self._keyed(rows).join(self.shards, ["source_rank", "block"], "left").join(self.last.drop("block"), ["source_rank", "mix_key", "doc_id", "size"], "left")
         partial = F.when(F.col("state") == 2, 1).when((F.col("state") == 1) & F.coalesce("one_more", F.lit(False)), 1).otherwise(0)
         copies = F.when(F.col("size") > 0, F.col("passes") + partial).otherwise(0).cast("long")
         shards = F.when(copies > 0, F.slice("shards", F.lit(1), copies.cast("int"))).otherwise(F.array().cast("array<int>"))

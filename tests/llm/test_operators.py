@@ -101,6 +101,19 @@ def test_mixing_many_documents(spark):
     assert len(shards) == 8 and max(r["count"] for r in shards) < 3 * min(r["count"] for r in shards)
 
 
+def test_mixing_meets_the_target_past_a_long_document(spark):
+    size = F.when(F.col("id") % 1000 == 0, F.lit(30_000)).otherwise(F.col("id") % 13 + 20)
+    many = spark.range(4000).select(F.col("id").alias("doc_id"), F.repeat(F.lit("w "), size.cast("int")).alias("text"), F.concat(F.lit("s"), F.floor(F.col("id") / 1000).cast("string")).alias("source"))
+    for seed in range(1, 4):
+        left, untaken = {}, {}
+        for r in mixing.assign(many, seed=seed).collect():
+            left[r["source"]] = left.get(r["source"], r["target"]) - r["taken"]
+            if r["copies"] <= r["target"] // r["source_size"]:
+                untaken.setdefault(r["source"], []).append(r["size"])
+        assert len(left) == 4 and all(x >= 0 for x in left.values())
+        assert all(x < min(untaken.get(s, [math.inf])) for s, x in left.items()), left
+
+
 def test_hypergeometric_law(spark):
     draw = mixing.hypergeometric(F.lit(50).cast("long"), F.lit(20).cast("long"), F.lit(15).cast("long"), mixing.uniform(F.lit(3), F.col("id")))
     seen = {r["x"]: r["count"] for r in spark.range(5000).select(draw.alias("x")).groupBy("x").count().collect()}
