@@ -177,7 +177,9 @@ class Plan:
         touched = self.last.select("source_rank", "block").distinct().withColumn("touched", F.lit(1))
         state = F.when((F.col("state") == 0) & F.col("touched").isNotNull(), 1).otherwise(F.col("state"))
         self.blocks = common.materialize(blocks.join(touched, ["source_rank", "block"], "left").select("source_rank", "block", "passes", state.alias("state")), "mix-states")
-        self.shards = self._shards(shard_words)
+        words = self.sources.agg(F.sum("target")).first()[0] or 0.0
+        self.bits = min(MOST_SHARD_BITS, max(3, math.ceil(math.log2(max(1.0, words / shard_words)))))
+        self.shards = self._shards()
 
     def _keyed(self, rows: DataFrame) -> DataFrame:
         """Rows with their source's rank, permutation key and block; a null-safe join to the small sources table."""
@@ -243,16 +245,14 @@ class Plan:
         extra = extra.select("source_rank", "block", "c.mix_key", "c.doc_id", "c.size", (-F.col("c.less")).alias("words"))
         return rows.where(fits).select("source_rank", "block", "mix_key", "doc_id", "size", "words").unionByName(extra)
 
-    def _shards(self, shard_words: int) -> DataFrame:
+    def _shards(self) -> DataFrame:
         """For each block the shard of each pass over it, in order."""
-        words = self.sources.agg(F.sum("target")).first()[0] or 0.0
-        bits = min(MOST_SHARD_BITS, max(3, math.ceil(math.log2(max(1.0, words / shard_words)))))
         passed = F.sum(F.when(F.col("state") > 0, 1).otherwise(0)).cast("long")
         quotas = self.blocks.groupBy("source_rank").agg((F.first("passes") * F.count("*") + passed).alias("quota"))
         numbered = self.blocks.withColumn("nth", F.row_number().over(Window.partitionBy("source_rank").orderBy(F.desc(F.col("state") > 0), "block")) - 1)
         size = F.count("*").over(Window.partitionBy("source_rank"))
         numbered = numbered.withColumn("n_blocks", size).select("source_rank", "block", "state", "nth", "n_blocks")
-        dealt = split_quotas(quotas, bits, self.seed)
+        dealt = split_quotas(quotas, self.bits, self.seed)
         until = F.sum("blocks").over(Window.partitionBy("source_rank").orderBy("shard"))
         runs = dealt.withColumn("until", until).where("blocks > 0")
         places = runs.select("source_rank", "shard", F.explode(F.expr("sequence(until - blocks, until - 1)")).alias("place"))
@@ -280,12 +280,16 @@ def assign(docs: DataFrame, **options) -> DataFrame:
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
-    """The mix itself: a row of ``docs`` for each copy taken, with its shard and its place's order key there."""
+    """The mix itself: a row of ``docs`` for each copy taken, with its shard and its place's order key there.
+
+    Each partition is one shard, in its order.
+    """
     plan = Plan(docs, **options)
     own = [F.col(c) for c in docs.columns]
     wide = docs.select(F.struct(*own).alias("mix_row"), "doc_id", "source", word_count(F.col("text")).alias("size"))
     copies = plan.apply(wide).select("mix_row", "mix_key", F.posexplode("mix_shards").alias("mix_pass", "mix_shard"))
-    return copies.select("mix_row.*", "mix_shard", F.xxhash64(F.lit(plan.seed + 1), "mix_key", "mix_pass").alias("mix_order"))
+    copies = copies.select("mix_row.*", "mix_shard", F.xxhash64(F.lit(plan.seed + 1), "mix_key", "mix_pass").alias("mix_order"))
+    return copies.repartitionById(1 << plan.bits, F.col("mix_shard")).sortWithinPartitions("mix_shard", "mix_order")
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

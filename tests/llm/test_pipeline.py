@@ -115,3 +115,13 @@ def test_tokens(stages):
 def test_run_repeats(spark, corpus, stages):
     got = Counter((r["doc_id"], r["ids_sha256"]) for r in corpus_pipeline.run(spark, corpus).collect())
     assert got == Counter((r["doc_id"], r["ids_sha256"]) for r in stages[5].collect())
+
+
+def test_mix_is_written_by_shard_and_in_its_order(spark, corpus, tmp_path):
+    docs = spark.read.parquet(f"{corpus}/documents.parquet")
+    shards = {}
+    for r in corpus_pipeline.mixing.mix(docs).collect():
+        shards.setdefault(r["mix_shard"], []).append((r["mix_order"], r["doc_id"]))
+    corpus_pipeline.mix_sources(spark, docs, corpus).write.parquet(f"{tmp_path}/mix")
+    files = [[r["doc_id"] for r in spark.read.parquet(str(f)).coalesce(1).collect()] for f in (tmp_path / "mix").glob("*.parquet")]
+    assert sorted(f for f in files if f) == sorted([i for _, i in sorted(rows)] for rows in shards.values())
