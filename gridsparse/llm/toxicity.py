@@ -11,7 +11,7 @@ A document's score is a logistic function of its marginals' sum, density and
 maximum.
 
 Fitting reads at most ``PER_CLASS`` labelled training documents (those of least
-id hash); scoring reads every text whole.  Null and empty texts
+id hash) and uses all their windows; scoring reads every text whole.  Null and empty texts
 have no tokens and get the score of zero evidence; without labelled training
 rows of both classes every score is the share of toxic training labels (0 if
 none).  Rows repeat as in the input.
@@ -32,6 +32,7 @@ PER_CLASS = (2000, 1000)  # documents without and with the label
 PREFIXES = (3, 4, 5, 6, 7, 8)
 BUCKETS = 1 << 20
 WINDOW = 24
+BATCH = 20_000  # windows whose marginals are in memory at once
 THRESHOLD = 0.3
 
 
@@ -182,28 +183,37 @@ def fit(texts: list[str | None], toxic: list[int], share: float) -> Field:
 
 
 def _fit_chain(local, active, tag, word_offsets, row, n_features, rounds: int = 60):
-    """Maximum likelihood with a small ridge, over windows around the active tokens."""
+    """Maximum likelihood with a small ridge, over all windows around the active tokens, ``BATCH`` of them at a time."""
     centre = np.flatnonzero(active)
-    centre = centre[np.concatenate(([True], (np.diff(centre) > WINDOW // 2) | (np.diff(row[centre]) > 0)))][:20000]
-    place = centre[:, None] + np.arange(-(WINDOW // 3), WINDOW - WINDOW // 3)[None, :]
-    real = (place >= word_offsets[row[centre]][:, None]) & (place < word_offsets[row[centre] + 1][:, None])
-    place = np.where(real, place, 0)
-    hot = active[place] & real
-    labels = tag[place] & real
-    which = np.where(hot[:, :, None], local[place], -1)
-    flat, cell = which[which >= 0], np.nonzero(which >= 0)
-    w, bias, trans = np.zeros(n_features), -4.0, np.zeros((2, 2))
-    pairs = real[:, 1:] & real[:, :-1]
-    gold_t = np.array([[(pairs & (labels[:, :-1] == i) & (labels[:, 1:] == j)).sum() for j in (0, 1)] for i in (0, 1)], float)
-    gold_b, gold_w = labels.sum(), np.bincount(flat, labels[cell[0], cell[1]], n_features)
-    theta = np.concatenate((w, [bias], trans.ravel()))
+    centre = centre[np.concatenate(([True], (np.diff(centre) > WINDOW // 2) | (np.diff(row[centre]) > 0)))]
+    batches = []
+    gold_t, gold_b, gold_w = np.zeros((2, 2)), 0, np.zeros(n_features)
+    for first in range(0, len(centre), BATCH):
+        part = centre[first : first + BATCH]
+        place = part[:, None] + np.arange(-(WINDOW // 3), WINDOW - WINDOW // 3)[None, :]
+        real = (place >= word_offsets[row[part]][:, None]) & (place < word_offsets[row[part] + 1][:, None])
+        place = np.where(real, place, 0)
+        labels = (tag[place] & real).ravel()
+        at = np.flatnonzero(active[place] & real)
+        which = local[place.ravel()[at]]
+        flat, cell = which[which >= 0], at[np.nonzero(which >= 0)[0]].astype(np.int32)
+        marks, pairs = labels.reshape(real.shape), real[:, 1:] & real[:, :-1]
+        gold_t += [[(pairs & (marks[:, :-1] == i) & (marks[:, 1:] == j)).sum() for j in (0, 1)] for i in (0, 1)]
+        gold_b += labels.sum()
+        gold_w += np.bincount(flat, labels[cell], n_features)
+        batches.append((real, flat, cell))
+    theta = np.concatenate((np.zeros(n_features), [-4.0], np.zeros(4)))
     m, v = np.zeros_like(theta), np.zeros_like(theta)
     for step in range(1, rounds + 1):
         w, bias, trans = theta[:n_features], theta[n_features], theta[n_features + 1 :].reshape(2, 2)
-        score = np.bincount(cell[0] * WINDOW + cell[1], w[flat], real.size).reshape(real.shape)
-        one, two = _window_marginals(bias + score, trans, real)
-        grad_t = gold_t - two
-        grad = np.concatenate((gold_w - np.bincount(flat, one[cell[0], cell[1]], n_features) - 0.5 * w, [gold_b - one[real].sum()], grad_t.ravel() - 0.5 * trans.ravel())) / len(centre)
+        grad_w, grad_b, grad_t = gold_w - 0.5 * w, float(gold_b), gold_t - 0.5 * trans
+        for real, flat, cell in batches:
+            score = np.bincount(cell, w[flat], real.size).reshape(real.shape)
+            one, two = _window_marginals(bias + score, trans, real)
+            grad_w -= np.bincount(flat, one.ravel()[cell], n_features)
+            grad_b -= one[real].sum()
+            grad_t -= two
+        grad = np.concatenate((grad_w, [grad_b], grad_t.ravel())) / len(centre)
         m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad**2
         theta = theta + 0.25 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
     return theta[:n_features], float(theta[n_features]), theta[n_features + 1 :].reshape(2, 2)

@@ -361,6 +361,23 @@ def test_toxicity(spark, docs):
     assert {r["score"] for r in toxicity.score_documents(docs, unlabelled).collect()} == {0.0}
 
 
+def test_field_learns_from_the_last_windows():
+    dense = " ".join("gruntig" if k % 14 == 0 else f"w{k % 10}" for k in range(20_000))
+    late = " ".join("vilex" if k % 20 == 0 else f"w{k % 10}" for k in range(100))
+    clean = " ".join(f"w{k % 10}" for k in range(20_000))
+    field = toxicity.fit([clean] * 15 + [dense] * 15 + [late] * 20, [0] * 15 + [1] * 35, 0.5)
+    data = np.frombuffer(b"vilex", np.uint8)
+    assert field.evidence(toxicity.prefix_buckets(data, np.array([0]), np.array([5])))[0] > 1
+
+
+def test_field_batches_agree(monkeypatch):
+    texts = [" ".join("gruntig" if k % (13 + d) == 5 and d % 2 else f"w{k % 10}" for k in range(200)) for d in range(40)]
+    whole = toxicity.fit(texts, [d % 2 for d in range(40)], 0.5)
+    monkeypatch.setattr(toxicity, "BATCH", 7)
+    parts = toxicity.fit(texts, [d % 2 for d in range(40)], 0.5)
+    assert np.allclose(whole.weights, parts.weights, atol=1e-4) and np.allclose(whole.link, parts.link, atol=1e-3)
+
+
 def test_field_marginals_against_enumeration():
     rng = np.random.default_rng(1)
     field = toxicity.Field(np.zeros(4), -1.3, rng.normal(size=(2, 2)), np.zeros(5))
