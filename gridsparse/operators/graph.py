@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import itertools
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -12,35 +14,46 @@ from gridsparse.semiring import Semiring
 from gridsparse.storage import settle
 
 
-def bfs_multi(a: SparseMatrix, sources: DataFrame, most_levels: int = 50) -> DataFrame:
+def _bounded(rounds: int, most: int | None) -> None:
+    if most is not None and rounds > most:
+        raise RuntimeError(f"not done after {most} rounds")
+
+
+def bfs_multi(a: SparseMatrix, sources: DataFrame, most_levels: int | None = None) -> DataFrame:
     """(source, vertex, level): level-synchronous search from all ``sources`` (vertex) at once.
 
     Each level is the frontier (a tall, thin matrix, one column per source)
-    times the graph, less what has been visited.
+    times the graph, less what has been visited.  The search ends with an empty
+    frontier; one still going after ``most_levels`` is an error.
     """
     visited = settle(sources.select(F.col("vertex").alias("source"), "vertex", F.lit(0).alias("level")), "bfs")
     frontier = visited.select("source", "vertex")
     edges = a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to"))
-    for level in range(1, most_levels + 1):
+    for level in itertools.count(1):
         reached = frontier.join(edges, "vertex").select("source", F.col("to").alias("vertex")).distinct()
         fresh = settle(reached.join(visited.select("source", "vertex"), ["source", "vertex"], "left_anti"), "bfs")
         if not fresh.head(1):
             break
+        _bounded(level, most_levels)
         visited = visited.unionByName(fresh.withColumn("level", F.lit(level)))
         frontier = fresh
     return visited
 
 
-def betweenness(a: SparseMatrix, sources: DataFrame, most_levels: int = 50) -> DataFrame:
-    """(vertex, score): dependencies summed over the sources, by path counts forward and shares backward."""
+def betweenness(a: SparseMatrix, sources: DataFrame, most_levels: int | None = None) -> DataFrame:
+    """(vertex, score): dependencies summed over the sources, by path counts forward and shares backward.
+
+    All levels are searched; more than ``most_levels`` are an error.
+    """
     edges = a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to"))
     levels = [settle(sources.select(F.col("vertex").alias("source"), "vertex", F.lit(1.0).alias("paths")), "paths")]
     seen = levels[0].select("source", "vertex")
-    for _ in range(most_levels):
+    for level in itertools.count(1):
         step = levels[-1].join(edges, "vertex").groupBy("source", F.col("to").alias("vertex")).agg(F.sum("paths").alias("paths"))
         step = settle(step.join(seen, ["source", "vertex"], "left_anti"), "paths")
         if not step.head(1):
             break
+        _bounded(level, most_levels)
         levels.append(step)
         seen = seen.unionByName(step.select("source", "vertex"))
     share = levels[-1].select("source", "vertex", F.lit(0.0).alias("share"))
@@ -109,18 +122,19 @@ def schur_update(d: SparseMatrix, c: SparseMatrix, inverse: SparseMatrix, b: Spa
     return elementwise.ewise_sub(d, multiply(multiply(c, inverse), b))
 
 
-def cfg_reach(rules: list[tuple[str, str, str]], edges: DataFrame, most_rounds: int = 30) -> DataFrame:
-    """(label, i, j) derivable by rules label -> left right, from labelled edges, to the fixpoint."""
+def cfg_reach(rules: list[tuple[str, str, str]], edges: DataFrame, most_rounds: int | None = None) -> DataFrame:
+    """(label, i, j) derivable by rules label -> left right, from labelled edges, to the fixpoint; one not met in ``most_rounds`` is an error."""
     spark = edges.sparkSession
     grammar = F.broadcast(spark.createDataFrame(rules, "label string, l string, r string"))
     now = settle(edges.select("label", "i", "j").distinct(), "cfg")
-    for _ in range(most_rounds):
+    for count in itertools.count(1):
         left = now.select(F.col("label").alias("l"), "i", F.col("j").alias("k"))
         right = now.select(F.col("label").alias("r"), F.col("i").alias("k"), "j")
         made = left.join(right, "k").join(grammar, ["l", "r"]).select("label", "i", "j").distinct()
         fresh = settle(made.join(now, ["label", "i", "j"], "left_anti"), "cfg")
         if not fresh.head(1):
             break
+        _bounded(count, most_rounds)
         now = settle(now.unionByName(fresh), "cfg")
     return now
 

@@ -509,11 +509,11 @@ def interpolate(spark, sf_dir):
 # -- graphs ---------------------------------------------------------------------
 @register("bfs_multi", sql("+RECURSIVE_s AS (SELECT idx AS source, idx AS vertex, 0 AS level FROM perm WHERE pos < 4)", "h", "perm").replace("WITH ", "WITH RECURSIVE ", 1).replace("RECURSIVE_s", "s0") + ", w AS (SELECT * FROM s0 UNION SELECT w.source, h.j, w.level + 1 FROM w JOIN h ON w.vertex = h.i WHERE w.level < 5) SELECT source, vertex, CAST(min(level) AS INTEGER) AS level FROM w GROUP BY ALL")
 def bfs_multi(spark, sf_dir):
-    """Up to five levels from four sources."""
+    """All levels from four sources."""
     t = Tables(spark, sf_dir)
     sources = perms.head(_permutation(t), 4).select(F.col("idx").alias("vertex"))
     h = t.co_purchase()
-    return graph.bfs_multi(h.with_df(settle(h.df)), sources, 5)
+    return graph.bfs_multi(h.with_df(settle(h.df)), sources)
 
 
 @register("triangles", sql("SELECT count(*) AS n FROM h a JOIN h b ON a.j = b.i AND a.i > a.j AND b.i > b.j JOIN h c ON c.i = a.i AND c.j = b.j", "h"))
@@ -568,14 +568,14 @@ def cfg_reach(spark, sf_dir):
     """S -> S E with S over each edge: the transitive closure as a grammar."""
     e = Tables(spark, sf_dir).table("events").where("event_type = 'purchase' AND user_id < 40").select((F.col("user_id") % 40).alias("i"), ((F.col("user_id") * 7 + 3) % 40).alias("j")).distinct()
     edges = e.select(F.lit("E").alias("label"), "i", "j").unionByName(e.select(F.lit("S").alias("label"), "i", "j"))
-    return graph.cfg_reach([("S", "S", "E")], edges, 45)
+    return graph.cfg_reach([("S", "S", "E")], edges)
 
 
 @register("betweenness")
 def betweenness(spark, sf_dir):
     t = Tables(spark, sf_dir)
     h = t.co_purchase()
-    return graph.betweenness(h.with_df(settle(h.df)), perms.head(_permutation(t), 2).select(F.col("idx").alias("vertex")), 4)
+    return graph.betweenness(h.with_df(settle(h.df)), perms.head(_permutation(t), 2).select(F.col("idx").alias("vertex")))
 
 
 @register("peer_pressure")

@@ -6,6 +6,7 @@ import math
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from gridsparse.functions import permutations as perms
 from gridsparse.matrix import SparseMatrix, from_arrays, from_triples
@@ -221,3 +222,13 @@ def test_plans(spark, pair):
     finally:
         spark.conf.unset("spark.sql.adaptive.enabled")
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_searches_that_are_not_done_are_errors(spark):
+    chain = spark.range(6).select(F.col("id").alias("i"), (F.col("id") + 1).alias("j"), F.lit(1).alias("v"))
+    a, sources = SparseMatrix(chain, 7, 7), spark.createDataFrame([(0,)], "vertex long")
+    edges = chain.select(F.explode(F.array(F.lit("E"), F.lit("S"))).alias("label"), "i", "j")
+    for search in (lambda: graph.bfs_multi(a, sources, 3), lambda: graph.betweenness(a, sources, 3), lambda: graph.cfg_reach([("S", "S", "E")], edges, 2)):
+        with pytest.raises(RuntimeError):
+            search()
+    assert {r["vertex"]: r["level"] for r in graph.bfs_multi(a, sources).collect()} == {k: k for k in range(7)}
