@@ -132,7 +132,7 @@ class PrefixEncoder:
         return last
 
     def search(self, raw: bytes) -> list[int]:
-        """The tokens of ``raw`` by filling only the prefixes that a longest-first search meets.
+        """The tokens of ``raw``, as a cross-check of the table, by filling only the prefixes that a longest-first search meets.
 
         A prefix that was left without reaching the end is never entered again:
         its last token is unique, so nothing else could follow it.
@@ -194,7 +194,7 @@ class PrefixEncoder:
     def _piece_ids(self, piece: str) -> bytes:
         raw = piece.encode()
         whole = self.ranks.get(raw)
-        ids = [whole] if whole is not None else self.search(raw)
+        ids = [whole] if whole is not None else self.tokens_of(raw, self.extend(raw, []))
         return b"".join(map(self.packed.__getitem__, ids))
 
     def pieces(self, text: str) -> list[str]:

@@ -152,6 +152,13 @@ def test_bpe_random_and_edits(library):
         assert table == coder.extend(new, []) and fresh <= len(new)
 
 
+def test_bpe_encodes_by_the_prefix_table(library, monkeypatch):
+    own = bpe.PrefixEncoder(bpe.encoder().ranks, public_tokenizers.PATTERN)
+    monkeypatch.setattr(own, "search", None)
+    text = "unquestionablyzzq xqjkvbn 12345678 naïveté"
+    assert own.encode(text) == library.encode_ordinary(text)
+
+
 def test_token_counts(docs, rows, library):
     got = sorted(((r["doc_id"] is None, r["doc_id"], r["n_tokens"], tuple(r["section_tokens"])) for r in token_counts.count_sections(docs, "first").collect()), key=str)
     want = []
