@@ -40,19 +40,24 @@ def shared_dir(spark: SparkSession) -> str:
     return (spark.sparkContext.getConf().get("spark.checkpoint.dir") or "file:///tmp/checkpoints").rstrip("/")
 
 
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder as Parquet and read it back.
-
-    Cuts lineage so that a lost executor costs a file read rather than a
-    recomputation; the files go when the driver's JVM ends.
-    """
+def write(df: DataFrame, label: str, by: str | None = None) -> str:
+    """Write ``df`` to a new folder of the shared one as Parquet (in a folder for each value of ``by``); the files go when the driver's JVM ends."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
-    return spark.read.schema(df.schema).parquet(path)
+    return path
+
+
+def materialize(df: DataFrame, label: str, by: str | None = None) -> DataFrame:
+    """Write ``df`` to the shared folder and read it back.
+
+    Cuts lineage so that a lost executor costs a file read rather than a
+    recomputation.
+    """
+    return df.sparkSession.read.schema(df.schema).parquet(write(df, label, by))
 
 
 def fit_remotely(sample: DataFrame, fit: Callable[[list[dict]], object]):

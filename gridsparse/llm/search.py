@@ -1,16 +1,23 @@
-"""Exact BM25 top-k over sharded inverted indexes with block-max pruning, and op4.
+"""Exact BM25 top-k over sharded inverted indexes with block-max WAND pruning, and op4.
 
 Each task turns runs of its documents into shards: a sorted term array, and
-per term the postings (document, count).  Document frequencies, the number of
-documents and their mean length are global, so scores of different shards
-compare; a shard's best k of each query merge by one ranking.
-
-In a shard a query's lists fall into sparse ones and common ones.  Common
-lists carry, for blocks of ``BLOCK`` documents, the largest impact.  As in
-block-max WAND, a document is scored in full only if its bound, here the exact
-sum over the sparse lists plus the sum of the common lists' block maxima,
-reaches the threshold, which is the k-th best of the documents scored first
-(those of the highest bounds).  The test is made for all documents at once.
+per term the postings (document, count) in document order.  Document
+frequencies, the number of documents and their mean length are global, so
+scores of different shards compare.  Documents of equal terms and counts are
+one entry of a shard with several ids: they share their score.
+
+Every list carries, for aligned blocks of ``BLOCK`` documents, its largest
+impact there.  The lists' cursors move over the blocks together: a block whose
+maxima, summed over the query's lists, stay under the query's threshold is
+skipped before any posting in it is read; what is left is scored in full.  The
+maxima of the common lists stand in a matrix and those of the others as
+(list, block) entries, and a batch of queries is tested at once.
+
+The threshold is the k-th best score that the query has met anywhere: shards
+have levels (a level has four times the shards of the next), the few shards of
+the highest levels go first, and each level starts from the thresholds of those
+before it.  A task merges its shards' hits and gives at most k a query, so all
+levels together give some k a level, whatever the number of shards.
 
 Terms are words, A-Z lower-cased; a query's distinct terms count once each.
 Scores are rounded to 6 digits and ties go to the lesser id.  Null and empty
@@ -20,8 +27,6 @@ not returned.  A query's results may hold the query's own document.
 
 from __future__ import annotations
 
-import functools
-
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
@@ -34,12 +39,14 @@ K1, B = 1.2, 0.75
 TOP = 10
 SHARD_DOCUMENTS = 8192
 SHARD_BYTES = 48 << 20
-BLOCK = 64
-COMMON_SHARE = 1 / 24
-MOST_COMMON = 256
+BLOCK = 4
+COMMON_SHARE = 1 / 16  # lists in more than this share of a shard's documents keep their maxima in a matrix; work differs, results don't
+FIRST_SHARDS = 8
+MOST_LEVEL = 15
 QUERY_BLOCK = 4096
 BLOCK_TERMS = 4_000_000
-INDEX_SCHEMA = "shard long, n_docs int, words long, ids binary, lengths binary, terms binary, starts binary, docs binary, counts binary"
+BATCH_ENTRIES = 600_000
+INDEX_SCHEMA = "shard long, n_docs int, words long, ids binary, id_starts binary, lengths binary, terms binary, starts binary, docs binary, counts binary, frequencies binary, level int"
 
 
 def document_terms(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -47,7 +54,7 @@ def document_terms(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray
     data, offsets = common.utf8(column)
     starts, ends, word_offsets = common.word_bounds(data, offsets)
     terms, rows = common.word_hashes(data, starts, ends), common.row_of(word_offsets)
-    order = np.lexsort((rows, terms))
+    order = np.argsort(terms, kind="stable")
     terms, rows = terms[order], rows[order]
     first = np.ones(len(terms), bool)
     first[1:] = (terms[1:] != terms[:-1]) | (rows[1:] != rows[:-1])
@@ -55,20 +62,53 @@ def document_terms(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray
     return rows[at], terms[at], np.diff(np.append(at, len(terms))), np.diff(word_offsets)
 
 
+def _runs(starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The members of the ranges ``starts[k] + 0 .. sizes[k] - 1``, and the range of each."""
+    which = np.repeat(np.arange(len(sizes)), sizes)
+    ends = np.cumsum(sizes)
+    return np.arange(ends[-1] if len(ends) else 0) + np.repeat(starts - ends + sizes, sizes), which
+
+
+def _same(rows: np.ndarray, terms: np.ndarray, counts: np.ndarray, n: int) -> np.ndarray:
+    """A group number for each of ``n`` documents; documents of equal terms and counts (by 128 bits of digests) share one, numbered by their first."""
+    digests = np.zeros((2, n), np.uint64)
+    order = np.argsort(rows, kind="stable")
+    by_row, codes = rows[order], common.mix64(terms[order] ^ common.mix64(counts[order].astype(np.uint64)))
+    begin = np.flatnonzero(np.concatenate(([True], by_row[1:] != by_row[:-1]))) if len(by_row) else np.empty(0, np.int64)
+    if len(begin):
+        digests[0, by_row[begin]] = np.add.reduceat(codes, begin)
+        digests[1, by_row[begin]] = np.add.reduceat(common.mix64(codes), begin)
+    order = np.lexsort((np.arange(n), digests[1], digests[0]))
+    new = np.ones(n, bool)
+    new[1:] = (digests[:, order[1:]] != digests[:, order[:-1]]).any(axis=0)
+    head = order[np.flatnonzero(new)][np.cumsum(new) - 1]
+    leader = np.empty(n, np.int64)
+    leader[order] = head
+    return np.unique(leader, return_inverse=True)[1]
+
+
 def _shard(parts, number: int) -> dict:
     """One shard from the parts (ids, rows, terms, counts, lengths) of its slices."""
     base = np.cumsum([0] + [len(p[0]) for p in parts[:-1]])
     rows = np.concatenate([p[1] + b for p, b in zip(parts, base, strict=True)])
     terms, counts = (np.concatenate([p[i] for p in parts]) for i in (2, 3))
-    order = np.lexsort((rows, terms))
-    terms = terms[order]
+    order = np.argsort(terms, kind="stable")
+    rows, terms, counts = rows[order], terms[order], counts[order]
+    lengths, ids = (np.concatenate([p[i] for p in parts]) for i in (4, 0))
+    group = _same(rows, terms, counts, len(ids))
+    _, first_row, times = np.unique(group, return_index=True, return_counts=True)
+    kept = np.zeros(len(ids), bool)
+    kept[first_row] = True
+    held = kept[rows]
+    docs, terms, counts = group[rows[held]], terms[held], counts[held]
     first = np.flatnonzero(np.concatenate(([True], terms[1:] != terms[:-1]))) if len(terms) else np.empty(0, np.int64)
-    lengths = np.concatenate([p[4] for p in parts])
-    ids = np.concatenate([p[0] for p in parts])
+    bits = int(common.mix64(np.array([number + 1], np.uint64))[0]) | 1 << 2 * MOST_LEVEL
     return {
-        "shard": number, "n_docs": len(ids), "words": int(lengths.sum()), "ids": ids.astype(np.int64).tobytes(), "lengths": lengths.astype(np.int32).tobytes(),
-        "terms": terms[first].tobytes(), "starts": np.append(first, len(terms)).astype(np.int32).tobytes(),
-        "docs": rows[order].astype(np.uint16).tobytes(), "counts": counts[order].astype(np.int32).tobytes(),
+        "shard": number, "n_docs": len(ids), "words": int(lengths.sum()), "ids": ids[np.lexsort((ids, group))].astype(np.int64).tobytes(),
+        "id_starts": np.concatenate(([0], np.cumsum(times))).astype(np.int32).tobytes(), "lengths": lengths[first_row].astype(np.int32).tobytes(),
+        "terms": terms[first].tobytes(), "starts": np.append(first, len(terms)).astype(np.int32).tobytes(), "docs": docs.astype(np.uint16).tobytes(),
+        "counts": counts.astype(np.int32).tobytes(), "frequencies": (np.add.reduceat(times[docs], first) if len(first) else first).astype(np.int32).tobytes(),
+        "level": ((bits & -bits).bit_length() - 1) // 2,
     }
 
 
@@ -115,79 +155,186 @@ def frequencies(index: DataFrame) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for terms, starts in zip(batch.column("terms"), batch.column("starts"), strict=True):
+            for terms, counts in zip(batch.column("terms"), batch.column("frequencies"), strict=True):
                 found = np.frombuffer(terms.as_py(), np.int64)
-                counts = np.diff(np.frombuffer(starts.as_py(), np.int32)).astype(np.int64)
+                times = np.frombuffer(counts.as_py(), np.int32).astype(np.int64)
                 for a in range(0, len(found), 50_000):
-                    yield pa.RecordBatch.from_arrays([pa.array(found[a : a + 50_000]), pa.array(counts[a : a + 50_000])], names=["term", "n"])
+                    yield pa.RecordBatch.from_arrays([pa.array(found[a : a + 50_000]), pa.array(times[a : a + 50_000])], names=["term", "n"])
+
+    return index.select("terms", "frequencies").mapInArrow(run, "term long, n long")
+
+
+class QueryBlock:
+    """Queries with their weighted terms, and the best ``top`` hits met so far."""
 
-    return index.select("terms", "starts").mapInArrow(run, "term long, n long")
+    def __init__(self, ids: np.ndarray, ends: np.ndarray, terms: np.ndarray, weights: np.ndarray, top: int):
+        self.ids, self.ends, self.weights, self.top = ids, ends, weights, top
+        self.vocabulary, self.slots = np.unique(terms, return_inverse=True)
+        self.floor = np.full(len(ids), -np.inf)  # a hit must beat this score, or equal it with an id of at most last
+        self.last = np.full(len(ids), np.iinfo(np.int64).max)
+
+    def start(self) -> None:
+        """A task's own state: hits (scores, ids) of each query, and its thresholds."""
+        self.hits: list[tuple[np.ndarray, np.ndarray] | None] = [None] * len(self.ids)
+        self.bar = self.floor.copy()
+
+    def offer(self, query: int, scores: np.ndarray, ids: np.ndarray) -> None:
+        good = (scores > self.floor[query]) | ((scores == self.floor[query]) & (ids <= self.last[query]))
+        scores, ids = scores[good], ids[good]
+        if not len(scores):
+            return
+        if self.hits[query] is not None:
+            scores, ids = np.concatenate((self.hits[query][0], scores)), np.concatenate((self.hits[query][1], ids))
+        order = np.lexsort((ids, -scores))[: self.top]
+        self.hits[query] = scores[order], ids[order]
+        if len(order) == self.top:
+            self.bar[query] = max(self.bar[query], scores[order[-1]])
+
+    def found(self) -> pa.RecordBatch:
+        some = [q for q, h in enumerate(self.hits) if h is not None]
+        scores, ids = (np.concatenate([self.hits[q][k] for q in some]) if some else np.empty(0) for k in (0, 1))
+        names = np.repeat(self.ids[some], [len(self.hits[q][0]) for q in some]) if some else np.empty(0)
+        return pa.RecordBatch.from_arrays([pa.array(names.astype(np.int64)), pa.array(ids.astype(np.int64)), pa.array(scores.astype(float))], names=["query", "doc_id", "score"])
 
 
 class Shard:
-    """A shard's lists with impacts, ready for queries."""
+    """A shard's lists with impacts and block maxima, ready for queries."""
 
     def __init__(self, row: dict, mean_length: float):
-        self.ids = np.frombuffer(row["ids"], np.int64)
-        lengths = np.frombuffer(row["lengths"], np.int32)
-        self.terms, self.starts = np.frombuffer(row["terms"], np.uint64), np.frombuffer(row["starts"], np.int32).astype(np.int64)
-        self.docs = np.frombuffer(row["docs"], np.uint16).astype(np.int64)
-        counts = np.frombuffer(row["counts"], np.int32).astype(np.float64)
-        n = len(self.ids)
-        self.impacts = counts * (K1 + 1) / (counts + K1 * (1 - B + B * lengths[self.docs] / max(mean_length, 1e-9)))
+        read = lambda name, kind: np.frombuffer(row[name], kind)
+        self.ids, self.id_starts = read("ids", np.int64), read("id_starts", np.int32).astype(np.int64)
+        self.terms, self.starts = read("terms", np.uint64), read("starts", np.int32).astype(np.int64)
+        self.docs, self.counts = read("docs", np.uint16).astype(np.int32), read("counts", np.int32)
+        self.n = len(self.id_starts) - 1
+        self.blocks = -(-self.n // BLOCK)
+        self.norm = K1 * (1 - B + B * read("lengths", np.int32) / max(mean_length, 1e-9))
+        self.impacts = (self.counts * (K1 + 1) / (self.counts + self.norm[self.docs])).astype(np.float32)
         size = np.diff(self.starts)
-        many = np.flatnonzero(size > max(16, n * COMMON_SHARE))
-        many = np.sort(many[np.argsort(-size[many], kind="stable")[:MOST_COMMON]])
         self.common = np.full(len(self.terms), -1)
+        many = np.flatnonzero(size > max(16, self.n * COMMON_SHARE))
         self.common[many] = np.arange(len(many))
-        blocks = -(-n // BLOCK)
-        self.dense = np.zeros((len(many), blocks * BLOCK))
-        for k, t in enumerate(many):
-            a, b = self.starts[t], self.starts[t + 1]
-            self.dense[k, self.docs[a:b]] = self.impacts[a:b]
-        self.maxima = self.dense.reshape(len(many), blocks, BLOCK).max(axis=2)
-        self.dense = np.ascontiguousarray(self.dense.T[:n])
-
-    def search(self, terms: np.ndarray, weights: np.ndarray, top: int) -> tuple[np.ndarray, np.ndarray, int]:
-        """Places and scores of the best ``top`` documents (and ties), and how many were scored in full."""
-        n = len(self.ids)
-        if not len(self.terms) or not len(terms):
-            return np.empty(0, np.int64), np.empty(0), 0
-        at = np.minimum(np.searchsorted(self.terms, terms), len(self.terms) - 1)
-        known = self.terms[at] == terms
-        at, weights = at[known], weights[known]
-        which = self.common[at]
-        rare, often = which < 0, which >= 0
-        lists, weight = at[rare], weights[rare]
-        size = self.starts[lists + 1] - self.starts[lists]
-        ends = np.cumsum(size)
-        place = np.arange(ends[-1] if len(ends) else 0) + np.repeat(self.starts[lists] - ends + size, size)
-        partial = np.bincount(self.docs[place], self.impacts[place] * np.repeat(weight, size), n)
-        slots, load = which[often], weights[often]
-        ceiling = load @ self.maxima[slots] if len(slots) else np.zeros(self.maxima.shape[1])
-        bound = partial + np.repeat(ceiling, BLOCK)[:n]
-        share = np.zeros(self.dense.shape[1])
-        share[slots] = load
-
-        def full(rows):
-            return partial[rows] + self.dense[rows] @ share
-
-        first = np.argpartition(-bound, top * 2)[: top * 2] if n > top * 2 else np.arange(n)
-        scores = full(first)
-        threshold = np.partition(scores, -top)[-top] if len(first) >= top else 0.0
-        todo = np.flatnonzero(bound >= threshold - 1e-5)
-        scores = full(todo)
-        good = scores > 0
-        todo, scores = todo[good], np.round(scores[good], 6)
-        order = np.lexsort((self.ids[todo], -scores))[:top]
-        return todo[order], scores[order], len(first) + len(good)
+        place, which = _runs(self.starts[many], size[many])
+        self.dense = np.zeros((self.blocks * BLOCK, len(many)), np.float32)
+        self.dense[self.docs[place], which] = self.impacts[place]
+        self.maxima = np.ascontiguousarray(self.dense.reshape(self.blocks, BLOCK, len(many)).max(axis=1).T)
+        # the other lists' (list, block) entries: where their postings begin, and their largest impact
+        block = self.docs // BLOCK
+        begin = np.ones(len(block), bool)
+        begin[1:] = block[1:] != block[:-1]
+        begin[self.starts[:-1]] = True
+        self.entry = np.flatnonzero(begin)
+        self.entry_block = block[self.entry]
+        self.entry_max = np.maximum.reduceat(self.impacts, self.entry) if len(self.entry) else np.empty(0, np.float32)
+        self.entry_size = np.diff(np.append(self.entry, len(block)))
+        self.entry_starts = np.searchsorted(self.entry, self.starts)
+        # postings by document, for exact scores
+        self.by_doc = np.argsort(self.docs.astype(np.uint16), kind="stable")
+        self.doc_starts = np.concatenate(([0], np.cumsum(np.bincount(self.docs, minlength=self.n))))
+        self.term_of = np.repeat(np.arange(len(self.terms)), size)
+
+    def search(self, queries: QueryBlock) -> int:
+        """Offer this shard's hits of all queries; gives the number of documents that were scored."""
+        if not len(self.terms) or not len(queries.vocabulary):
+            return 0
+        at = np.minimum(np.searchsorted(self.terms, queries.vocabulary), len(self.terms) - 1)
+        place = np.where(self.terms[at] == queries.vocabulary, at, -1)[queries.slots]
+        entries = np.concatenate((np.diff(self.entry_starts), [0]))
+        entries[np.flatnonzero(self.common >= 0)] = 0
+        cost = np.concatenate(([0], np.cumsum(entries[place])))[queries.ends]
+        first, scored, number = 0, 0, len(queries.ids)
+        most = max(1, min(256, (BATCH_ENTRIES * 4) // max(1, self.blocks)))
+        while first < number:
+            stop = min(first + most, max(first + 1, int(np.searchsorted(cost, cost[first] + BATCH_ENTRIES, side="right")) - 1))
+            scored += self._batch(queries, place, first, min(stop, number))
+            first = min(stop, number)
+        return scored
+
+    def _batch(self, queries: QueryBlock, place: np.ndarray, first: int, stop: int) -> int:
+        """The queries from ``first`` up to ``stop``: test all their blocks, then score what is open."""
+        a, b = queries.ends[first], queries.ends[stop]
+        number = stop - first
+        owner = np.repeat(np.arange(number), np.diff(queries.ends[first : stop + 1]))
+        known = place[a:b] >= 0
+        owner, lists, weights = owner[known], place[a:b][known], queries.weights[a:b][known]
+        slot = self.common[lists]
+        often, rare = slot >= 0, slot < 0
+        share = np.zeros((number, self.dense.shape[1]), np.float32)
+        share[owner[often], slot[often]] = weights[often]
+        low = self.entry_starts[lists[rare]]
+        at, which = _runs(low, self.entry_starts[lists[rare] + 1] - low)
+        cell = owner[rare][which] * self.blocks + self.entry_block[at]
+        load = weights[rare][which].astype(np.float32)
+        bound = share @ self.maxima
+        bound += np.bincount(cell, load * self.entry_max[at], number * self.blocks).reshape(number, self.blocks)
+        slack = 1e-4 * bound.max(initial=0) + 1e-3  # far above the rounding of 32-bit sums
+        bar = queries.bar[first:stop].copy()
+        scored = 0
+
+        def scores(open_blocks):
+            """Query, document and score (in 32 bits) of all documents of the open (query, block) cells."""
+            q, block = np.nonzero(open_blocks)
+            index = np.cumsum(open_blocks.ravel()) - 1
+            live = open_blocks.ravel()[cell]
+            posting, of = _runs(self.entry[at[live]], self.entry_size[at[live]])
+            total = np.bincount(index[cell[live]][of] * BLOCK + self.docs[posting] % BLOCK, load[live][of] * self.impacts[posting], len(q) * BLOCK)
+            edges = np.searchsorted(q, np.arange(number + 1))
+            cube = self.dense.reshape(self.blocks, BLOCK, -1)
+            for k in np.flatnonzero(np.diff(edges)):
+                run = slice(edges[k], edges[k + 1])
+                for c in range(run.start, run.stop, 1024):
+                    d = min(run.stop, c + 1024)
+                    total[c * BLOCK : d * BLOCK] += (cube[block[c:d]] @ share[k]).ravel()
+            return np.repeat(q, BLOCK), (block[:, None] * BLOCK + np.arange(BLOCK)).ravel(), total
+
+        fresh = np.flatnonzero(np.isneginf(bar))
+        if len(fresh):  # no threshold yet: the blocks of the highest bounds give one
+            ahead = np.zeros(bound.shape, bool)
+            most = min(self.blocks, 2 * queries.top)
+            ahead[fresh[:, None], np.argpartition(-bound[fresh], most - 1, axis=1)[:, :most]] = True
+            q, doc, total = scores(ahead & (bound > 0))
+            scored += len(q)
+            total[doc >= self.n] = 0
+            edges = np.searchsorted(q, np.arange(number + 1))
+            for k in fresh:
+                own = total[edges[k] : edges[k + 1]]
+                if len(own) >= queries.top:
+                    bar[k] = np.partition(own, -queries.top)[-queries.top]
+        least = np.maximum(bar - slack, 1e-6)[:, None]
+        q, doc, total = scores(bound >= least)
+        scored += len(q)
+        good = (total >= least[q, 0]) & (doc < self.n)
+        q, doc = q[good], doc[good]
+        exact = self._exact(q, doc, owner, lists, weights)
+        edges = np.searchsorted(q, np.arange(number + 1))
+        for k in np.flatnonzero(np.diff(edges)):
+            run = slice(edges[k], edges[k + 1])
+            copies = self.id_starts[doc[run] + 1] - self.id_starts[doc[run]]
+            ids, which = _runs(self.id_starts[doc[run]], np.minimum(copies, queries.top))
+            queries.offer(first + k, exact[run][which], self.ids[ids])
+        return scored
+
+    def _exact(self, q, doc, owner, lists, weights) -> np.ndarray:
+        """Rounded 64-bit scores of (query, document) pairs."""
+        posting, pair = _runs(self.doc_starts[doc], self.doc_starts[doc + 1] - self.doc_starts[doc])
+        posting = self.by_doc[posting]
+        width = len(self.terms)
+        wanted = owner * width + lists
+        order = np.argsort(wanted)
+        key = q[pair] * width + self.term_of[posting]
+        found = order[np.minimum(np.searchsorted(wanted, key, sorter=order), len(order) - 1)] if len(order) else np.empty(0, np.int64)
+        hit = wanted[found] == key if len(order) else np.zeros(0, bool)
+        count = self.counts[posting[hit]]
+        impact = count * (K1 + 1) / (count + self.norm[self.docs[posting[hit]]])
+        return np.round(np.bincount(pair[hit], impact * weights[found[hit]], len(q)), 6)
 
 
 def search(docs: DataFrame, queries: DataFrame, top: int = TOP) -> DataFrame:
     """``query, doc_id, score, rank`` of the best ``top`` of ``docs`` for each row of ``queries`` (doc_id, text)."""
-    index = common.materialize(build_index(docs), "index")
-    totals = index.agg(F.sum("n_docs").alias("n"), F.sum("words").alias("words"), F.count("*").alias("shards")).first()
-    n, mean = totals["n"] or 0, (totals["words"] or 0) / max(1, totals["n"] or 0)
+    spark = docs.sparkSession
+    index = common.materialize(build_index(docs), "index", by="level")
+    levels = sorted(index.groupBy("level").agg(F.count("*").alias("shards"), F.sum("n_docs").alias("n"), F.sum("words").alias("words")).collect(), key=lambda r: -r["level"])
+    n = sum(r["n"] for r in levels)
+    mean = sum(r["words"] for r in levels) / max(1, n)
     wanted = query_terms(queries.where(F.col("doc_id").isNotNull()))
     counted = frequencies(index).join(wanted.select("term").distinct(), "term", "left_semi").groupBy("term").agg(F.sum("n").alias("df"))
     idf = F.log(1 + (F.lit(float(n)) - F.col("df") + 0.5) / (F.col("df") + 0.5))
@@ -195,40 +342,58 @@ def search(docs: DataFrame, queries: DataFrame, top: int = TOP) -> DataFrame:
     weighted = common.materialize(weighted, "queries")
     size = weighted.agg(F.count("*"), F.sum(F.size("terms"))).first()
     blocks = max(1, -(-size[0] // QUERY_BLOCK), -(-(size[1] or 0) // BLOCK_TERMS))
-    parts = []
+    rounds: list[list[int]] = [[]]
+    held = 0
+    for r in levels:
+        if held >= FIRST_SHARDS:
+            rounds.append([])
+        rounds[-1].append(r["level"])
+        held += r["shards"]
+    out = []
     for b in range(blocks):
         here = weighted.where(F.pmod(F.xxhash64("query"), F.lit(blocks)) == b) if blocks > 1 else weighted
-        found = _best(_score_block(index, here, mean, top), top)
-        parts.append(common.materialize(found, "hits") if blocks > 1 else found)
-    return functools.reduce(DataFrame.unionByName, parts)
+        out.append(_search_block(index, rounds, here, mean, top))
+    return spark.read.schema(HITS).parquet(*out)
+
 
+HITS = "query long, doc_id long, score double, rank int"
 
-def _score_block(index: DataFrame, queries: DataFrame, mean: float, top: int) -> DataFrame:
-    """Each shard's best hits for a block of queries; the block (bounded in queries and terms) is broadcast, the index stays where it is."""
+
+def _search_block(index: DataFrame, rounds: list[list[int]], queries: DataFrame, mean: float, top: int) -> str:
+    """The folder of the best hits of a block of queries (bounded in queries and terms), found level after level.
+
+    The block and its thresholds are broadcast; the index stays where it is.
+    """
     block = queries.select("query", "terms").toArrow()
     lists = block.column("terms").combine_chunks()
-    ids = block.column("query").to_pylist()
     ends = np.concatenate(([0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False)))).astype(np.int64)
     terms = lists.flatten().field("term").to_numpy(zero_copy_only=False).view(np.uint64)
-    weights = lists.flatten().field("idf").to_numpy(zero_copy_only=False)
-    shared = index.sparkSession.sparkContext.broadcast((ids, ends, terms, weights))
-
+    state = QueryBlock(block.column("query").to_numpy(), ends, terms, lists.flatten().field("idf").to_numpy(zero_copy_only=False), top)
+    order = np.argsort(state.ids)
+    best, folder = None, ""
+    for levels in rounds:
+        if best is not None:
+            last = best.where(F.col("rank") == top).select("query", "doc_id", "score").toArrow()
+            at = order[np.searchsorted(state.ids, last.column("query").to_numpy(), sorter=order)]
+            state.floor[at], state.last[at] = last.column("score").to_numpy(), last.column("doc_id").to_numpy()
+        shared = index.sparkSession.sparkContext.broadcast(state)
+        hits = index.where(F.col("level").isin(levels)).drop("level").mapInArrow(_scorer(shared, mean), "query long, doc_id long, score double")
+        folder = common.write(_best(hits if best is None else hits.unionByName(best.drop("rank")), top), "hits")
+        best = index.sparkSession.read.schema(HITS).parquet(folder)
+        shared.destroy()
+    return folder
+
+
+def _scorer(shared, mean: float):
     def run(batches):
-        ids, ends, terms, weights = shared.value
+        queries: QueryBlock = shared.value
+        queries.start()
         for batch in batches:
             for k in range(batch.num_rows):
-                shard = Shard(batch.slice(k, 1).to_pylist()[0], mean)
-                q, d, s = [], [], []
-                for number, query in enumerate(ids):
-                    cut = slice(ends[number], ends[number + 1])
-                    found, scores, _ = shard.search(terms[cut], weights[cut], top)
-                    q += [query] * len(found)
-                    d.append(shard.ids[found])
-                    s.append(scores)
-                columns = [pa.array(q, pa.int64()), pa.array(np.concatenate(d) if d else [], pa.int64()), pa.array(np.concatenate(s) if s else [], pa.float64())]
-                yield pa.RecordBatch.from_arrays(columns, names=["query", "doc_id", "score"])
-
-    return index.mapInArrow(run, "query long, doc_id long, score double")
+                Shard(batch.slice(k, 1).to_pylist()[0], mean).search(queries)
+        yield queries.found()
+
+    return run
 
 
 def _best(hits: DataFrame, top: int) -> DataFrame:
