@@ -46,6 +46,7 @@ MOST_LEVEL = 15
 QUERY_BLOCK = 4096
 BLOCK_TERMS = 4_000_000
 BATCH_ENTRIES = 600_000
+SLAB = 512  # blocks of documents that are scored together
 INDEX_SCHEMA = "shard long, n_docs int, words long, ids binary, id_starts binary, lengths binary, terms binary, starts binary, docs binary, counts binary, frequencies binary, level int"
 
 
@@ -222,15 +223,15 @@ class Shard:
         begin = np.ones(len(block), bool)
         begin[1:] = block[1:] != block[:-1]
         begin[self.starts[:-1]] = True
-        self.entry = np.flatnonzero(begin)
-        self.entry_block = block[self.entry]
+        self.entry = np.flatnonzero(begin).astype(np.int32)
+        self.entry_block = block[self.entry].astype(np.int16)
         self.entry_max = np.maximum.reduceat(self.impacts, self.entry) if len(self.entry) else np.empty(0, np.float32)
-        self.entry_size = np.diff(np.append(self.entry, len(block)))
+        self.entry_size = np.diff(np.append(self.entry, len(block))).astype(np.int8)
         self.entry_starts = np.searchsorted(self.entry, self.starts)
         # postings by document, for exact scores
-        self.by_doc = np.argsort(self.docs.astype(np.uint16), kind="stable")
+        self.by_doc = np.argsort(self.docs.astype(np.uint16), kind="stable").astype(np.int32)
         self.doc_starts = np.concatenate(([0], np.cumsum(np.bincount(self.docs, minlength=self.n))))
-        self.term_of = np.repeat(np.arange(len(self.terms)), size)
+        self.term_of = np.repeat(np.arange(len(self.terms), dtype=np.int32), size)
 
     def search(self, queries: QueryBlock) -> int:
         """Offer this shard's hits of all queries; gives the number of documents that were scored."""
@@ -242,7 +243,7 @@ class Shard:
         entries[np.flatnonzero(self.common >= 0)] = 0
         cost = np.concatenate(([0], np.cumsum(entries[place])))[queries.ends]
         first, scored, number = 0, 0, len(queries.ids)
-        most = max(1, min(256, (BATCH_ENTRIES * 4) // max(1, self.blocks)))
+        most = max(1, min(256, BATCH_ENTRIES // max(1, self.blocks)))
         while first < number:
             stop = min(first + most, max(first + 1, int(np.searchsorted(cost, cost[first] + BATCH_ENTRIES, side="right")) - 1))
             scored += self._batch(queries, place, first, min(stop, number))
@@ -277,13 +278,21 @@ class Shard:
             live = open_blocks.ravel()[cell]
             posting, of = _runs(self.entry[at[live]], self.entry_size[at[live]])
             total = np.bincount(index[cell[live]][of] * BLOCK + self.docs[posting] % BLOCK, load[live][of] * self.impacts[posting], len(q) * BLOCK)
-            edges = np.searchsorted(q, np.arange(number + 1))
-            cube = self.dense.reshape(self.blocks, BLOCK, -1)
-            for k in np.flatnonzero(np.diff(edges)):
-                run = slice(edges[k], edges[k + 1])
-                for c in range(run.start, run.stop, 1024):
-                    d = min(run.stop, c + 1024)
-                    total[c * BLOCK : d * BLOCK] += (cube[block[c:d]] @ share[k]).ravel()
+            shape = total.reshape(-1, BLOCK)
+            column = np.full(self.blocks, -1)
+            for c in range(0, self.blocks, SLAB):  # the common lists' part: a block is read once for all queries that it is open for
+                union = np.flatnonzero(open_blocks[:, c : c + SLAB].any(axis=0)) + c
+                if not len(union):
+                    continue
+                if 4 * len(union) > SLAB:
+                    union = np.arange(c, min(self.blocks, c + SLAB))
+                    rows = self.dense[c * BLOCK : (c + SLAB) * BLOCK]
+                else:
+                    rows = self.dense.reshape(self.blocks, -1)[union].reshape(-1, share.shape[1])
+                column[union] = np.arange(len(union))
+                part = (share @ rows.T).reshape(number, len(union), BLOCK)
+                here = np.flatnonzero((block >= c) & (block < c + SLAB))
+                shape[here] += part[q[here], column[block[here]]]
             return np.repeat(q, BLOCK), (block[:, None] * BLOCK + np.arange(BLOCK)).ravel(), total
 
         fresh = np.flatnonzero(np.isneginf(bar))
@@ -302,7 +311,12 @@ class Shard:
         least = np.maximum(bar - slack, 1e-6)[:, None]
         q, doc, total = scores(bound >= least)
         scored += len(q)
-        good = (total >= least[q, 0]) & (doc < self.n)
+        total[doc >= self.n] = 0
+        edges = np.searchsorted(q, np.arange(number + 1))
+        for k in np.flatnonzero(np.diff(edges) > queries.top):
+            own = total[edges[k] : edges[k + 1]]
+            least[k] = max(least[k, 0], np.partition(own, -queries.top)[-queries.top] - slack)
+        good = total >= least[q, 0]
         q, doc = q[good], doc[good]
         exact = self._exact(q, doc, owner, lists, weights)
         edges = np.searchsorted(q, np.arange(number + 1))
@@ -314,18 +328,24 @@ class Shard:
         return scored
 
     def _exact(self, q, doc, owner, lists, weights) -> np.ndarray:
-        """Rounded 64-bit scores of (query, document) pairs."""
-        posting, pair = _runs(self.doc_starts[doc], self.doc_starts[doc + 1] - self.doc_starts[doc])
-        posting = self.by_doc[posting]
-        width = len(self.terms)
+        """Rounded 64-bit scores of (query, document) pairs, by runs of some ``BATCH_ENTRIES`` postings."""
+        width, out = len(self.terms), np.zeros(len(q))
         wanted = owner * width + lists
         order = np.argsort(wanted)
-        key = q[pair] * width + self.term_of[posting]
-        found = order[np.minimum(np.searchsorted(wanted, key, sorter=order), len(order) - 1)] if len(order) else np.empty(0, np.int64)
-        hit = wanted[found] == key if len(order) else np.zeros(0, bool)
-        count = self.counts[posting[hit]]
-        impact = count * (K1 + 1) / (count + self.norm[self.docs[posting[hit]]])
-        return np.round(np.bincount(pair[hit], impact * weights[found[hit]], len(q)), 6)
+        size = self.doc_starts[doc + 1] - self.doc_starts[doc]
+        upto, a = np.cumsum(size), 0
+        while a < len(q):
+            b = max(a + 1, int(np.searchsorted(upto, (upto[a - 1] if a else 0) + BATCH_ENTRIES, side="right")))
+            posting, pair = _runs(self.doc_starts[doc[a:b]], size[a:b])
+            posting = self.by_doc[posting]
+            key = q[a:b][pair] * width + self.term_of[posting]
+            found = order[np.minimum(np.searchsorted(wanted, key, sorter=order), len(order) - 1)]
+            hit = wanted[found] == key
+            count = self.counts[posting[hit]]
+            impact = count * (K1 + 1) / (count + self.norm[self.docs[posting[hit]]])
+            out[a:b] = np.bincount(pair[hit], impact * weights[found[hit]], b - a)
+            a = b
+        return np.round(out, 6)
 
 
 def search(docs: DataFrame, queries: DataFrame, top: int = TOP) -> DataFrame:
