@@ -37,8 +37,8 @@ from gridsparse.llm import common
 
 K1, B = 1.2, 0.75
 TOP = 10
-SHARD_DOCUMENTS = 8192
-SHARD_BYTES = 48 << 20
+SHARD_DOCUMENTS = 4096
+SHARD_BYTES = 24 << 20
 BLOCK = 4
 COMMON_SHARE = 1 / 16  # lists in more than this share of a shard's documents keep their maxima in a matrix; work differs, results don't
 FIRST_SHARDS = 8
@@ -60,7 +60,7 @@ def document_terms(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray
     first = np.ones(len(terms), bool)
     first[1:] = (terms[1:] != terms[:-1]) | (rows[1:] != rows[:-1])
     at = np.flatnonzero(first)
-    return rows[at], terms[at], np.diff(np.append(at, len(terms))), np.diff(word_offsets)
+    return rows[at].astype(np.int32), terms[at], np.diff(np.append(at, len(terms))).astype(np.int32), np.diff(word_offsets)
 
 
 def _runs(starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -90,7 +90,7 @@ def _same(rows: np.ndarray, terms: np.ndarray, counts: np.ndarray, n: int) -> np
 
 def _shard(parts, number: int) -> dict:
     """One shard from the parts (ids, rows, terms, counts, lengths) of its slices."""
-    base = np.cumsum([0] + [len(p[0]) for p in parts[:-1]])
+    base = np.cumsum([0] + [len(p[0]) for p in parts[:-1]]).astype(np.int32)
     rows = np.concatenate([p[1] + b for p, b in zip(parts, base, strict=True)])
     terms, counts = (np.concatenate([p[i] for p in parts]) for i in (2, 3))
     order = np.argsort(terms, kind="stable")
@@ -201,7 +201,7 @@ class QueryBlock:
 class Shard:
     """A shard's lists with impacts and block maxima, ready for queries."""
 
-    def __init__(self, row: dict, mean_length: float):
+    def __init__(self, row: dict[str, pa.Buffer], mean_length: float):
         read = lambda name, kind: np.frombuffer(row[name], kind)
         self.ids, self.id_starts = read("ids", np.int64), read("id_starts", np.int32).astype(np.int64)
         self.terms, self.starts = read("terms", np.uint64), read("starts", np.int32).astype(np.int64)
@@ -397,7 +397,7 @@ def _search_block(index: DataFrame, rounds: list[list[int]], queries: DataFrame,
             at = order[np.searchsorted(state.ids, last.column("query").to_numpy(), sorter=order)]
             state.floor[at], state.last[at] = last.column("score").to_numpy(), last.column("doc_id").to_numpy()
         shared = index.sparkSession.sparkContext.broadcast(state)
-        hits = index.where(F.col("level").isin(levels)).drop("level").mapInArrow(_scorer(shared, mean), "query long, doc_id long, score double")
+        hits = index.where(F.col("level").isin(levels)).drop("level", "frequencies").mapInArrow(_scorer(shared, mean), "query long, doc_id long, score double")
         folder = common.write(_best(hits if best is None else hits.unionByName(best.drop("rank")), top), "hits")
         best = index.sparkSession.read.schema(HITS).parquet(folder)
         shared.destroy()
@@ -410,7 +410,7 @@ def _scorer(shared, mean: float):
         queries.start()
         for batch in batches:
             for k in range(batch.num_rows):
-                Shard(batch.slice(k, 1).to_pylist()[0], mean).search(queries)
+                Shard({name: batch.column(name)[k].as_buffer() for name in batch.schema.names if pa.types.is_binary(batch.schema.field(name).type)}, mean).search(queries)
         yield queries.found()
 
     return run
