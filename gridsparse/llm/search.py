@@ -280,7 +280,7 @@ class Shard:
             total = np.bincount(index[cell[live]][of] * BLOCK + self.docs[posting] % BLOCK, load[live][of] * self.impacts[posting], len(q) * BLOCK)
             shape = total.reshape(-1, BLOCK)
             column = np.full(self.blocks, -1)
-            for c in range(0, self.blocks, SLAB):  # the common lists' part: a block is read once for all queries that it is open for
+            for c in range(0, self.blocks if share.size else 0, SLAB):  # the common lists' part: a block is read once for all queries that it is open for
                 union = np.flatnonzero(open_blocks[:, c : c + SLAB].any(axis=0)) + c
                 if not len(union):
                     continue
@@ -288,7 +288,7 @@ class Shard:
                     union = np.arange(c, min(self.blocks, c + SLAB))
                     rows = self.dense[c * BLOCK : (c + SLAB) * BLOCK]
                 else:
-                    rows = self.dense.reshape(self.blocks, -1)[union].reshape(-1, share.shape[1])
+                    rows = self.dense.reshape(self.blocks, BLOCK, -1)[union].reshape(len(union) * BLOCK, share.shape[1])
                 column[union] = np.arange(len(union))
                 part = (share @ rows.T).reshape(number, len(union), BLOCK)
                 here = np.flatnonzero((block >= c) & (block < c + SLAB))
