@@ -16,7 +16,7 @@ import tiktoken
 from pyspark.sql import functions as F
 
 import public_tokenizers
-from gridsparse.llm import bpe, boosting, components, language, media, mixing, neardup, pii, quality, search, token_counts, toxicity
+from gridsparse.llm import bpe, boosting, common, components, language, media, mixing, neardup, pii, quality, search, token_counts, toxicity
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, size long, target string, component_id string, kept string, score string, key string, block string"
@@ -258,6 +258,30 @@ def test_search(spark, docs, rows):
         assert [(d, s) for _, d, s in sorted(got[i])] == [(d, pytest.approx(-s, abs=2e-6)) for s, d in want]
 
 
+def test_search_ties_copies_and_levels(spark, monkeypatch):
+    """Many copies in shards of a few documents: ties go to the lesser ids, across shards and levels."""
+    monkeypatch.setattr(search, "SHARD_DOCUMENTS", 7)
+    monkeypatch.setattr(search, "FIRST_SHARDS", 2)
+    rng = random.Random(8)
+    texts = ["same words here", "same words there", *(" ".join(rng.choice("abcdefghij") for _ in range(rng.randrange(1, 12))) for _ in range(30))]
+    data = [(k, texts[0 if k % 3 == 0 else rng.randrange(len(texts))]) for k in range(400)]
+    rng.shuffle(data)
+    frame = spark.createDataFrame(data, "doc_id long, text string").repartition(3)
+    got = {}
+    for r in search.search(frame, frame.where("doc_id % 20 = 0"), top=6).collect():
+        got.setdefault(r["query"], []).append((r["rank"], r["doc_id"], r["score"]))
+    words = {i: Counter(t.split()) for i, t in data}
+    mean = sum(sum(c.values()) for c in words.values()) / len(words)
+    df = Counter(w for c in words.values() for w in c)
+    for i, c in words.items():
+        if i % 20 == 0:
+            scores = []
+            for d, x in words.items():
+                s = sum(math.log(1 + (400 - df[w] + 0.5) / (df[w] + 0.5)) * x[w] * 2.2 / (x[w] + 1.2 * (0.25 + 0.75 * sum(x.values()) / mean)) for w in c if w in x)
+                scores += [(-round(s, 6), d)] if s else []
+            assert [d for _, d, _ in sorted(got[i])] == [d for _, d in sorted(scores)[:6]]
+
+
 # -- 6 ---------------------------------------------------------------------------
 @pytest.mark.parametrize(("width", "percent"), [(3, 85), (5, 80)])
 def test_neardup(docs, rows, width, percent):
@@ -491,6 +515,29 @@ def test_quality(spark, docs, rows):
     assert {r["log_weight"] for r in quality.resample(docs, good.limit(0)).collect()} == {0.0}
 
 
+@pytest.mark.parametrize("most", [1_000_000, 1])
+def test_quality_weights_against_a_recount(docs, rows, spark, monkeypatch, most):
+    """Both ways to find the targets' texts give the counts of a plain recount."""
+    monkeypatch.setattr(quality, "BROADCAST_IDS", most)
+    chosen = {0, 1, 2, 7, 63}
+    good = spark.createDataFrame([(k,) for k in [*chosen, 2, None]], "doc_id long")
+
+    def grams(text):
+        words = [common.hash_one(re.sub("[A-Z]", lambda m: m[0].lower(), w)) for w in WORD.findall(text or "")]
+        pairs = [int(common.mix64(np.array([(a * 3 + b) % 2**64], np.uint64))[0]) for a, b in zip(words, words[1:], strict=False)]
+        return [x >> 48 for x in words + pairs]
+
+    whole, target = Counter(), Counter()
+    for i, t, _, _ in rows:
+        whole.update(grams(t))
+        if i in chosen:
+            target.update(grams(t))
+    weight = lambda c, g: math.log((c[g] + 1) / (sum(c.values()) + 65536))
+    want = sorted((i if i is not None else -1, len(grams(t)), sum(weight(target, g) - weight(whole, g) for g in grams(t))) for i, t, _, _ in rows)
+    got = sorted((r["doc_id"] if r["doc_id"] is not None else -1, r["n_grams"], r["log_weight"]) for r in quality.resample(docs, good).collect())
+    assert [x[:2] for x in got] == [x[:2] for x in want] and np.allclose([x[2] for x in got], [x[2] for x in want], atol=1e-6)
+
+
 def test_largest(spark):
     values = [-(1 << 63), -5, -5, 0, 3, 1 << 40, (1 << 63) - 1]
     frame = spark.createDataFrame([(v,) for v in values], "x long")
