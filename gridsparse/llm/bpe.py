@@ -5,7 +5,12 @@ encoder stores that token per prefix: a token ``t`` that ends at ``i`` is the
 one iff its start is 0 or it may stand after the stored last token of the
 prefix before it.  Two tokens may stand side by side iff no merge would ever
 have crossed their seam, which the merge trees of the two decide.  The stored
-table makes appends exact and edits local.
+table makes appends exact and edits local: ``Encoded`` keeps a text's pieces,
+encodes anew those that an edit reaches, and extends a piece's table where text
+is added to it.
+
+Character classes are those of the tokenizer library's own pattern engine, asked
+once per process for all code points.
 
 Texts: null and empty give no token; length is unbounded (work is linear in it
 times the longest token).  Rows repeat as they are in the input.
@@ -18,19 +23,21 @@ import functools
 import hashlib
 import re
 import sys
-import unicodedata
+from itertools import accumulate
 
 import ahocorasick
 import numpy as np
 import pyarrow as pa
+import tiktoken
 from pyspark.sql import DataFrame, SparkSession
 
 from gridsparse.llm import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 CACHE_ENTRIES = 150_000
-#: White space as the tokenizer library's pattern engine has it (fixed values).
-WHITE = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+LONGEST_CACHED = 64  # characters of a piece that a cache keeps
+#: Characters before an edit up to which a piece's end may depend on it: the pattern looks at most three ahead.
+LOOKAHEAD = 3
 
 
 class Generations(dict):
@@ -202,7 +209,8 @@ class PrefixEncoder:
 
     def encode_packed(self, text: str) -> bytes:
         """The ids as little-endian 32-bit integers."""
-        return b"".join(map(self._pieces.__getitem__, self.pieces(text)))
+        known, make = self._pieces, self._piece_ids
+        return b"".join([known[piece] if len(piece) <= LONGEST_CACHED else make(piece) for piece in self.pieces(text)])
 
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.encode_packed(text), "<u4").tolist()
@@ -211,16 +219,79 @@ class PrefixEncoder:
         return b"".join(map(self.token_bytes.__getitem__, ids))
 
 
+class Encoded:
+    """A text with its pieces and their ids, which appends and edits keep up to date."""
+
+    def __init__(self, coder: PrefixEncoder, text: str):
+        self.coder, self.text = coder, text
+        self.pieces = coder.pieces(text)
+        self.packed = [coder._piece_ids(p) for p in self.pieces]
+        self.tail: tuple[str, list[int]] = ("", [])  # the last piece and its table, if it was appended to
+
+    def ids(self) -> np.ndarray:
+        return np.frombuffer(b"".join(self.packed), "<u4")
+
+    def append(self, more: str) -> int:
+        """Add ``more`` at the end; gives the number of pieces encoded."""
+        return self.edit(len(self.text), len(self.text), more)
+
+    def edit(self, start: int, stop: int, new: str) -> int:
+        """Replace characters ``start`` to ``stop`` by ``new``; gives the number of pieces encoded.
+
+        Pieces that end ``LOOKAHEAD`` characters before the edit stay; from there
+        pieces are cut anew until a cut behind the edit falls on an old one.
+        """
+        ends = list(accumulate(map(len, self.pieces)))
+        first = int(np.searchsorted(np.array(ends, np.int64), start - LOOKAHEAD, side="right"))
+        at = ends[first - 1] if first else 0
+        text, shift = self.text[:start] + new + self.text[stop:], len(new) - (stop - start)
+        old_cuts = {end: k + 1 for k, end in enumerate(ends)}
+        pieces, packed, behind = self.pieces[:first], self.packed[:first], len(self.pieces)
+        pattern = self.coder._wide if self.coder._beyond.search(text) else self.coder._latin
+        fresh = 0
+        for found in pattern.finditer(text, at):
+            piece = found[0]
+            pieces.append(piece)
+            packed.append(self._ids(piece, first + fresh))
+            fresh += 1
+            if found.end() >= start + len(new) and found.end() - shift >= stop and (k := old_cuts.get(found.end() - shift)) is not None:
+                behind = k
+                break
+        self.pieces, self.packed, self.text = pieces + self.pieces[behind:], packed + self.packed[behind:], text
+        return fresh
+
+    def _ids(self, piece: str, number: int) -> bytes:
+        """A piece's ids; the table of a piece that only grew at its end is extended."""
+        coder, raw = self.coder, piece.encode()
+        if raw in coder.ranks:
+            return coder.packed[coder.ranks[raw]]
+        known, last = self.tail
+        table = coder.extend(raw, list(last) if known and piece.startswith(known) else [])
+        self.tail = (piece, table)
+        return b"".join(map(coder.packed.__getitem__, coder.tokens_of(raw, table)))
+
+
 def _classes(pattern: str, most: int) -> str:
-    """``pattern`` with its Unicode classes spelled out for code points under ``most``."""
-    letters, numbers = (_ranges(kind, most) for kind in "LN")
-    spelled = pattern.replace(r"[^\s\p{L}\p{N}]", f"[^{WHITE}{letters}{numbers}]").replace(r"(?!\S)", f"(?![^{WHITE}])")
-    return spelled.replace(r"\s+", f"[{WHITE}]+").replace(r"\p{L}", f"[{letters}]").replace(r"\p{N}", f"[{numbers}]")
+    """``pattern`` with its classes spelled out for code points under ``most``."""
+    white, letters, numbers = (_ranges(kind, most) for kind in (r"\s", r"\p{L}", r"\p{N}"))
+    spelled = pattern.replace(r"[^\s\p{L}\p{N}]", f"[^{white}{letters}{numbers}]").replace(r"(?!\S)", f"(?![^{white}])")
+    return spelled.replace(r"\s+", f"[{white}]+").replace(r"\p{L}", f"[{letters}]").replace(r"\p{N}", f"[{numbers}]")
+
+
+@functools.lru_cache(maxsize=4)
+def _members(kind: str) -> np.ndarray:
+    """Whether each code point is of a class, by the tokenizer library's pattern engine: an encoding that splits by the class gives back its members only."""
+    single = tiktoken.Encoding("class", pat_str=kind, mergeable_ranks={bytes([k]): k for k in range(256)}, special_tokens={})
+    every = "".join(chr(c) for c in range(0x110000) if not 0xD800 <= c < 0xE000)
+    marks = np.zeros(0x110001, bool)
+    marks[np.frombuffer(bytes(single.encode_ordinary(every)).decode().encode("utf-32-le"), "<u4")] = True
+    return marks
 
 
 def _ranges(kind: str, most: int) -> str:
-    """Code points under ``most`` of a general category, as ranges of a character class."""
-    marks = np.array([unicodedata.category(chr(c))[0] == kind for c in range(most)] + [False])
+    """Code points under ``most`` of a class, as ranges of a character class."""
+    marks = _members(kind)[: most + 1].copy()
+    marks[most] = False
     edges = np.flatnonzero(np.diff(np.concatenate(([False], marks)).astype(np.int8)))
     return "".join(f"\\U{a:08x}-\\U{b - 1:08x}" for a, b in edges.reshape(-1, 2).tolist())
 
@@ -259,6 +330,29 @@ def encode_documents(docs: DataFrame, vocabulary: str | None = None, keep_ids: b
     return common.map_slices(docs.select("doc_id", "text"), kernel, "doc_id long, n_tokens long, ids array<int>, ids_sha256 string, decoded_sha256 string")
 
 
+def encode_edited(rows: DataFrame, vocabulary: str | None = None) -> DataFrame:
+    """``doc_id, ids, pieces, pieces_encoded`` of texts after an edit: rows have doc_id, text, start, stop and new.
+
+    Characters ``start`` to ``stop`` (within the text; null: its end) are replaced
+    by ``new`` (null: nothing), and only the pieces near them are encoded again.
+    """
+
+    def kernel(part: pa.RecordBatch) -> pa.RecordBatch:
+        ids, pieces, fresh = [], [], []
+        for text, start, stop, new in zip(*(part.column(c).to_pylist() for c in ("text", "start", "stop", "new")), strict=True):
+            held = Encoded(encoder(vocabulary), text or "")
+            size = len(held.text)
+            start = size if start is None else min(max(start, 0), size)
+            stop = size if stop is None else min(max(stop, start), size)
+            fresh.append(held.edit(start, stop, new or ""))
+            ids.append(held.ids().tolist())
+            pieces.append(len(held.pieces))
+        columns = [part.column("doc_id"), pa.array(ids, pa.list_(pa.int32())), pa.array(pieces, pa.int64()), pa.array(fresh, pa.int64())]
+        return pa.RecordBatch.from_arrays(columns, names=["doc_id", "ids", "pieces", "pieces_encoded"])
+
+    return common.map_slices(rows.select("doc_id", "text", "start", "stop", "new"), kernel, "doc_id long, ids array<int>, pieces long, pieces_encoded long")
+
+
 def op2_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document encoded and decoded again; digests of both."""
     return encode_documents(common.read_table(spark, sf_dir, "documents"), keep_ids=False).drop("ids")

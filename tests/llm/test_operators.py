@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import base64
+import bisect
 import hashlib
+import itertools
 import math
 import random
 import re
@@ -175,13 +177,73 @@ def test_token_counts(docs, rows, library):
 
 
 def test_attribution_rules():
-    sizes, starts = np.array([3, 4, 2]), np.array([0, 4, 6])
-    assert token_counts.attribute(sizes, starts, "first")[0].tolist() == [2, 0, 1]
-    assert token_counts.attribute(sizes, starts, "last")[0].tolist() == [1, 0, 2]
-    counts, crossing = token_counts.attribute(sizes, starts, "most")
+    first, last, starts = np.array([0, 3, 7]), np.array([2, 6, 8]), np.array([0, 4, 6])
+    assert token_counts.attribute(first, last, starts, "first")[0].tolist() == [2, 0, 1]
+    assert token_counts.attribute(first, last, starts, "last")[0].tolist() == [1, 0, 2]
+    counts, crossing = token_counts.attribute(first, last, starts, "most")
     assert counts.tolist() == [1, 1, 1] and crossing == 1
 
 
+def test_token_spans_and_fields(spark, docs, rows, library):
+    texts = Counter((i, t or "") for i, t, _, _ in rows)
+    for r in token_counts.token_spans(docs).collect():
+        raws, at = [library.decode_single_token_bytes(x) for x in r["ids"]], 0
+        text = b"".join(raws).decode()
+        texts[r["doc_id"], text] -= 1
+        starts = list(itertools.accumulate(len(c.encode()) for c in text))
+        for raw, first, last in list(zip(raws, r["first"], r["last"], strict=True))[:500]:
+            assert first == bisect.bisect_right(starts, at) and last == bisect.bisect_right(starts, at + len(raw) - 1)
+            at += len(raw)
+    assert not +texts
+    frame = spark.createDataFrame([(1, "Ein Titel", "naïve\nbody text", "x"), (2, None, "", None), (3, "", "a b", "")], "doc_id long, title string, body string, note string")
+    got = {r["doc_id"]: r for r in token_counts.count_fields(frame, ["title", "body", "note"], "first").collect()}
+    for i, parts in {1: ("Ein Titel\n", "naïve\nbody text\n", "x"), 2: ("\n", "\n", ""), 3: ("\n", "a b\n", "")}.items():
+        ids, at, want = library.encode_ordinary("".join(parts)), 0, [0, 0, 0]
+        cuts = list(itertools.accumulate(len(p.encode()) for p in parts))
+        for x in ids:
+            want[min(2, bisect.bisect_right(cuts, at))] += 1
+            at += len(library.decode_single_token_bytes(x))
+        assert list(got[i]["field_tokens"].values()) == want and got[i]["n_tokens"] == len(ids)
+
+
+def test_bpe_classes_are_the_library_s(library):
+    rng, coder = random.Random(9), bpe.encoder()
+    points = [c for c in range(0x20, 0x33480) if not 0xD800 <= c < 0xE000] + list(range(0xE0000, 0xE0200))
+    for a in range(0, len(points), 4000):
+        text = "".join(f"a{chr(c)}1" for c in points[a : a + 4000])
+        assert coder.encode(text) == library.encode_ordinary(text)
+    for _ in range(300):
+        text = "".join(chr(rng.choice(points)) for _ in range(40))
+        assert coder.encode(text) == library.encode_ordinary(text)
+
+
+def test_bpe_long_texts_of_every_kind(library):
+    coder = bpe.encoder()
+    for unit, times in (("a", 200_000), (" ", 200_000), ("\n ", 100_000), ("é", 100_000), ("日本", 50_000), ("!?", 100_000), ("1", 200_000), ("ab1 ", 50_000), ("🙂", 50_000)):
+        assert coder.encode(unit * times) == library.encode_ordinary(unit * times)
+
+
+def test_bpe_edits_of_documents(spark, library):
+    rng = random.Random(12)
+    parts = ["word", " ", "  ", "\n", "'s", "'re", "l", "é", "12", "!!", "日", "zzqx"]
+    make = lambda n: "".join(rng.choice(parts) for _ in range(n))
+    cases = []
+    for k in range(400):
+        text = make(rng.randrange(30))
+        start = rng.randrange(len(text) + 1)
+        cases.append((k, text, start, rng.randrange(start, len(text) + 1), make(rng.randrange(4))))
+    cases += [(1000, None, None, None, "new"), (1001, "abc", 99, -5, None), (1002, make(5000), 7000, 7003, "x")]
+    got = {r["doc_id"]: r for r in bpe.encode_edited(spark.createDataFrame(cases, "doc_id long, text string, start int, stop int, new string")).collect()}
+    for k, text, start, stop, new in cases[:400] + cases[402:]:
+        assert got[k]["ids"] == library.encode_ordinary(text[:start] + new + text[stop:]), (text, start, stop, new)
+    assert got[1000]["ids"] == library.encode_ordinary("new") and got[1001]["ids"] == library.encode_ordinary("abc")
+    assert got[1002]["pieces_encoded"] <= 12 < got[1002]["pieces"]
+    held = bpe.Encoded(bpe.encoder(), "")
+    for k in range(60):
+        held.append(more := rng.choice(["zz", "q", " ", "x1", "é"]))
+        assert held.ids().tolist() == library.encode_ordinary(held.text), (held.text, more)
+
+
 # -- 3 ---------------------------------------------------------------------------
 def test_media(docs, rows):
     got = media.store_documents(docs, keep_media=True).collect()
