@@ -9,6 +9,7 @@ import itertools
 import math
 import random
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -541,6 +542,59 @@ def test_long_secrets_and_secrets_that_hold_other_spans(spark):
     assert pii.candidates("a" * 2_000_000 + "1") == [("secret", 0, 2_000_001)]
 
 
+def private_texts(number, seed):
+    rng = random.Random(seed)
+    out = []
+    for k in range(number):
+        card = "".join(str(rng.randrange(10)) for _ in range(15))
+        card = next(card + str(d) for d in range(10) if pii.luhn(card + str(d)))
+        words = [rng.choice(["alpha", "ober", "linien", "quer", "mitte", "tone"]) for _ in range(30)]
+        words[3:3] = [f"bob{k}.x@mail{k % 9}.example.com", "mitte", card, "tone", f"{rng.randrange(256)}.{rng.randrange(256)}.1.{k % 256}", "ober", f"+1 ({200 + k % 700}) 555-{rng.randrange(10**4):04d}"]
+        words[20:20] = ['token = "' + "".join(rng.choice("0123456789abcdef") for _ in range(40)) + '"']
+        out.append(" ".join(words))
+    return out
+
+
+def test_pii_added_spans_on_unseen_texts():
+    """Loosely written data in texts that the model has not seen: precision and recall of each kind."""
+    model = pii.fit(private_texts(250, 1))
+    right, wrong, missed = Counter(), Counter(), Counter()
+    for text in private_texts(80, 2):
+        rows, labels = pii.examples(text)
+        for x, y, p in zip(rows, labels, model.probability(np.array(rows, float)), strict=True):
+            kind = pii.KINDS[int(x[0])]
+            (right if p >= model.thresholds[kind] and y else wrong if p >= model.thresholds[kind] else missed if y else Counter())[kind] += 1
+    for kind in pii.KINDS:
+        assert right[kind] >= 0.85 * (right[kind] + missed[kind]) and right[kind] >= 0.9 * (right[kind] + wrong[kind]), (kind, right, wrong, missed)
+    text = "my card 4111.1111.1111.1111 or write to bob dot x at mail dot example dot com for more"
+    assert {k for k, _, _ in pii.find(text, model)[1]} >= {"card", "email"}
+
+
+def test_uncovered_against_brute_force():
+    rng = random.Random(4)
+    for _ in range(300):
+        spans = [("x", a, a + rng.randrange(1, 9)) for a in (rng.randrange(12) for _ in range(rng.randrange(9)))]
+        want = []
+        for s in spans:
+            if all(s[1] < t[1] or s[2] > t[2] for t in want):
+                want.append(s)
+        assert pii.uncovered(spans) == want
+
+
+def test_pii_many_spans_take_linear_time():
+    rng = random.Random(2)
+    model = pii.fit(private_texts(100, 3))
+    unit = [lambda: ".".join(str(rng.randrange(256)) for _ in range(4)), lambda: f"543 555 {rng.randrange(10**4):04d}", lambda: f"x{rng.randrange(10**12)}abcdef{rng.randrange(10**9)}"]
+    seconds = []
+    for number in (2500, 10_000):
+        text = " ".join(rng.choice(unit)() for _ in range(number))
+        start = time.process_time()
+        base, every = pii.find(text, model)
+        seconds.append(time.process_time() - start)
+        assert len(every) >= len(base) > number / 4
+    assert seconds[1] < 8 * seconds[0] + 0.5
+
+
 def test_boosting():
     rng = np.random.default_rng(0)
     x = rng.normal(size=(800, 4))
