@@ -13,6 +13,8 @@ each source's permuted blocks, disjoint from all others, and orders its
 documents by another hash.
 
 A null source is a source of its own, after all others; null texts have size 0.
+Sources' totals (a row each) meet in one task, and each node of the tree holds
+a number per source: meant for up to some 100 000 sources, of any size.
 Rows that agree in id, source and size share one decision.  Empty tables give
 empty results.  Draws depend on ids and the seed only, so reruns agree.
 """
@@ -20,6 +22,7 @@ empty results.  Draws depend on ids and the seed only, so reruns agree.
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -265,7 +268,10 @@ class Plan:
 
     def apply(self, rows: DataFrame) -> DataFrame:
         """``rows`` (doc_id, source, size, and any others) with source_size, target, copies and shards."""
-        out = self._keyed(rows).join(self.shards, ["source_rank", "block"], "left").join(self.last.drop("block"), ["source_rank", "mix_key", "doc_id", "size"], "left")
+        last = self.last.select("source_rank", "mix_key", "size", F.col("doc_id").alias("last_id"), "one_more")
+        out = self._keyed(rows).join(self.shards, ["source_rank", "block"], "left").alias("row")
+        same = [F.col(f"row.{c}") == F.col(f"last.{c}") for c in ("source_rank", "mix_key", "size")]
+        out = out.join(last.alias("last"), reduce(Column.__and__, same) & F.col("row.doc_id").eqNullSafe(F.col("last_id")), "left").select("row.*", "one_more")
         partial = F.when(F.col("state") == 2, 1).when((F.col("state") == 1) & F.coalesce("one_more", F.lit(False)), 1).otherwise(0)
         copies = F.when(F.col("size") > 0, F.col("passes") + partial).otherwise(0).cast("long")
         shards = F.when(copies > 0, F.slice("shards", F.lit(1), copies.cast("int"))).otherwise(F.array().cast("array<int>"))
@@ -282,14 +288,23 @@ def assign(docs: DataFrame, **options) -> DataFrame:
 def mix(docs: DataFrame, **options) -> DataFrame:
     """The mix itself: a row of ``docs`` for each copy taken, with its shard and its place's order key there.
 
-    Each partition is one shard, in its order.
+    Each partition is one shard, in its order.  The two added columns are
+    ``mix_shard`` and ``mix_order``, with underscores before where ``docs`` has these.
     """
     plan = Plan(docs, **options)
     own = [F.col(c) for c in docs.columns]
     wide = docs.select(F.struct(*own).alias("mix_row"), "doc_id", "source", word_count(F.col("text")).alias("size"))
     copies = plan.apply(wide).select("mix_row", "mix_key", F.posexplode("mix_shards").alias("mix_pass", "mix_shard"))
-    copies = copies.select("mix_row.*", "mix_shard", F.xxhash64(F.lit(plan.seed + 1), "mix_key", "mix_pass").alias("mix_order"))
-    return copies.repartitionById(1 << plan.bits, F.col("mix_shard")).sortWithinPartitions("mix_shard", "mix_order")
+    shard, order = (_free(c, docs.columns) for c in ("mix_shard", "mix_order"))
+    copies = copies.select("mix_row.*", F.col("mix_shard").alias(shard), F.xxhash64(F.lit(plan.seed + 1), "mix_key", "mix_pass").alias(order))
+    return copies.repartitionById(1 << plan.bits, F.col(shard)).sortWithinPartitions(shard, order)
+
+
+def _free(name: str, taken: list[str]) -> str:
+    """``name``, with underscores before until no column of ``taken`` has it (letter case aside)."""
+    while name.lower() in {c.lower() for c in taken}:
+        name = "_" + name
+    return name
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
