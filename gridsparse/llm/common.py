@@ -60,6 +60,23 @@ def materialize(df: DataFrame, label: str, by: str | None = None) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(write(df, label, by))
 
 
+HOT_KEYS = 10_000  # at most so many keys are broadcast by join_hot
+
+
+def join_hot(left: DataFrame, right: DataFrame, keys: list[str], rows: int, how: str = "inner", least: int = 1000) -> DataFrame:
+    """``left.join(right, keys, how)`` that never gathers a hot key's rows in one task.
+
+    ``right`` has a row per key with ``members``, the number of its rows in
+    ``left`` (of ``rows`` in all).  Keys with more than ``rows / HOT_KEYS`` of
+    them, so fewer than ``HOT_KEYS``, are broadcast; their rows don't move.
+    """
+    most = max(least, rows // HOT_KEYS)
+    hot = F.broadcast(right.where(F.col("members") > most))
+    warm = left.join(hot, keys)
+    cold = left.join(hot.select(*keys), keys, "left_anti").join(right.where(F.col("members") <= most), keys, how)
+    return warm.unionByName(cold.select(warm.columns)).drop("members")
+
+
 def fit_remotely(sample: DataFrame, fit: Callable[[list[dict]], object]):
     """``fit`` of the rows of a bounded ``sample``, in one task; only the pickled model comes to the driver."""
 

@@ -10,8 +10,10 @@ hopeless are confirmed on their full sets.
 No bucket is expanded into all pairs: each document is first confirmed against
 the least document it shares a band with; components of confirmed links are
 found; only buckets that still hold several components are compared further,
-in blocks of bounded size, by sketches, across components.  So every pair of
-candidates is confirmed, excluded by its sketch, or connected already.
+in blocks of bounded size, by sketches, across components: first on narrow rows,
+and texts go only to those blocks in which their sketch is close to another's.
+So every pair of candidates is confirmed, excluded by its sketch, or connected
+already.  Rows of a hot key (a large group of copies) stay where they are.
 
 Two documents at the threshold share no band with a probability of
 (1 - 0.85 ** ROWS) ** BANDS = 2.4e-7; the sketch drops one at the threshold
@@ -143,8 +145,8 @@ def confirm(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Data
     many partners is split into runs of some ``CHUNK`` of them.
     """
     rows = pairs.count()
-    runs = pairs.groupBy("a").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("runs"))
-    split = common.materialize(pairs.join(runs, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("runs")).cast("int").alias("run")), "pairs")
+    runs = pairs.groupBy("a").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("runs"), F.count("*").alias("members"))
+    split = common.materialize(common.join_hot(pairs, common.materialize(runs, "heads"), ["a"], rows).select("a", "b", F.pmod(F.xxhash64("b"), F.col("runs")).cast("int").alias("run")), "pairs")
     wanted = split.select(F.col("b").alias("doc_id"), "a", "run", F.lit(1).alias("role"))
     heads = split.select("a", "run").distinct().select(F.col("a").alias("doc_id"), "a", "run", F.lit(0).alias("role"))
     wanted = bounded(wanted.unionAll(heads), 2 * rows)
@@ -174,27 +176,25 @@ def across_components(members: DataFrame, docs: DataFrame, width: int, percent:
     """Links (a, b) among ``members`` (band, key, component, node, bands, sketch) of one key but different components.
 
     A key's members are dealt to chunks; a run compares two chunks, so its size
-    is bounded whatever the key's.  A run carries the texts: pairs within the
-    sketch limit, in the first band that they share, are confirmed on full sets
-    where they meet, and only links leave it.
+    is bounded whatever the key's.  Runs of narrow rows name the members with a
+    partner within the sketch limit, in the first band that the two share; texts
+    are then carried for these only, and confirmed on full sets where they meet.
+    Only links leave a run, at most one for each two components that it joins.
     """
-    sizes = members.groupBy("key").agg(F.ceil(F.count("*") / RUN).cast("int").alias("chunks"))
-    placed = members.join(sizes, "key").withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
+    rows = members.count()
+    sizes = common.materialize(members.groupBy("key").agg(F.ceil(F.count("*") / RUN).cast("int").alias("chunks"), F.count("*").alias("members")), "sizes")
+    placed = common.join_hot(members, sizes, ["key"], rows).withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))
     placed = placed.withColumn("other", other).withColumn("lo", F.least("chunk", "other")).withColumn("hi", F.greatest("chunk", "other"))
-    placed = common.materialize(placed.select(F.col("node").alias("doc_id"), "key", "lo", "hi", "chunk", "band", "component", "bands", "sketch"), "runs")
-    nodes = bounded(common.materialize(placed.select("doc_id").distinct(), "run-nodes"))
-    texts = common.materialize(docs.select("doc_id", "text").join(nodes, "doc_id", "left_semi"), "run-texts").join(placed, "doc_id")
-    runs = texts.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "chunk")
-
-    def compare(rows: list[dict]) -> list[tuple[int, int]]:
-        chunk, component, node = (np.array([r[k] for r in rows], np.int64) for k in ("chunk", "component", "doc_id"))
-        whole = rows[0]["lo"] == rows[0]["hi"]
-        if not whole and chunk[0] == chunk[-1]:
-            return []
-        bits, bands = (np.array([r[k] for r in rows], np.int64).view(np.uint64) for k in ("sketch", "bands"))
-        earlier = bands[:, : rows[0]["band"]]
-        first, second = (np.flatnonzero(chunk == c) for c in (rows[0]["lo"], rows[0]["hi"]))
+    placed = placed.select(F.col("node").alias("doc_id"), "key", "lo", "hi", "chunk", "band", "component", "bands", "sketch")
+    in_runs = lambda df: df.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "chunk", "doc_id")
+    close = in_runs(placed).mapInArrow(_over_runs(lambda rows: _close(rows, limit)), placed.schema)
+    close = common.materialize(close, "close")
+    nodes = bounded(common.materialize(close.select("doc_id").distinct(), "close-nodes"))
+    texts = common.materialize(docs.select("doc_id", "text").join(nodes, "doc_id", "left_semi"), "run-texts").join(close, "doc_id")
+
+    def confirmed(rows: list[dict]) -> list[dict]:
+        node, component = (np.array([r[k] for r in rows], np.int64) for k in ("doc_id", "component"))
         sets: dict[int, np.ndarray] = {}
 
         def set_of(k):
@@ -203,27 +203,67 @@ def across_components(members: DataFrame, docs: DataFrame, width: int, percent:
             return sets[k]
 
         out = []
-        for i in first.tolist():
-            later = second[second > i] if whole else second
-            good = later[(np.bitwise_count(bits[later] ^ bits[i]).sum(axis=1) <= limit) & (component[later] != component[i])]
-            good = good[~(earlier[good] == earlier[i]).any(axis=1)]
-            out += [(min(node[i], node[j]), max(node[i], node[j])) for j in good.tolist() if alike(set_of(i), set_of(j), percent)]
+        for i, partners in _near(rows, limit):
+            for j in partners.tolist():
+                if component[i] != component[j] and alike(set_of(i), set_of(j), percent):
+                    out.append({"a": min(node[i], node[j]), "b": max(node[i], node[j])})
+                    component[component == component[j]] = component[i]
         return out
 
+    return in_runs(texts.select(*placed.columns, "text")).mapInArrow(_over_runs(confirmed), "a long, b long").distinct()
+
+
+def _near(rows: list[dict], limit: int):
+    """For the rows of a run: each member with those after it, of the other chunk and component, that are close in the first band they share."""
+    chunk, component = (np.array([r[k] for r in rows], np.int64) for k in ("chunk", "component"))
+    whole = rows[0]["lo"] == rows[0]["hi"]
+    if len(rows) < 2 or (not whole and chunk[0] == chunk[-1]):
+        return
+    bits, bands = (np.array([r[k] for r in rows], np.int64).view(np.uint64) for k in ("sketch", "bands"))
+    earlier = bands[:, : rows[0]["band"]]
+    first, second = (np.flatnonzero(chunk == c) for c in (rows[0]["lo"], rows[0]["hi"]))
+    for i in first.tolist():
+        later = second[second > i] if whole else second
+        good = later[(np.bitwise_count(bits[later] ^ bits[i]).sum(axis=1) <= limit) & (component[later] != component[i])]
+        good = good[~(earlier[good] == earlier[i]).any(axis=1)]
+        if len(good):
+            yield i, good
+
+
+def _close(rows: list[dict], limit: int) -> list[dict]:
+    """The rows of a run that are close to another."""
+    kept = np.zeros(len(rows), bool)
+    for i, partners in _near(rows, limit):
+        kept[i] = True
+        kept[partners] = True
+    return [rows[k] for k in np.flatnonzero(kept).tolist()]
+
+
+def _over_runs(of_run):
+    """A map over sorted rows that gives ``of_run`` of the rows of each run (key, lo, hi)."""
+
     def run(batches):
         key, rows = None, []
         for batch in batches:
-            for part in common.slices(batch):
+            for part in common.slices(batch) if "text" in batch.schema.names else (batch.slice(a, 4096) for a in range(0, batch.num_rows, 4096)):
                 found = []
                 for row in part.to_pylist():
                     if key != (row["key"], row["lo"], row["hi"]):
-                        found += compare(rows) if len(rows) > 1 else []
+                        found += of_run(rows) if len(rows) > 1 else []
                         key, rows = (row["key"], row["lo"], row["hi"]), []
                     rows.append(row)
-                yield _pairs(found)
-        yield _pairs(compare(rows) if len(rows) > 1 else [])
+                if found:
+                    yield pa.RecordBatch.from_pylist(found, schema=_schema(found[0]))
+        found = of_run(rows) if len(rows) > 1 else []
+        if found:
+            yield pa.RecordBatch.from_pylist(found, schema=_schema(found[0]))
+
+    return run
 
-    return runs.select("doc_id", "key", "lo", "hi", "chunk", "band", "component", "bands", "sketch", "text").mapInArrow(run, "a long, b long").distinct()
+
+def _schema(row: dict) -> pa.Schema:
+    kinds = {"lo": pa.int32(), "hi": pa.int32(), "chunk": pa.int32(), "band": pa.int32(), "bands": pa.list_(pa.int64()), "sketch": pa.list_(pa.int64())}
+    return pa.schema([(k, kinds.get(k, pa.int64())) for k in row])
 
 
 def alike(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
@@ -234,19 +274,15 @@ def alike(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
     return 100 * shared >= percent * (len(x) + len(y) - shared)
 
 
-def _pairs(found) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array([x[k] for x in found], pa.int64()) for k in (0, 1)], names=["a", "b"])
-
-
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """For each row: doc_id, n_shingles, component_id (the least id reachable), kept."""
     signed = common.materialize(signatures(docs, width), "signatures")
     limit = sketch_limit(percent / 100)
     known = signed.where(F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0))
-    classes = common.materialize(known.groupBy("set_a", "set_b", "n_shingles").agg(F.min("doc_id").alias("node"), F.min_by("bands", "doc_id").alias("bands"), F.min_by("sketch", "doc_id").alias("sketch")), "classes")
+    classes = common.materialize(known.groupBy("set_a", "set_b", "n_shingles").agg(F.min("doc_id").alias("node"), F.min_by("bands", "doc_id").alias("bands"), F.min_by("sketch", "doc_id").alias("sketch"), F.count("*").alias("copies")), "classes")
     keyed = classes.select("node", F.posexplode("bands").alias("band", "key"))
     buckets = keyed.groupBy("key").agg(F.min("node").alias("leader"), F.count("*").alias("members")).where("members > 1")
-    shared = common.materialize(keyed.join(buckets.select("key", "leader"), "key"), "shared-bands")
+    shared = common.materialize(common.join_hot(keyed, common.materialize(buckets, "buckets"), ["key"], BANDS * classes.count()), "shared-bands")
     least = shared.where("node <> leader").groupBy(F.col("node").alias("b")).agg(F.min("leader").alias("a"))
     drawn = classes.select("node", "sketch")
     pairs = least.join(drawn.select(F.col("node").alias("b"), F.col("sketch").alias("sketch_b")), "b").join(drawn.select(F.col("node").alias("a"), F.col("sketch").alias("sketch_a")), "a")
@@ -254,16 +290,21 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     links = common.materialize(confirm(pairs, docs, width, percent), "links")
     labels = common.materialize(connected_components(links), "components")
 
-    placed = shared.join(labels, "node", "left").select("band", "key", "node", F.coalesce("component", "node").alias("component"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("key")
-    members = common.materialize(placed.join(mixed, "key").join(classes.select("node", "bands", "sketch"), "node"), "mixed-bands")
+    placed = common.materialize(shared.join(labels, "node", "left").select("band", "key", "node", F.coalesce("component", "node").alias("component")), "placed")
+    mixed = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("members")).where("low <> high").select("key", "members")
+    members = common.materialize(common.join_hot(placed, common.materialize(mixed, "mixed"), ["key"], placed.count()).join(classes.select("node", "bands", "sketch"), "node"), "mixed-bands")
     more = common.materialize(across_components(members, docs, width, percent, limit), "more-links")
     if more.head(1):
         labels = common.materialize(connected_components(links.unionAll(more)), "components")
-    of_class = classes.select("set_a", "set_b", "n_shingles", "node").join(labels, "node", "left").select("set_a", "set_b", "n_shingles", F.coalesce("component", "node").alias("component"))
-    rows = signed.join(of_class, ["set_a", "set_b", "n_shingles"], "left")
-    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
-    return rows.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    key = ["set_a", "set_b", "n_shingles"]
+    of_class = classes.join(labels, "node", "left").select(*key, F.coalesce("component", "node").alias("component"), F.col("copies").alias("members"))
+    of_class = common.materialize(of_class, "class-components")
+    with_set = F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0)
+    rows = signed.select("doc_id", *key)
+    linked = common.join_hot(rows.where(with_set), of_class, key, signed.count()).select("doc_id", "n_shingles", "component")
+    alone = rows.where(~with_set).select("doc_id", "n_shingles", F.col("doc_id").alias("component"))
+    out = linked.unionByName(alone).withColumnRenamed("component", "component_id")
+    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def op6_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:

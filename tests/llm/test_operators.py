@@ -104,6 +104,20 @@ def test_mixing_many_documents(spark):
     assert len(shards) == 8 and max(r["count"] for r in shards) < 3 * min(r["count"] for r in shards)
 
 
+def test_mixing_null_ids_and_clashing_names(spark):
+    rows = [(None if k % 2 else k, "w " * (k % 11 + 1), "s" if k % 5 else None, 1, "x") for k in range(300)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, source string, mix_shard long, Mix_Order string")
+    got = mixing.assign(frame).collect()
+    left = {}
+    for r in got:
+        left[r["source"]] = left.get(r["source"], r["target"]) - r["taken"]
+    taken = {(r["doc_id"], r["source"], r["size"]): r["copies"] for r in got}
+    assert len(left) == 2 and all(0 <= x <= 11 * 30 for x in left.values()) and len(got) == 300, left
+    mixed = mixing.mix(frame)
+    assert mixed.columns == [*frame.columns, "_mix_shard", "_mix_order"] and mixed.count() == sum(r["copies"] for r in got)
+    assert sum(n for (i, _, _), n in taken.items() if i is None) > 0
+
+
 def test_mixing_meets_the_target_past_a_long_document(spark):
     size = F.when(F.col("id") % 1000 == 0, F.lit(30_000)).otherwise(F.col("id") % 13 + 20)
     many = spark.range(4000).select(F.col("id").alias("doc_id"), F.repeat(F.lit("w "), size.cast("int")).alias("text"), F.concat(F.lit("s"), F.floor(F.col("id") / 1000).cast("string")).alias("source"))
@@ -416,6 +430,20 @@ def test_sketch_estimates():
         assert similarity < 0.8 or max(apart) <= neardup.sketch_limit(similarity)
 
 
+def test_hot_joins(spark):
+    left = spark.range(5000).select((F.col("id") % 50 * (F.col("id") % 3 > 0).cast("int")).alias("k"), "id")
+    right = left.groupBy("k").agg(F.count("*").alias("members"), F.max("id").alias("top")).where("k < 40")
+    for how in ("inner", "left"):
+        got = common.join_hot(left, right, ["k"], 5000, how)
+        assert sorted(map(tuple, got.select("k", "id", "top").collect()), key=str) == sorted(map(tuple, left.join(right.drop("members"), "k", how).select("k", "id", "top").collect()), key=str)
+
+
+def test_components_of_hubs(spark):
+    edges = [(0, k) for k in range(1, 1500)] + [(5000, 5000 + k) for k in range(1, 1300)] + [(1400, 5007)]
+    got = {r["node"]: r["component"] for r in components.connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert set(got.values()) == {0} and len(got) == 2800
+
+
 def test_components(spark):
     edges = [(k, k + 1) for k in range(40)] + [(100, 101), (102, 101), (7, 7)]
     got = {r["node"]: r["component"] for r in components.connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
