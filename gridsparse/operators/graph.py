@@ -41,7 +41,7 @@ def bfs_multi(a: SparseMatrix, sources: DataFrame, most_levels: int | None = Non
 
 
 def betweenness(a: SparseMatrix, sources: DataFrame, most_levels: int | None = None) -> DataFrame:
-    """(vertex, score): dependencies summed over the sources, by path counts forward and shares backward.
+    """(vertex, score) of all vertices reached: dependencies summed over the sources, by path counts forward and shares backward.
 
     All levels are searched; more than ``most_levels`` are an error.
     """
@@ -61,7 +61,8 @@ def betweenness(a: SparseMatrix, sources: DataFrame, most_levels: int | None = N
     for depth in range(len(levels) - 1, 0, -1):
         ready = levels[depth].join(share, ["source", "vertex"], "left").select("source", F.col("vertex").alias("to"), ((1 + F.coalesce("share", F.lit(0.0))) / F.col("paths")).alias("unit"))
         back = levels[depth - 1].join(edges, "vertex").join(ready, ["source", "to"])
-        share = settle(back.groupBy("source", "vertex").agg(F.sum(F.col("paths") * F.col("unit")).alias("share")), "share")
+        back = back.groupBy("source", "vertex").agg(F.sum(F.col("paths") * F.col("unit")).alias("share"))
+        share = settle(levels[depth - 1].select("source", "vertex").join(back, ["source", "vertex"], "left").select("source", "vertex", F.coalesce("share", F.lit(0.0)).alias("share")), "share")
         total = total.unionByName(share)
     return total.join(sources.select(F.col("vertex").alias("source"), "vertex"), ["source", "vertex"], "left_anti").groupBy("vertex").agg(F.sum("share").alias("score"))
 

@@ -10,7 +10,7 @@ from gridsparse.operators import build, elementwise
 from gridsparse.operators.layout import Grid, place_by_id
 from gridsparse.operators.product import multiply
 from gridsparse.semiring import Semiring
-from gridsparse.storage import small
+from gridsparse.storage import settle, small
 
 
 def check_range(index: DataFrame, n: int) -> None:
@@ -103,13 +103,14 @@ def permute_by_map(a: SparseMatrix, perm: DataFrame) -> SparseMatrix:
 def extract_many(a: SparseMatrix, chunked: DataFrame, k: int, sequential: bool = False) -> DataFrame:
     """The subgraphs of k disjoint index vectors (chunk, pos, idx): rows (chunk, i, j, v).
 
-    One after another reads the matrix k times; together it is one scan and two lookups.
+    One after another reads the matrix k times, each result written before the
+    next begins; together it is one scan and two lookups.
     """
     if sequential:
         out = None
         for c in range(k):
             index = chunked.where(F.col("chunk") == c).select("pos", "idx")
-            part = extract(a, index, index, a.shape, order="left").df.select(F.lit(c).alias("chunk"), "i", "j", "v")
+            part = settle(extract(a, index, index, a.shape, order="left").df.select(F.lit(c).alias("chunk"), "i", "j", "v"), "subgraph")
             out = part if out is None else out.unionByName(part)
         return out
     side = small(chunked)

@@ -25,8 +25,10 @@ def _reduce(add: np.ufunc, i, j, v):
 def outer(a: pa.Table, b: pa.Table, semiring: Semiring, most: int = 1 << 20):
     """Merge the outer products of A's columns and B's rows that share an inner index.
 
-    Work and memory depend on entries and products only, never on dimensions;
-    products are made and reduced in chunks of about ``most``.
+    Work and memory never depend on dimensions.  Products are made and reduced in
+    chunks of about ``most``; pending chunks are merged into the result whenever
+    they outgrow it, so memory follows the operands, the result and one chunk, and
+    each product takes part in a number of merges that is logarithmic in the growth.
     """
     add, mul = (getattr(np, f) for f in semiring.ufunc)
     ai, ak, av = _arrays(a)
@@ -47,6 +49,8 @@ def outer(a: pa.Table, b: pa.Table, semiring: Semiring, most: int = 1 << 20):
         p = np.repeat(a0[x[start:stop]], size) + at // wide
         q = np.repeat(b0[y[start:stop]], size) + at % wide
         done.append(_reduce(add, ai[p], bj[q], mul(av[p], bv[q])))
+        if sum(len(c[0]) for c in done[1:]) > max(most, len(done[0][0])):
+            done = [_reduce(add, *(np.concatenate(c) for c in zip(*done, strict=True)))]
         start = stop
     return _reduce(add, *(np.concatenate(c) for c in zip(*done, strict=True)))
 

@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from gridsparse.matrix import SparseMatrix
+from gridsparse.storage import is_small
 
 
 @dataclass(frozen=True)
@@ -105,7 +106,7 @@ def unpack_dcsc(packed: DataFrame, shape: tuple[int, int]) -> SparseMatrix:
 
 def pack_csc(a: SparseMatrix, base: int = 0) -> tuple[list[int], list[int], list]:
     """Dense column pointers, row ids and values of a small matrix (driver side, for baselines and fixtures)."""
-    if a.n_cols > 1_000_000:
+    if a.n_cols > 1_000_000 or not is_small(a.df):
         raise ValueError("column pointers are for small matrices")
     rows = sorted((r["j"], r["i"], r["v"]) for r in a.df.collect())
     counts = np.bincount([r[0] for r in rows], minlength=a.n_cols) if rows else np.zeros(a.n_cols, int)

@@ -133,6 +133,12 @@ def scatter_model(p: int, length: float, alpha: float, beta: float) -> float:
     return alpha * math.log2(max(2, p)) + beta * length / math.sqrt(p)
 
 
+def row_select_model(p: int, n_entries: float, rows: float, alpha: float, beta: float) -> dict[str, float]:
+    """Taking whole rows by a selector product: one side of ``extract_model``."""
+    side = math.sqrt(p)
+    return {"comp": (rows + n_entries) / side + n_entries / p * math.log2(max(2.0, rows / p + side)), "comm": alpha * side + beta * (n_entries + rows) / side}
+
+
 def assign_model(nnz_a: float, nnz_b: float, rows: float, cols: float) -> float:
     return nnz_a + nnz_b + rows + cols
 
@@ -164,3 +170,29 @@ def weak_scaling_row(d1: float, d2: float, n: int, k: int, p: int) -> dict[str,
     """Work, memory and bandwidth of the tall-skinny experiment at p tasks."""
     memory = d1 * n + d2 * k
     return {"work": d1 * d2 * k, "memory": memory, "bandwidth": memory * math.sqrt(p)}
+
+
+# -- measured phases ---------------------------------------------------------------
+def _stages(spark, after: int) -> list:
+    """The status store's stages of an id above ``after``."""
+    sc = spark.sparkContext
+    jvm = sc._jvm
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    found = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+    return [s for k in range(found.size()) if (s := found.apply(k)).stageId() > after]
+
+
+def phase_breakdown(spark, action) -> dict[str, float]:
+    """Run ``action`` and split its tasks' seconds: computing, waiting for and writing shuffled data, collecting garbage; also megabytes moved and spilled, the most memory that a stage's tasks held, and whether it ran out of memory."""
+    last = max((s.stageId() for s in _stages(spark, -1)), default=-1)
+    short = False
+    try:
+        action()
+    except Exception as error:
+        if "OutOfMemory" not in str(error) and "MEMORY" not in str(error):
+            raise
+        short = True
+    done = _stages(spark, last)
+    run, wait, write, gc = (sum(f(s) for s in done) / u for f, u in ((lambda s: s.executorRunTime(), 1e3), (lambda s: s.shuffleFetchWaitTime(), 1e3), (lambda s: s.shuffleWriteTime(), 1e9), (lambda s: s.jvmGcTime(), 1e3)))
+    moved, spilled = sum(s.shuffleWriteBytes() for s in done) / 1e6, sum(s.diskBytesSpilled() for s in done) / 1e6
+    return {"compute_s": max(0.0, run - wait - write - gc), "wait_s": wait, "write_s": write, "gc_s": gc, "moved_mb": moved, "spilled_mb": spilled, "peak_mb": max((s.peakExecutionMemory() for s in done), default=0) / 1e6, "out_of_memory": float(short)}

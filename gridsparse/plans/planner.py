@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import functions as F
 
 from gridsparse.matrix import SparseMatrix
@@ -10,23 +12,34 @@ from gridsparse.operators.layout import Grid
 
 #: Entries up to which an operand counts as small enough to broadcast.
 BROADCAST_ENTRIES = 200_000
-MOST_GRID_SIDE = 16
+#: Products of one cell of the grid, summed in one task.
+CELL_PRODUCTS = 50_000_000
+
+
+def grid_for(made: int, partitions: int) -> Grid:
+    """A square grid with a cell at least for each of ``partitions`` tasks and for each ``CELL_PRODUCTS`` products."""
+    side = math.ceil(math.sqrt(max(partitions, made / CELL_PRODUCTS)))
+    return Grid(side, side)
 
 
 def choose(a: SparseMatrix, b: SparseMatrix, grid: Grid | None = None) -> tuple[str, Grid | None]:
-    """Compare rows moved: a small operand is broadcast; else the inner join's N + F against the grid's copies."""
+    """Compare rows moved: a small operand, left or right, is broadcast; else the inner join's N + F against the grid's copies."""
     na, nb = measures.nnz(a), measures.nnz(b)
-    if min(na, nb) <= BROADCAST_ENTRIES and nb <= BROADCAST_ENTRIES:
-        return "broadcast", None
+    if min(na, nb) <= BROADCAST_ENTRIES:
+        return ("broadcast" if nb <= na else "broadcast_left"), None
     made = measures.products(a, b)
-    side = grid or Grid(4, 4)
+    side = grid or grid_for(made, int(a.df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     moved_inner = na + nb + made
     moved_grid = side.pc * na + side.pr * nb
-    return ("grid", side) if moved_grid < moved_inner and side.pr <= MOST_GRID_SIDE else ("inner", None)
+    return ("grid", side) if moved_grid < moved_inner else ("inner", None)
+
 
+def predict_structure(a: SparseMatrix, b: SparseMatrix, how: str = "exact_flops", share: float = 0.1) -> float:
+    """Products (exact), or entries of the product by a distinct sketch, or by the uniform model d*d*n.
 
-def predict_structure(a: SparseMatrix, b: SparseMatrix, how: str = "exact_flops", share: float = 1.0) -> float:
-    """Products (exact), or entries of the product by a distinct sketch, or by the uniform model d*d*n."""
+    The sketch forms the products of a ``share`` of A's rows only: rows of the
+    product are disjoint, so entries grow with the rows' products, whose total is exact.
+    """
     if how == "exact_flops":
         return float(measures.products(a, b))
     if how == "uniform":
@@ -35,7 +48,8 @@ def predict_structure(a: SparseMatrix, b: SparseMatrix, how: str = "exact_flops"
         raise ValueError(f"unknown method {how}")
     rows = a.df.where(F.pmod(F.xxhash64("i"), F.lit(1000)) < int(1000 * share)).select("i", F.col("j").alias("k"))
     cells = rows.join(b.df.select(F.col("i").alias("k"), "j"), "k")
-    return cells.agg(F.approx_count_distinct(F.struct("i", "j"), 0.02)).first()[0] / share
+    entries, made = cells.agg(F.approx_count_distinct(F.struct("i", "j"), 0.02), F.count("*")).first()
+    return entries * measures.products(a, b) / made if made else 0.0
 
 
 def chain_order(matrices: list[SparseMatrix]):

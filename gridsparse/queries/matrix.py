@@ -27,9 +27,15 @@ def _permutation(t: Tables):
 
 
 # -- products -------------------------------------------------------------------
+def _graph(spark, sf_dir) -> SparseMatrix:
+    """The returned co-purchases, written once: both operands of a square read the same files."""
+    h = Tables(spark, sf_dir).co_purchase()
+    return h.with_df(settle(h.df, "graph"))
+
+
 def _square(**options):
     def run(spark, sf_dir):
-        h = Tables(spark, sf_dir).co_purchase()
+        h = _graph(spark, sf_dir)
         return _cells(h.multiply(h, **options))
 
     return run
@@ -45,6 +51,9 @@ for _name, _options in {
     "prod_rowwise_1d": {"strategy": "rowwise_1d"},
     "prod_broadcast": {"strategy": "broadcast"},
     "prod_loop": {"mode": "loop", "grid": Grid(4, 4)},
+    "prod_loop_on_grid": {"mode": "loop", "strategy": "grid", "grid": Grid(4, 4)},
+    "prod_broadcast_left": {"strategy": "broadcast_left"},
+    "prod_kernel_whole_cells": {"strategy": "grid", "grid": Grid(4, 4), "kernel": "outer"},
     "prod_eager_merge": {"mode": "loop", "grid": Grid(3, 3), "merge": "eager"},
     "prod_threshold_merge": {"mode": "loop", "grid": Grid(6, 6), "merge": "threshold", "every": 4},
     "prod_outer_kernel": {"strategy": "grid", "grid": Grid(3, 3), "kernel": "outer"},
@@ -91,7 +100,7 @@ def prod_dense_control(spark, sf_dir):
 
 def _ring(ring: Semiring):
     def run(spark, sf_dir):
-        h = Tables(spark, sf_dir).co_purchase()
+        h = _graph(spark, sf_dir)
         return h.multiply(h, semiring=ring).df.select("i", "j", "v")
 
     return run
@@ -518,7 +527,7 @@ def bfs_multi(spark, sf_dir):
 
 @register("triangles", sql("SELECT count(*) AS n FROM h a JOIN h b ON a.j = b.i AND a.i > a.j AND b.i > b.j JOIN h c ON c.i = a.i AND c.j = b.j", "h"))
 def triangles(spark, sf_dir):
-    return spark.createDataFrame([(graph.triangles(Tables(spark, sf_dir).co_purchase()),)], "n long")
+    return spark.createDataFrame([(graph.triangles(_graph(spark, sf_dir)),)], "n long")
 
 
 @register("cycles_through", sql("SELECT a.i, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM h a JOIN h b ON a.j = b.i AND b.j = a.i GROUP BY a.i", "h"))
@@ -526,11 +535,11 @@ def cycles_through(spark, sf_dir):
     return graph.cycles_through(Tables(spark, sf_dir).co_purchase(), 2).select("i", F.col("v").cast("long").alias("v"))
 
 
-@register("colored_sets", "WITH s AS (SELECT DISTINCT n_nationkey AS i, c_mktsegment AS c FROM nation JOIN customer ON c_nationkey = n_nationkey WHERE c_acctbal < 0) SELECT CAST(a.i AS BIGINT) AS i, CAST(b.i AS BIGINT) AS j, count(*) AS v FROM s a JOIN s b USING (c) GROUP BY ALL")
+@register("colored_sets", "WITH s AS (SELECT DISTINCT n_nationkey AS i, c_mktsegment AS c FROM nation JOIN customer ON c_nationkey = n_nationkey) SELECT CAST(a.i AS BIGINT) AS i, CAST(b.i AS BIGINT) AS j, count(*) AS v FROM s a JOIN s b USING (c) GROUP BY ALL")
 def colored_sets(spark, sf_dir):
-    """Nations as sets of the segments of their indebted customers."""
+    """Nations as sets of the segments of their customers."""
     t = Tables(spark, sf_dir)
-    pairs = t.table("customer").where("c_acctbal < 0").select(F.col("c_nationkey").cast("long").alias("i"), F.conv(F.substring(F.md5("c_mktsegment"), 1, 7), 16, 10).cast("long").alias("j")).distinct()
+    pairs = t.table("customer").select(F.col("c_nationkey").cast("long").alias("i"), F.conv(F.substring(F.md5("c_mktsegment"), 1, 7), 16, 10).cast("long").alias("j")).distinct()
     return _cells(graph.colored_intersection(SparseMatrix(pairs.withColumn("v", F.lit(1).cast("long")), 25, 1 << 31)))
 
 
@@ -563,29 +572,47 @@ def schur_update(spark, sf_dir):
     return _cells(graph.schur_update(contract.contract(h, s), s.multiply(h), twice, contract.restrict_right(h, s)))
 
 
-@register("cfg_reach", "WITH RECURSIVE e AS (SELECT DISTINCT user_id % 40 AS i, (user_id * 7 + 3) % 40 AS j FROM events WHERE event_type = 'purchase' AND user_id < 40), w AS (SELECT i, j FROM e UNION SELECT w.i, e.j FROM w JOIN e ON w.j = e.i) SELECT 'S' AS label, i, j FROM w UNION ALL SELECT 'E', i, j FROM e")
+@register("cfg_reach", "WITH RECURSIVE m AS (SELECT max(user_id) + 1 AS n FROM events), e AS (SELECT DISTINCT user_id AS i, (user_id * 7 + 3) % m.n AS j FROM events, m WHERE event_type = 'purchase'), w AS (SELECT i, j FROM e UNION SELECT w.i, e.j FROM w JOIN e ON w.j = e.i) SELECT 'S' AS label, i, j FROM w UNION ALL SELECT 'E', i, j FROM e")
 def cfg_reach(spark, sf_dir):
     """S -> S E with S over each edge: the transitive closure as a grammar."""
-    e = Tables(spark, sf_dir).table("events").where("event_type = 'purchase' AND user_id < 40").select((F.col("user_id") % 40).alias("i"), ((F.col("user_id") * 7 + 3) % 40).alias("j")).distinct()
+    t = Tables(spark, sf_dir)
+    n = t.dim("events", "user_id")
+    e = t.table("events").where("event_type = 'purchase'").select(F.col("user_id").alias("i"), ((F.col("user_id") * 7 + 3) % n).alias("j")).distinct()
     edges = e.select(F.lit("E").alias("label"), "i", "j").unionByName(e.select(F.lit("S").alias("label"), "i", "j"))
     return graph.cfg_reach([("S", "S", "E")], edges)
 
 
-@register("betweenness")
+def _betweenness_sql(depth: int) -> str:
+    """Levels, path counts and shares one after another, down to ``depth`` (empty beyond the last level)."""
+    parts = ["l0 AS MATERIALIZED (SELECT idx AS s, idx AS x, CAST(1 AS DOUBLE) AS p FROM perm WHERE pos < 2)", "a0 AS (SELECT s, x FROM l0)"]
+    for k in range(1, depth):
+        parts.append(f"l{k} AS MATERIALIZED (SELECT l.s, h.j AS x, sum(l.p) AS p FROM l{k - 1} l JOIN h ON l.x = h.i LEFT JOIN a{k - 1} o ON o.s = l.s AND o.x = h.j WHERE o.x IS NULL GROUP BY l.s, h.j)")
+        parts.append(f"a{k} AS (SELECT * FROM a{k - 1} UNION ALL SELECT s, x FROM l{k})")
+    parts.append(f"d{depth - 1} AS (SELECT s, x, CAST(0 AS DOUBLE) AS d FROM l{depth - 1})")
+    for k in range(depth - 2, -1, -1):
+        parts.append(f"d{k} AS MATERIALIZED (SELECT l.s, l.x, sum(CASE WHEN n.x IS NULL THEN 0 ELSE l.p / n.p * (1 + n.d) END) AS d FROM l{k} l LEFT JOIN h ON h.i = l.x LEFT JOIN (SELECT * FROM l{k + 1} JOIN d{k + 1} USING (s, x)) n ON n.s = l.s AND n.x = h.j GROUP BY l.s, l.x)")
+    every = " UNION ALL ".join(f"SELECT * FROM d{k}" for k in range(1, depth))
+    return sql("+" + ", ".join(parts) + f" SELECT x AS vertex, round(sum(d), 6) AS score FROM ({every}) WHERE s <> x GROUP BY x", "h", "perm")
+
+
+@register("betweenness", _betweenness_sql(8))
 def betweenness(spark, sf_dir):
     t = Tables(spark, sf_dir)
-    h = t.co_purchase()
-    return graph.betweenness(h.with_df(settle(h.df)), perms.head(_permutation(t), 2).select(F.col("idx").alias("vertex")))
+    found = graph.betweenness(_graph(spark, sf_dir), perms.head(_permutation(t), 2).select(F.col("idx").alias("vertex")))
+    return found.select("vertex", F.round("score", 6).alias("score"))
+
+
+_VOTE = "SELECT x.vertex, coalesce(w.won, x.cluster) AS cluster FROM {now} x LEFT JOIN (SELECT j AS vertex, cluster AS won FROM (SELECT h.j, c.cluster, sum(h.v) AS n FROM h JOIN {now} c ON c.vertex = h.i GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY j ORDER BY n DESC, cluster) = 1) w USING (vertex)"
 
 
-@register("peer_pressure")
+@register("peer_pressure", sql("+c0 AS (SELECT i AS vertex, i AS cluster FROM (SELECT i FROM h UNION SELECT j FROM h)), c1 AS (" + _VOTE.format(now="c0") + ") " + _VOTE.format(now="c1"), "h"))
 def peer_pressure(spark, sf_dir):
     return graph.peer_pressure(Tables(spark, sf_dir).co_purchase(), 2)
 
 
-@register("markov_cluster_step")
+@register("markov_cluster_step", sql("+p AS (" + MUL.format(a="h", b="h") + "), t AS (SELECT i, j, CAST(v AS DOUBLE) * v AS v FROM p QUALIFY row_number() OVER (PARTITION BY i ORDER BY v DESC, j) <= 10) SELECT i, j, round(v / sum(v) OVER (PARTITION BY i), 9) AS v FROM t", "h"))
 def markov_cluster_step(spark, sf_dir):
-    return graph.markov_cluster_step(Tables(spark, sf_dir).co_purchase()).df
+    return graph.markov_cluster_step(_graph(spark, sf_dir)).df.select("i", "j", F.round("v", 9).alias("v"))
 
 
 # -- storage --------------------------------------------------------------------
@@ -604,7 +631,11 @@ for _side in (1, 2, 4, 8):
     register(f"storage_words_{_side}", _words_sql(_side, _side))(_words(_side))
 
 
-@register("hypersparse_terms")
+def _term_words(side: int) -> str:
+    return f"SELECT CAST({side * side} * ((2147483648 + {side - 1}) // {side} + 1) + 2 * sum(nnz) AS BIGINT) AS csc_words, CAST(2 * sum(nzc) + count(*) + 2 * sum(nnz) AS BIGINT) AS dcsc_words, CAST(3 * sum(nnz) AS BIGINT) AS triples_words, CAST({side} AS INTEGER) AS side FROM (SELECT count(*) AS nnz, count(DISTINCT j) AS nzc FROM t, m GROUP BY i // ((n + {side - 1}) // {side}), j // ((2147483648 + {side - 1}) // {side}))"
+
+
+@register("hypersparse_terms", r"WITH m AS (SELECT max(doc_id) + 1 AS n FROM documents), w AS (SELECT doc_id AS i, unnest(regexp_extract_all(lower(coalesce(text, '')), '[^\x20\x09-\x0D]+')) AS w FROM documents), t AS (SELECT DISTINCT i, CAST('0x' || substr(md5(w), 1, 7) AS BIGINT) AS j FROM w) " + " UNION ALL ".join(map(_term_words, (1, 2, 4, 8))))
 def hypersparse_terms(spark, sf_dir):
     """Words of the packed forms of the hashed term matrix over growing grids."""
     m = Tables(spark, sf_dir).doc_term()
@@ -757,5 +788,28 @@ def _workload(wid: str):
     return run
 
 
-for _wid in ("w01_relabel", "w02_subgraphs", "w03_replace_window", "w04_square", "w05_stage_sizes", "w06_restrict", "w07_triple", "w08_diagonal_split", "w09_tall_skinny", "w10_methods", "w12_search", "w15_storage"):
+for _wid in ("w01_relabel", "w02_subgraphs", "w03_replace_window", "w04_square", "w05_stage_sizes", "w06_restrict", "w07_triple", "w08_diagonal_split", "w09_tall_skinny", "w10_methods", "w12_search", "w15_storage", "w20_strong_scaling"):
     register(_wid)(_workload(_wid))
+
+
+def _counts(wid: str):
+    def run(spark, sf_dir):
+        from gridsparse import workloads
+
+        return workloads.counts(spark, sf_dir, wid)
+
+    return run
+
+
+def _metrics(found: dict[str, str]) -> str:
+    """A row (metric, value) for each scalar query."""
+    return " UNION ALL ".join(f"SELECT '{k}' AS metric, CAST(({v}) AS DOUBLE) AS value" for k, v in found.items())
+
+
+_ORDERS = (2, 4, 8)
+_PRODUCTS = "SELECT sum(ca * cb) FROM (SELECT j AS k, count(*) AS ca FROM {a} GROUP BY j) JOIN (SELECT i AS k, count(*) AS cb FROM {b} GROUP BY i) USING (k)"
+register("w02_subgraphs_counts", sql("+ten AS (SELECT idx, pos * 10 // n AS c FROM perm, n) " + _metrics({"nnz": "SELECT count(*) FROM h JOIN ten x ON h.i = x.idx JOIN ten y ON h.j = y.idx AND x.c = y.c", "expected": "SELECT count(*) / 10.0 FROM h"}), "h", "perm", "n"))(_counts("w02_subgraphs"))
+register("w06_restrict_counts", sql(_metrics({f"{name}_nnz": f"SELECT count(*) FROM {m}" for name, m in (("parts", "h"), ("orders", "op"))} | {f"{name}_products_{o}": f"SELECT count(*) FROM {m}" for name, m in (("parts", "h"), ("orders", "op")) for o in _ORDERS} | {f"{name}_nnz_{o}": f"SELECT count(*) FROM (SELECT DISTINCT i, j // {o} FROM {m})" for name, m in (("parts", "h"), ("orders", "op")) for o in _ORDERS}), "h", "op"))(_counts("w06_restrict"))
+register("w07_triple_counts", sql(_metrics({f"{name}_nnz": f"SELECT count(*) FROM (SELECT DISTINCT i // 8, j // 8 FROM {m})" for name, m in (("parts", "h"), ("all", "g"))} | {f"{name}_products_left": f"SELECT (SELECT count(*) FROM {m}) + (SELECT count(*) FROM (SELECT DISTINCT i // 8, j FROM {m}))" for name, m in (("parts", "h"), ("all", "g"))} | {f"{name}_products_right": f"SELECT (SELECT count(*) FROM {m}) + (SELECT count(*) FROM (SELECT DISTINCT i, j // 8 FROM {m}))" for name, m in (("parts", "h"), ("all", "g"))}), "h", "g"))(_counts("w07_triple"))
+register("w10_methods_counts", sql(_metrics({"words_grid": "SELECT 8 * count(*) FROM h", "words_rowwise": "SELECT 9 * count(*) FROM h", "dense_flops": "SELECT 2.0 * n * n * n FROM n"}), "h", "n"))(_counts("w10_methods"))
+register("w20_strong_scaling_counts", sql(_metrics({"products": _PRODUCTS.format(a="h", b="h")}), "h"))(_counts("w20_strong_scaling"))

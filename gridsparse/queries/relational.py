@@ -226,11 +226,11 @@ def r05_blocks_pruned(spark, sf_dir):
     return files.read_window(spark, path, h.shape, Grid(8, 2), 20, 60)
 
 
-@register("r54_sql_facade", sql("SELECT a.i, b.j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM h a JOIN h b ON a.j = b.i WHERE a.i < 50 GROUP BY ALL", "h"))
+@register("r54_sql_facade", sql("SELECT a.i, b.j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM h a JOIN h b ON a.j = b.i GROUP BY ALL", "h"))
 def r54_sql_facade(spark, sf_dir):
     """A product written by the user over a registered matrix."""
     Tables(spark, sf_dir).co_purchase().register("returned_pairs")
-    return spark.sql("SELECT a.i, b.j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM returned_pairs a JOIN returned_pairs b ON a.j = b.i WHERE a.i < 50 GROUP BY a.i, b.j")
+    return spark.sql("SELECT a.i, b.j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM returned_pairs a JOIN returned_pairs b ON a.j = b.i GROUP BY a.i, b.j")
 
 
 @register("role_transitions", "SELECT role, next_role, count(*) AS n FROM (SELECT role, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS next_role FROM conversations) WHERE next_role IS NOT NULL GROUP BY ALL")

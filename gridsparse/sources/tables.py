@@ -18,7 +18,8 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def count_keys(df: DataFrame, key: str) -> int:
     """One more than the largest key: the dimension of dense 0-based keys."""
-    return (df.agg(F.max(key)).first()[0] or -1) + 1
+    top = df.agg(F.max(key)).first()[0]
+    return 0 if top is None else top + 1
 
 
 class Tables:

@@ -16,16 +16,21 @@ def shared_dir(spark) -> str:
     return (spark.sparkContext.getConf().get("spark.checkpoint.dir") or "file:///tmp/checkpoints").rstrip("/")
 
 
-def settle(df: DataFrame, label: str = "matrix") -> DataFrame:
-    """Write ``df`` and read it back: lineage ends at files that every executor can read."""
+def settle(df: DataFrame, label: str = "matrix", by: str | None = None) -> DataFrame:
+    """Write ``df`` (in a folder per value of ``by``) and read it back: lineage ends at files that every executor can read."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def is_small(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:
+    """Whether ``df`` has at most ``rows`` rows, by one bounded count; rows here are a few numbers wide."""
+    return df.limit(rows + 1).count() <= rows
+
+
 def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """A broadcast hint if ``df`` has at most ``rows`` rows (one bounded count decides), else ``df``."""
-    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+    """A broadcast hint if ``df`` has at most ``rows`` rows, else ``df``."""
+    return F.broadcast(df) if is_small(df, rows) else df

@@ -2,27 +2,36 @@
 
 ``run(spark, sf_dir, wid)`` gives (metric, value) rows: counts that must not
 depend on the method, and seconds where methods are compared.  Each timed plan
-is written to the no-op sink.
+is written to the no-op sink.  ``counts(spark, sf_dir, wid)`` runs the counts of
+a workload only, without timing a plan.
 """
 
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridsparse.functions import permutations as perms
 from gridsparse.matrix import SparseMatrix
-from gridsparse.operators import assign, contract, graph, indexing, layout, measures, product
+from gridsparse.operators import assign, baselines, contract, graph, indexing, layout, measures, product
 from gridsparse.operators.layout import Grid
 from gridsparse.sources import generators
 from gridsparse.sources.tables import Tables
 from gridsparse.storage import settle
 
 
-def seconds(df: DataFrame) -> float:
+TIMED = True
+
+
+def seconds(plan: DataFrame | Callable[[], DataFrame]) -> float:
+    """Seconds to run a plan; a function that makes it is timed as well, where making it runs jobs (loops)."""
+    if not TIMED:
+        return 0.0
     start = time.time()
+    df = plan() if callable(plan) else plan
     df.write.format("noop").mode("overwrite").save()
     return time.time() - start
 
@@ -48,8 +57,8 @@ def relabel(t: Tables) -> dict:
 def subgraphs(t: Tables) -> dict:
     """Ten disjoint induced subgraphs, one after another and together."""
     h, c = kept(t.co_purchase()), perms.chunks(_md5(t), t.parts, 10)
-    one, many = indexing.extract_many(h, c, 10, True), indexing.extract_many(h, c, 10)
-    return {"nnz": many.count(), "expected": measures.nnz(h) / 10, "s_sequential": seconds(one), "s_batched": seconds(many)}
+    many = indexing.extract_many(h, c, 10)
+    return {"nnz": many.count(), "expected": measures.nnz(h) / 10, "s_sequential": seconds(lambda: indexing.extract_many(h, c, 10, True)), "s_batched": seconds(many)}
 
 
 def replace_window(t: Tables) -> dict:
@@ -71,7 +80,7 @@ def square(t: Tables) -> dict:
     """Squares: entries, products, compression; table graph, user hops, and generated graphs under both relabellings."""
     out = {}
     cases = {"parts": (h := kept(t.co_purchase()), h), "users": (u := kept(t.user_hop()), u)}
-    for scale in (10, 12):
+    for scale in (10, 12, 14):
         for how in ("independent", "shared"):
             a, b = (kept(generators.rmat(t.spark, scale, seed=s, relabel=how)) for s in (1, 2))
             cases[f"rmat{scale}_{how}"] = a, b
@@ -83,31 +92,41 @@ def square(t: Tables) -> dict:
 
 
 def stage_sizes(t: Tables) -> dict:
-    """Whole- and half-block stages of one product on a 4 x 4 grid."""
-    a = kept(t.order_part())
-    b = kept(a.transpose())
-    width = -(-a.n_cols // 4)
-    out = {"products": measures.products(a, b)}
-    for name, block in (("whole", width), ("half", width // 2)):
-        cost = measures.stage_cost(a, b, Grid(4, 4), block).agg(F.sum("cost"), F.max("cost")).first()
-        out |= {f"model_{name}": cost[0], f"most_{name}": cost[1], f"s_{name}": seconds(a.multiply(b, mode="loop", block=block).df)}
+    """Whole- and half-block stages on a 4 x 4 grid, with the phases of each: the table graph's square, customers by suppliers times its transpose."""
+    out = {}
+    h, c = kept(t.co_purchase()), kept(t.cust_supp())
+    for name, (a, b) in {"parts": (h, h), "customers": (c, c.transpose())}.items():
+        width = -(-a.n_cols // 4)
+        out[f"{name}_products"] = measures.products(a, b)
+        for size, block in (("whole", width), ("half", -(-width // 2))):
+            cost = measures.stage_cost(a, b, Grid(4, 4), block).agg(F.sum("cost"), F.max("cost")).first()
+            out |= {f"{name}_model_{size}": cost[0], f"{name}_most_{size}": cost[1], f"s_{name}_{size}": seconds(lambda: a.multiply(b, mode="loop", block=block).df)}  # noqa: B023
+            if TIMED:
+                phases = measures.phase_breakdown(t.spark, lambda: seconds(lambda: a.multiply(b, mode="loop", strategy="grid", grid=Grid(4, 4), block=block).df))  # noqa: B023
+                out |= {f"s_{name}_{size}_{k}": v for k, v in phases.items()}
     return out
 
 
 def restrict(t: Tables) -> dict:
     """The right restriction of orders 2, 4, 8: as many products as entries, whatever the order."""
-    h, out = kept(t.co_purchase()), {"nnz": 0}
-    out["nnz"] = measures.nnz(h)
-    for order in (2, 4, 8):
-        s = t.restriction(order)
-        out |= {f"products_{order}": measures.products(h, s.transpose()), f"nnz_{order}": measures.nnz(contract.restrict_right(h, s)), f"s_{order}": seconds(contract.restrict_right(h, s).df)}
+    out = {}
+    for name, m in {"parts": t.co_purchase(), "orders": t.order_part()}.items():
+        h = kept(m)
+        out[f"{name}_nnz"] = measures.nnz(h)
+        for order in (2, 4, 8):
+            s = t.restriction(order)
+            out |= {f"{name}_products_{order}": measures.products(h, s.transpose()), f"{name}_nnz_{order}": measures.nnz(contract.restrict_right(h, s)), f"s_{name}_{order}": seconds(contract.restrict_right(h, s).df)}
     return out
 
 
 def triple(t: Tables) -> dict:
-    """The full restriction of order 8 in both associations and fused."""
-    h, s = kept(t.co_purchase()), t.restriction(8)
-    return {"nnz": measures.nnz(contract.contract(h, s))} | {f"s_{o}": seconds(contract.contract(h, s, o).df) for o in ("left", "right", "fused")} | {f"products_{k}": v for k, v in measures.chain_products(s, h, s.transpose()).items()}
+    """The full restriction of order 8 in both associations and fused, of the sparse and the full co-purchase graph."""
+    out, s = {}, t.restriction(8)
+    for name, returned in (("parts", True), ("all", False)):
+        h = kept(t.co_purchase(returned))
+        out |= {f"{name}_nnz": measures.nnz(contract.contract(h, s))} | {f"s_{name}_{o}": seconds(contract.contract(h, s, o).df) for o in ("left", "right", "fused")}
+        out |= {f"{name}_products_{k}": v for k, v in measures.chain_products(s, h, s.transpose()).items()}
+    return out
 
 
 def diagonal_split(t: Tables) -> dict:
@@ -120,11 +139,52 @@ def diagonal_split(t: Tables) -> dict:
 
 
 def tall_skinny(t: Tables) -> dict:
-    """A generated graph times tall operands of growing density."""
-    a, out = kept(generators.rmat(t.spark, 13)), {}
-    for d in (1, 10, 100, 1000):
-        b = kept(generators.erdos_renyi(t.spark, a.n_cols, 8, d))
-        out |= {f"products_{d}": measures.products(a, b), f"s_{d}": seconds(a.multiply(b, strategy="broadcast").df)}
+    """Graphs times tall operands of growing density and an n-th of 128 as wide; then weak scaling at n / p and k / p fixed, times over the first."""
+    out = {}
+    for name, a in {"parts": kept(t.co_purchase()), "rmat13": kept(generators.rmat(t.spark, 13))}.items():
+        wide = max(2, a.n_cols // 128)
+        for d in (1, 10, 100, 1000):
+            if d > a.n_cols:
+                continue
+            b = kept(generators.erdos_renyi(t.spark, a.n_cols, wide, d))
+            out |= {f"s_nnz_{name}_{d}": measures.nnz(b), f"s_products_{name}_{d}": measures.products(a, b), f"s_{name}_{d}": seconds(a.multiply(b).df)}
+    first = None
+    for p in (1, 2, 4, 8):
+        scale, wide, d = 11 + p.bit_length() - 1, 16 * p, 10
+        a = kept(generators.rmat(t.spark, scale))
+        b = kept(generators.erdos_renyi(t.spark, a.n_cols, wide, d))
+        a, b = (m.with_df(settle(m.df.repartition(p))) for m in (a, b))
+        took = _with_tasks(t.spark, p, lambda: seconds(a.multiply(b).df))  # noqa: B023
+        first = first or took
+        model = measures.weak_scaling_row(8, d, a.n_cols, wide, p)
+        out |= {f"s_weak_{p}": took, f"s_weak_over_first_{p}": took / max(first, 1e-9), f"weak_bandwidth_{p}": model["bandwidth"], f"weak_work_{p}": model["work"]}
+    return out
+
+
+def _with_tasks(spark: SparkSession, tasks: int, action):
+    """``action()`` with ``tasks`` shuffle partitions (a setting of the running session, put back after)."""
+    before = {k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.adaptive.coalescePartitions.enabled")}
+    spark.conf.set("spark.sql.shuffle.partitions", str(tasks))
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        return action()
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+
+
+def strong_scaling(t: Tables) -> dict:
+    """The table graph's square with 1, 2, 4 and 8 tasks: seconds, speed-ups over one processor's kernel, efficiencies, log-log slope; as many cores must be free."""
+    h = kept(t.co_purchase())
+    out = {"products": measures.products(h, h), "s_one_kernel": seconds(baselines.one_processor(h, h).df)}
+    cores, ups = [1, 2, 4, 8], []
+    for p in cores:
+        m = h.with_df(settle(h.df.repartition(p)))
+        out[f"s_{p}"] = _with_tasks(t.spark, p, lambda: min(seconds(m.multiply(m).df) for _ in range(2)))  # noqa: B023
+        ups.append(measures.speedup(out["s_1"], max(out[f"s_{p}"], 1e-9)) if TIMED else 1.0)
+        out |= {f"s_speedup_{p}": ups[-1], f"s_efficiency_{p}": ups[-1] / p}
+    out["s_slope"] = measures.loglog_slope(cores, ups)
+    out["s_useful_rate"] = measures.useful_rate(2 * out["products"], out["s_8"]) if TIMED else 0.0
     return out
 
 
@@ -135,9 +195,20 @@ def methods(t: Tables) -> dict:
         "inner": {}, "grid": {"strategy": "grid", "grid": Grid(4, 4)}, "rowwise_1d": {"strategy": "rowwise_1d"}, "broadcast": {"strategy": "broadcast"}, "loop": {"mode": "loop", "grid": Grid(4, 4)},
         "loop_eager": {"mode": "loop", "grid": Grid(4, 4), "merge": "eager"}, "outer_kernel": {"strategy": "grid", "grid": Grid(4, 4), "kernel": "outer"}, "columnwise_kernel": {"strategy": "grid", "grid": Grid(4, 4), "kernel": "columnwise"},
     }
-    out = {f"s_{n}": seconds(h.multiply(h, **o).df) for n, o in plans.items()}
+    plans |= {"loop_threshold": {"mode": "loop", "grid": Grid(4, 4), "merge": "threshold", "every": 2}, "loop_half_blocks": {"mode": "loop", "block": max(1, h.n_cols // 8)}, "loop_on_grid": {"mode": "loop", "strategy": "grid", "grid": Grid(4, 4)}, "grid_hash": {"strategy": "grid", "grid": Grid(4, 4, layout="hash")}}
+    out = {f"s_{n}": seconds(lambda: h.multiply(h, **o).df) for n, o in plans.items()}  # noqa: B023
+    out["s_library_square"] = seconds(lambda: baselines.mllib_block(h, h).df)
+    s = t.restriction(8)
+    wide = s.transpose()
+    out |= {"s_restrict": seconds(contract.restrict_right(h, s).df), "s_restrict_rowwise_1d": seconds(h.multiply(wide, strategy="rowwise_1d").df), "s_library_restrict": seconds(lambda: baselines.mllib_block(h, wide).df)}
+    out |= {"s_triple": seconds(contract.contract(h, s, "fused").df), "s_triple_rowwise_1d": seconds(s.multiply(h, strategy="rowwise_1d").multiply(wide, strategy="rowwise_1d").df), "s_library_triple": seconds(lambda: baselines.mllib_block(baselines.mllib_block(s, h), wide).df)}
+    if h.n_rows * h.n_cols <= 4_000_000 and TIMED:
+        start = time.time()
+        baselines.dense(h, h)
+        out["s_dense"] = time.time() - start
+    over = {f"s_speedup_{k}": out[slow] / max(out[fast], 1e-9) for k, slow, fast in (("inner", "s_rowwise_1d", "s_inner"), ("grid", "s_rowwise_1d", "s_grid"), ("restrict", "s_restrict_rowwise_1d", "s_restrict"), ("triple", "s_triple_rowwise_1d", "s_triple"), ("square_library", "s_library_square", "s_inner"), ("restrict_library", "s_library_restrict", "s_restrict"), ("triple_library", "s_library_triple", "s_triple"))}
     words = measures.comm_words(h, h, Grid(4, 4)).agg(F.sum("words")).first()[0]
-    return out | {"words_grid": words, "words_rowwise": 9 * measures.nnz(h), "speedup_inner": out["s_rowwise_1d"] / out["s_inner"], "speedup_grid": out["s_rowwise_1d"] / out["s_grid"]}
+    return out | over | {"words_grid": words, "words_rowwise": 9 * measures.nnz(h), "dense_flops": measures.dense_flops(*h.shape, h.n_cols)}
 
 
 def search(t: Tables) -> dict:
@@ -148,20 +219,32 @@ def search(t: Tables) -> dict:
 
 
 def storage(t: Tables) -> dict:
-    """Words of both column formats over growing grids for hashed terms."""
-    m, out = kept(t.doc_term()), {}
-    for side in (1, 2, 4, 8):
-        r = layout.storage_words(m, Grid(side, side)).first()
-        out |= {f"csc_{side}": r["csc_words"], f"dcsc_{side}": r["dcsc_words"]}
+    """Words of both column formats over growing grids for hashed terms and links."""
+    out = {}
+    for name, m in {"terms": kept(t.doc_term()), "links": kept(t.page_link())}.items():
+        for side in (1, 2, 4, 8):
+            r = layout.storage_words(m, Grid(side, side)).first()
+            out |= {f"{name}_csc_{side}": r["csc_words"], f"{name}_dcsc_{side}": r["dcsc_words"]}
     return out
 
 
 WORKLOADS = {
     "w01_relabel": relabel, "w02_subgraphs": subgraphs, "w03_replace_window": replace_window, "w04_square": square, "w05_stage_sizes": stage_sizes, "w06_restrict": restrict,
-    "w07_triple": triple, "w08_diagonal_split": diagonal_split, "w09_tall_skinny": tall_skinny, "w10_methods": methods, "w12_search": search, "w15_storage": storage,
+    "w07_triple": triple, "w08_diagonal_split": diagonal_split, "w09_tall_skinny": tall_skinny, "w10_methods": methods, "w12_search": search, "w15_storage": storage, "w20_strong_scaling": strong_scaling,
 }
 
 
 def run(spark: SparkSession, sf_dir: str, wid: str) -> DataFrame:
     found = WORKLOADS[wid](Tables(spark, sf_dir))
     return spark.createDataFrame([(k, float(v)) for k, v in found.items()], "metric string, value double")
+
+
+def counts(spark: SparkSession, sf_dir: str, wid: str) -> DataFrame:
+    """The counts of a workload: its metrics that are no seconds and nothing made of them."""
+    global TIMED
+    TIMED = False
+    try:
+        found = WORKLOADS[wid](Tables(spark, sf_dir))
+    finally:
+        TIMED = True
+    return spark.createDataFrame([(k, float(v)) for k, v in found.items() if not k.startswith("s_")], "metric string, value double")

@@ -11,16 +11,20 @@ from pyspark.sql import functions as F
 from gridsparse.functions import permutations as perms
 from gridsparse.matrix import SparseMatrix, from_arrays, from_triples
 from gridsparse.operators import assign, build, contract, elementwise, graph, indexing, layout, measures, product
-from gridsparse.operators.baselines import dense, to_dense
+from gridsparse.operators import kernels
+from gridsparse.operators.baselines import dense, mllib_block, one_processor, to_dense
 from gridsparse.operators.layout import Grid
 from gridsparse.semiring import Semiring
+from gridsparse.plans import planner
 from gridsparse.sources import generators
+from gridsparse.sources.tables import count_keys
 
 STRATEGIES = [
     {"strategy": "inner"}, {"strategy": "grid", "grid": Grid(2, 3)}, {"strategy": "grid", "grid": Grid(3, 2, inner=2, layout="hash")},
     {"strategy": "broadcast"}, {"strategy": "rowwise_1d", "grid": Grid(3, 1)}, {"mode": "loop", "block": 5}, {"mode": "loop", "block": 4, "merge": "eager"},
     {"mode": "loop", "block": 3, "merge": "threshold", "every": 2}, {"strategy": "grid", "grid": Grid(2, 2), "kernel": "outer", "block": 7},
     {"strategy": "grid", "grid": Grid(2, 2), "kernel": "columnwise"}, {"split_heavy": 4}, {"strategy": "auto"},
+    {"strategy": "broadcast_left"}, {"mode": "loop", "block": 5, "strategy": "grid", "grid": Grid(2, 3)}, {"strategy": "grid", "grid": Grid(2, 3), "kernel": "outer"},
 ]
 
 
@@ -232,3 +236,63 @@ def test_searches_that_are_not_done_are_errors(spark):
         with pytest.raises(RuntimeError):
             search()
     assert {r["vertex"]: r["level"] for r in graph.bfs_multi(a, sources).collect()} == {k: k for k in range(7)}
+
+
+def test_library_and_one_processor_baselines(pair):
+    (a, x), (b, y) = pair
+    assert (to_dense(mllib_block(a, b, 8)) == x @ y).all() and (to_dense(one_processor(a, b)) == x @ y).all()
+
+
+def test_planner(spark, pair, monkeypatch):
+    (a, _), (b, _) = pair
+    assert planner.choose(a, b)[0].startswith("broadcast")
+    assert planner.choose(b.transpose(), a.transpose())[0].startswith("broadcast")
+    wide = b.with_df(b.df.unionAll(b.df.withColumn("j", F.col("j") + 1000)))
+    assert planner.choose(a, wide) == ("broadcast_left", None)
+    monkeypatch.setattr(planner, "BROADCAST_ENTRIES", 0)
+    dense_a, dense_b = (random_matrix(spark, 40, 40, 1.0, k)[0] for k in (1, 2))
+    how, grid = planner.choose(dense_a, dense_b)
+    assert how == "grid" and grid.cells >= int(spark.conf.get("spark.sql.shuffle.partitions"))
+    assert planner.grid_for(10**12, 8).cells >= 10**12 / planner.CELL_PRODUCTS
+    exact = measures.nnz(dense_a.multiply(dense_b))
+    assert abs(planner.predict_structure(dense_a, dense_b, "sketch", 0.5) / exact - 1) < 0.25
+
+
+def test_outer_kernel_merges_as_it_goes(monkeypatch):
+    import pyarrow as pa
+
+    rng, held = np.random.default_rng(3), []
+    reduce = kernels._reduce
+    monkeypatch.setattr(kernels, "_reduce", lambda add, i, j, v: held.append(len(i)) or reduce(add, i, j, v))
+    i, j, v = rng.integers(0, 20, 4000), rng.permutation(4000), rng.integers(1, 5, 4000)
+    k, n, w = rng.permutation(4000), rng.integers(0, 20, 4000), rng.integers(1, 5, 4000)
+    a, b = pa.table({"i": i, "j": j, "v": v}), pa.table({"i": k, "j": n, "v": w})
+    gi, gj, gv = kernels.outer(a, b, Semiring.plus_times(), most=100)
+    want = np.zeros((20, 20), int)
+    back = np.argsort(k)
+    np.add.at(want, (i, n[back[j]]), v * w[back[j]])
+    got = np.zeros((20, 20), int)
+    got[gi, gj] = gv
+    assert (got == want).all() and max(held) <= 400 + 500
+
+
+def test_small_tables_and_bounds(spark, monkeypatch):
+    assert count_keys(spark.range(1), "id") == 1 and count_keys(spark.range(0), "id") == 0
+    with pytest.raises(ValueError):
+        layout.pack_csc(SparseMatrix(spark.createDataFrame([], "i long, j long, v long"), 3, 2_000_000))
+
+
+def test_mask_is_applied_to_the_products(pair):
+    (a, x), (b, y) = pair
+    mask = a.multiply(b).prune(lambda v: v > 40)
+    done = a.multiply(b, mask=mask)
+    assert (to_dense(done) == np.where((x @ y) > 40, x @ y, 0)).all()
+    plan = done.df._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Aggregate") < plan.index("LeftSemi")  # the sum is above the join
+
+
+def test_loop_has_a_barrier_and_phases_are_measured(spark, pair):
+    (a, x), (b, y) = pair
+    done = {}
+    found = measures.phase_breakdown(spark, lambda: done.update(c=to_dense(a.multiply(b, mode="loop", block=5))))
+    assert (done["c"] == x @ y).all() and found["compute_s"] > 0 and found["moved_mb"] > 0 and found["out_of_memory"] == 0
