@@ -34,7 +34,8 @@ from pyspark.sql import DataFrame, SparkSession
 from gridsparse.llm import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-CACHE_ENTRIES = 150_000
+CACHE_ENTRIES = 80_000
+SEAM_ENTRIES = 250_000
 LONGEST_CACHED = 64  # characters of a piece that a cache keeps
 #: Characters before an edit up to which a piece's end may depend on it: the pattern looks at most three ahead.
 LOOKAHEAD = 3
@@ -69,7 +70,7 @@ class PrefixEncoder:
         self.longest = max(map(len, ranks), default=1)
         self.packed = [i.to_bytes(4, "little") for i in range(len(self.token_bytes))]
         self._halves: dict[int, tuple[int, int] | None] = {}
-        self._seams = Generations(self._seam_holds, 400_000)
+        self._seams = Generations(self._seam_holds, SEAM_ENTRIES)
         self._pieces = Generations(self._piece_ids)
         self._wide, self._latin = (re.compile(_classes(pattern, most)) for most in (0x110000, 0x250))
         self._beyond = re.compile("[\u0250-\U0010ffff]")
@@ -282,9 +283,10 @@ def _classes(pattern: str, most: int) -> str:
 def _members(kind: str) -> np.ndarray:
     """Whether each code point is of a class, by the tokenizer library's pattern engine: an encoding that splits by the class gives back its members only."""
     single = tiktoken.Encoding("class", pat_str=kind, mergeable_ranks={bytes([k]): k for k in range(256)}, special_tokens={})
-    every = "".join(chr(c) for c in range(0x110000) if not 0xD800 <= c < 0xE000)
     marks = np.zeros(0x110001, bool)
-    marks[np.frombuffer(bytes(single.encode_ordinary(every)).decode().encode("utf-32-le"), "<u4")] = True
+    for low in range(0, 0x110000, 0x2000):
+        some = "".join(chr(c) for c in range(low, low + 0x2000) if not 0xD800 <= c < 0xE000)
+        marks[np.frombuffer(bytes(single.encode_ordinary(some)).decode().encode("utf-32-le"), "<u4")] = True
     return marks
 
 

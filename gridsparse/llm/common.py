@@ -18,7 +18,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
+ARROW_ROWS = 2000  # rows of texts that go to a worker at once
 WORD = r"[^\x20\x09-\x0D]+"
 
 SEPARATOR = np.zeros(256, dtype=bool)
@@ -126,7 +127,14 @@ def slices(batch: pa.RecordBatch, text: str = "text", most: int = SLICE_BYTES) -
 
 
 def map_slices(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str, text: str = "text") -> DataFrame:
-    """``kernel`` over bounded cuts of every batch; ``df`` holds just the columns it needs."""
+    """``kernel`` over bounded cuts of every batch; ``df`` holds just the columns it needs.
+
+    The running session's batches for Python workers are lowered to
+    ``ARROW_ROWS`` rows where they are larger: whole texts are wide rows.
+    """
+    setting = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(df.sparkSession.conf.get(setting)) <= ARROW_ROWS:
+        df.sparkSession.conf.set(setting, str(ARROW_ROWS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
