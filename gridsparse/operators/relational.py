@@ -42,3 +42,8 @@ def salted_sum(df: DataFrame, keys: list[str], value: Column, salts: int = 16) -
 def row_as_map(df: DataFrame, key: str, column: str, value: str) -> DataFrame:
     """One map per row of a matrix-like table."""
     return df.groupBy(key).agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct(column, value)))).alias("cells"))
+
+
+def bernoulli_sample(df: DataFrame, fraction: float, seed: int) -> DataFrame:
+    """Each row with probability ``fraction``, independently; the same seed over the same files and partitions gives the same rows."""
+    return df.sample(withReplacement=False, fraction=fraction, seed=seed)

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from gridsparse.functions import permutations as perms
 from gridsparse.matrix import SparseMatrix, from_triples
-from gridsparse.operators import assign, build, contract, elementwise, graph, indexing, layout, measures, product
+from gridsparse.operators import assign, build, contract, elementwise, graph, indexing, layout, measures, packed, product, selectors
 from gridsparse.operators.layout import Grid
 from gridsparse.queries.catalog import register, sql
 from gridsparse.semiring import Semiring
@@ -390,6 +390,32 @@ def scatter_index(spark, sf_dir):
     return indexing.scatter_index(_permutation(t), t.parts, t.parts, Grid(3, 4))
 
 
+_HELD = "+l AS (SELECT n, n // 4 AS len FROM n), e AS (SELECT pos AS i, idx AS j, pos // ((len + 3) // 4) AS r, idx // ((n + 3) // 4) AS c, len FROM perm, l WHERE pos < len)"
+_WORDS = " SELECT CAST({cell} AS INTEGER) AS cell, count(*) AS received, count(*) FILTER (WHERE {cell} <> {home}) AS moved FROM e GROUP BY 1"
+
+
+def _selector_words(form, source):
+    def run(spark, sf_dir):
+        t = Tables(spark, sf_dir)
+        length = t.parts // 4
+        return selectors.words(form(perms.head(_permutation(t), length), length, t.parts, Grid(4, 4), source))
+
+    return run
+
+
+for _source, _home in (("diagonal", "r * 4 + r"), ("all", "i // ((len + 15) // 16)")):
+    register(f"scatter_words_{_source}", sql(_HELD + _WORDS.format(cell="(r * 4 + c)", home=f"({_home})"), "perm", "n"))(_selector_words(selectors.located, _source))
+register("exchange_words", sql(_HELD + _WORDS.format(cell="(c * 4 + r)", home="(r * 4 + c)"), "perm", "n"))(_selector_words(selectors.exchanged, "diagonal"))
+
+
+@register("selector_exchange", sql(_HELD + " SELECT j AS i, i AS j, CAST(1 AS BIGINT) AS v, CAST(c * 4 + r AS INTEGER) AS cell FROM e", "perm", "n"))
+def selector_exchange(spark, sf_dir):
+    """The column selector that the exchange across the diagonal forms."""
+    t = Tables(spark, sf_dir)
+    length = t.parts // 4
+    return selectors.exchange(perms.head(_permutation(t), length), length, t.parts, Grid(4, 4)).select("i", "j", "v", "cell")
+
+
 # -- assignment -----------------------------------------------------------------
 def _assign_sql(share: int) -> str:
     return sql(
@@ -657,6 +683,27 @@ def dcsc_roundtrip(spark, sf_dir):
     return layout.unpack_dcsc(layout.pack_dcsc(h, Grid(3, 4)), h.shape).df
 
 
+def _packed_columns(aux):
+    def run(spark, sf_dir):
+        t = Tables(spark, sf_dir)
+        h, grid = t.co_purchase(), Grid(3, 4)
+        wanted = perms.head(_permutation(t), t.parts // 4).select(F.col("idx").alias("j"))
+        return packed.columns(layout.pack_dcsc(h, grid, aux), wanted, h.shape, grid, aux).df
+
+    return run
+
+
+for _aux, _name in ((True, "dcsc_columns_aux"), (False, "dcsc_columns_search")):
+    register(_name, sql("SELECT i, j, CAST(v AS DOUBLE) AS v FROM h WHERE j IN (SELECT idx FROM perm, n WHERE pos < n // 4)", "h", "perm", "n"))(_packed_columns(_aux))
+
+
+@register("dcsc_column_range", sql("SELECT i, j, CAST(v AS DOUBLE) AS v FROM h, n WHERE j >= n // 4 AND j < n // 2", "h", "n"))
+def dcsc_column_range(spark, sf_dir):
+    t = Tables(spark, sf_dir)
+    h, grid = t.co_purchase(), Grid(3, 4)
+    return packed.column_range(layout.pack_dcsc(h, grid), t.parts // 4, t.parts // 2, h.shape, grid).df
+
+
 @register("block_nnz", sql("SELECT CAST(i // ((n + 3) // 4) AS INTEGER) AS br, CAST(j // ((n + 3) // 4) AS INTEGER) AS bc, count(*) AS n FROM h, n GROUP BY 1, 2", "h", "n"))
 def block_nnz(spark, sf_dir):
     h = Tables(spark, sf_dir).co_purchase()

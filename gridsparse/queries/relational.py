@@ -52,6 +52,7 @@ add("r41_arrays", "embeddings", "SELECT vec_id, CAST(list_sum(list_transform(emb
 add("r43_json", "events", "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1", lambda d: d.groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n")))
 add("r44_decimal", "lineitem", "SELECT l_suppkey, CAST(sum(CAST(round(l_extendedprice * 100) AS DECIMAL(20, 0))) AS BIGINT) AS cents FROM lineitem GROUP BY 1", lambda d: d.groupBy("l_suppkey").agg(F.sum(F.round(F.col("l_extendedprice") * 100).cast("decimal(20,0)")).cast("long").alias("cents")))
 add("r56_hash_sample", "lineitem", "SELECT l_orderkey, l_partkey, l_linenumber FROM lineitem WHERE substr(md5(CAST(l_orderkey AS VARCHAR)), 1, 1) = '0'", lambda d: d.where(F.substring(F.md5(F.col("l_orderkey").cast("string")), 1, 1) == "0").select("l_orderkey", "l_partkey", "l_linenumber"))
+add("r56_bernoulli_sample", "lineitem", None, lambda d: relational.bernoulli_sample(d, 0.1, 11).select("l_orderkey", "l_partkey", "l_linenumber"))
 add("r52_salted_sum", "lineitem", f"SELECT l_linestatus, CAST(sum({CENTS_SQL}) AS BIGINT) AS v FROM lineitem GROUP BY 1", lambda d: relational.salted_sum(d, ["l_linestatus"], cents()))
 
 

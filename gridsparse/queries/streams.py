@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from gridsparse.queries.catalog import register, sql
 from gridsparse.sources.tables import Tables, read_table
-from gridsparse.streaming import updates
+from gridsparse.streaming import rows, updates
 
 
 def _events(spark, sf_dir):
@@ -26,6 +26,13 @@ def stream_assign_last(spark, sf_dir):
     return updates.apply_updates(cells, "assign").read().select("i", "j", "v")
 
 
+@register("r48_row_store", "SELECT user_id AS i, CAST(date_part('day', ts) AS BIGINT) AS j, arg_max(event_id, ts) AS v FROM events GROUP BY ALL")
+def r48_row_store(spark, sf_dir):
+    """The same cells, each user's row in the state of the stream."""
+    cells = _events(spark, sf_dir).select(F.col("user_id").alias("i"), F.dayofmonth("ts").cast("long").alias("j"), F.col("event_id").alias("v"), F.col("ts").alias("at"))
+    return rows.row_store(cells).select("i", "j", "v")
+
+
 @register("stream_windows", "SELECT CAST(date_diff('day', DATE '1970-01-01', CAST(ts AS DATE)) AS INTEGER) AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
 def stream_windows(spark, sf_dir):
     counts = updates.run_to_table(updates.windowed_counts(_events(spark, sf_dir)), "complete")

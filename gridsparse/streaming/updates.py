@@ -21,28 +21,53 @@ def replay(spark: SparkSession, events: DataFrame, schema: str = EVENT_SCHEMA, f
 
 
 class VersionedStore:
-    """A matrix as numbered Parquet versions; a batch that was applied before is not applied again."""
+    """A matrix as blocks of rows, each in numbered Parquet versions.
 
-    def __init__(self, spark: SparkSession, path: str | None = None):
+    A batch writes a new version of the blocks that it touches and of no other;
+    one that was applied before is not applied again.  A block's files are
+    dealt by cell, so a hub's row is not one task.
+    """
+
+    def __init__(self, spark: SparkSession, path: str | None = None, blocks: int = 64, spread: int = 4):
         self.spark = spark
         self.path = path or f"{shared_dir(spark)}/store-{uuid.uuid4().hex}"
+        self.blocks, self.spread = blocks, spread
         self.version: int | None = None
+        self.current: dict[int, int] = {}
+        self.schema = None
 
-    def read(self) -> DataFrame | None:
-        return None if self.version is None else self.spark.read.parquet(f"{self.path}/v{self.version}")
+    def read(self, blocks: set[int] | None = None) -> DataFrame | None:
+        """The matrix as it stands, or its given blocks; None before the first batch."""
+        if self.version is None:
+            return None
+        paths = [f"{self.path}/v{v}/block={b}" for b, v in sorted(self.current.items()) if blocks is None or b in blocks]
+        return self.spark.read.schema(self.schema).parquet(*paths) if paths else self.spark.createDataFrame([], self.schema)
 
     def apply(self, batch: DataFrame, batch_id: int, mode: str) -> None:
         """``batch`` (i, j, v, and at for 'assign'): added, or the latest of equal cells wins."""
         if self.version is not None and batch_id <= self.version:
             return
-        old = self.read()
-        if mode == "extend_add":
-            both = batch.select("i", "j", "v") if old is None else old.unionByName(batch.select("i", "j", "v"))
-            new = both.groupBy("i", "j").agg(F.sum("v").alias("v"))
-        else:
-            both = batch.select("i", "j", "v", "at") if old is None else old.unionByName(batch.select("i", "j", "v", "at"))
-            new = both.groupBy("i", "j").agg(F.max(F.struct("at", "v")).alias("m")).select("i", "j", "m.v", "m.at")
-        new.write.mode("overwrite").parquet(f"{self.path}/v{batch_id}")
+        columns = ["i", "j", "v"] if mode == "extend_add" else ["i", "j", "v", "at"]
+
+        def merged(cells: DataFrame, *place: str) -> DataFrame:
+            if mode == "extend_add":
+                return cells.groupBy(*place, "i", "j").agg(F.sum("v").alias("v"))
+            return cells.groupBy(*place, "i", "j").agg(F.max(F.struct("at", "v")).alias("m")).select(*place, "i", "j", "m.v", "m.at")
+
+        fresh = merged(batch.select(*columns))
+        block = F.pmod(F.xxhash64("i"), F.lit(self.blocks)).cast("int")
+        fresh.persist()
+        try:
+            touched = {r[0] for r in fresh.select(block).distinct().collect()}  # at most self.blocks
+            old = self.read(touched)
+            both = (fresh if old is None else old.unionByName(fresh)).withColumn("block", block).withColumn("part", F.pmod(F.xxhash64("i", "j"), F.lit(self.spread)))
+            new = merged(both.repartition("block", "part"), "block", "part").drop("part")
+            if touched:
+                new.write.mode("overwrite").partitionBy("block").parquet(f"{self.path}/v{batch_id}")
+        finally:
+            fresh.unpersist()
+        self.schema = self.schema or fresh.schema
+        self.current |= dict.fromkeys(touched, batch_id)
         self.version = batch_id
 
 
