@@ -323,3 +323,26 @@ def deduplicate(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
         again = out.join(bounded(repeated), "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"])
         out = out.join(bounded(repeated), "doc_id", "left_anti").select(docs.columns).unionByName(again)
     return out
+
+
+#: Shingles and links by a plain self-join, components by recursion.
+ORACLE_SQL = r"""
+WITH RECURSIVE t AS (
+    SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), g AS MATERIALIZED (
+    SELECT doc_id, CASE WHEN len(w) >= 3 THEN list_distinct(list_transform(range(1, len(w) - 1), lambda k: w[k] || ' ' || w[k + 1] || ' ' || w[k + 2])) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END AS s FROM t
+), x AS MATERIALIZED (
+    SELECT doc_id, unnest(s) AS h FROM g
+), pair AS (
+    SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS n FROM x a JOIN x b ON a.h = b.h AND a.doc_id < b.doc_id GROUP BY ALL
+), link AS MATERIALIZED (
+    SELECT a, b FROM pair JOIN g ga ON ga.doc_id = a JOIN g gb ON gb.doc_id = b WHERE 100 * n >= 85 * (len(ga.s) + len(gb.s) - n)
+), side AS MATERIALIZED (
+    SELECT a, b FROM link UNION ALL SELECT b, a FROM link
+), reach AS (
+    SELECT doc_id, doc_id AS other FROM g UNION SELECT reach.doc_id, side.b FROM reach JOIN side ON side.a = reach.other
+), least AS (
+    SELECT doc_id, min(other) AS component_id FROM reach GROUP BY doc_id
+)
+SELECT doc_id, CAST(len(s) AS BIGINT) AS n_shingles, component_id, doc_id = component_id AS kept FROM g JOIN least USING (doc_id)
+"""

@@ -16,4 +16,4 @@ QUERIES = {
     "op9_language": language.op9_language,
     "op10_quality": quality.op10_quality,
 }
-ORACLE_SQL: dict[str, str] = {"op4_search": search.ORACLE_SQL}
+ORACLE_SQL: dict[str, str] = {"op4_search": search.ORACLE_SQL, "op6_neardup": neardup.ORACLE_SQL}
