@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import json
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from gridsparse.storage import shared_dir
 
@@ -25,7 +27,10 @@ class VersionedStore:
 
     A batch writes a new version of the blocks that it touches and of no other;
     one that was applied before is not applied again.  A block's files are
-    dealt by cell, so a hub's row is not one task.
+    dealt by cell, so a hub's row is not one task.  After a batch's blocks a
+    manifest is written that names the version of every block (one line, at most
+    ``blocks`` numbers); a store made anew over the same path goes on from the
+    newest complete one, so a batch cut off before it counts as never applied.
     """
 
     def __init__(self, spark: SparkSession, path: str | None = None, blocks: int = 64, spread: int = 4):
@@ -35,6 +40,47 @@ class VersionedStore:
         self.version: int | None = None
         self.current: dict[int, int] = {}
         self.schema = None
+        self._resume()
+
+    def _folder(self, name: str = ""):
+        """The Hadoop file system and path of a folder of the store."""
+        path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+        return path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()), path
+
+    def _listed(self, name: str) -> list[str]:
+        files, path = self._folder(name)
+        return [status.getPath().getName() for status in files.listStatus(path)] if files.exists(path) else []
+
+    def _resume(self) -> None:
+        """Take up the newest manifest whose write was completed."""
+        versions = sorted((int(name[1:]) for name in self._listed("manifest") if name[1:].isdigit()), reverse=True)
+        done = next((v for v in versions if "_SUCCESS" in self._listed(f"manifest/v{v}")), None)
+        if done is None:
+            return
+        kept = json.loads(self.spark.read.text(f"{self.path}/manifest/v{done}").first()[0])
+        if kept["blocks"] != self.blocks:
+            raise ValueError(f"the store at {self.path} has {kept['blocks']} blocks, not {self.blocks}")
+        self.version, self.schema = done, StructType.fromJson(kept["schema"])
+        self.current = {int(block): version for block, version in kept["current"].items()}
+
+    def _commit(self, version: int, current: dict[int, int], schema: StructType) -> None:
+        line = json.dumps({"blocks": self.blocks, "current": current, "schema": schema.jsonValue()})
+        self.spark.createDataFrame([(line,)], "value string").coalesce(1).write.mode("overwrite").text(f"{self.path}/manifest/v{version}")
+        self.version, self.current, self.schema = version, current, schema
+
+    def vacuum(self) -> int:
+        """Remove block files and manifests that the present version doesn't use; gives the number of folders removed.
+
+        Frames that ``read`` gave before a later batch may need them: call it when those are done.
+        """
+        gone = [f"manifest/{name}" for name in self._listed("manifest") if name != f"v{self.version}"]
+        for version in [name for name in self._listed("") if name[:1] == "v" and name[1:].isdigit()]:
+            stale = [name for name in self._listed(version) if name.startswith("block=") and self.current.get(int(name[6:])) != int(version[1:])]
+            gone += [f"{version}/{name}" for name in stale]
+        for name in gone:
+            files, path = self._folder(name)
+            files.delete(path, True)
+        return len(gone)
 
     def read(self, blocks: set[int] | None = None) -> DataFrame | None:
         """The matrix as it stands, or its given blocks; None before the first batch."""
@@ -66,9 +112,7 @@ class VersionedStore:
                 new.write.mode("overwrite").partitionBy("block").parquet(f"{self.path}/v{batch_id}")
         finally:
             fresh.unpersist()
-        self.schema = self.schema or fresh.schema
-        self.current |= dict.fromkeys(touched, batch_id)
-        self.version = batch_id
+        self._commit(batch_id, self.current | dict.fromkeys(touched, batch_id), self.schema or fresh.schema)
 
 
 def apply_updates(updates: DataFrame, mode: str = "extend_add", store: VersionedStore | None = None) -> VersionedStore:

@@ -32,6 +32,29 @@ def test_store_rewrites_only_the_blocks_it_touches(spark, tmp_path):
     assert got == {(i, j): 1 for i in range(40) for j in range(3)} | {(5, 1): 16, (5, 9): 7}
 
 
+def test_store_is_taken_up_by_a_new_driver(spark, tmp_path):
+    path = str(tmp_path / "store")
+    first = updates.VersionedStore(spark, path, blocks=8)
+    assert first.vacuum() == 0
+    for n in range(3):
+        first.apply(_cells(spark, [(i, n, 1, 0) for i in range(10 * (n + 1))]), n, "extend_add")
+    want = sorted(map(tuple, first.read().collect()))
+    again = updates.VersionedStore(spark, path, blocks=8)
+    assert (again.version, again.current, again.schema) == (first.version, first.current, first.schema)
+    again.apply(_cells(spark, [(0, 0, 50, 0)]), 2, "extend_add")  # the batch that the first driver had applied
+    assert sorted(map(tuple, again.read().collect())) == want
+    _cells(spark, [(3, 3, 1, 0)]).write.parquet(f"{path}/v3/block=1")  # a batch cut off before its manifest
+    (tmp_path / "store/manifest/v3").mkdir()
+    third = updates.VersionedStore(spark, path, blocks=8)
+    assert third.version == 2
+    third.apply(_cells(spark, [(0, 0, 50, 0)]), 3, "extend_add")
+    assert third.vacuum() > 0 and third.vacuum() == 0
+    want = sorted((i, j, v + 50 * (i == j == 0)) for i, j, v in want)
+    assert sorted(map(tuple, updates.VersionedStore(spark, path, blocks=8).read().collect())) == want
+    with pytest.raises(ValueError):
+        updates.VersionedStore(spark, path, blocks=4)
+
+
 def test_latest_value_wins_in_both_stores(spark, tmp_path):
     batches = [[(0, 0, 1, 5), (0, 1, 2, 5), (1, 0, 3, 5)], [(0, 0, 8, 4), (0, 1, 9, 6), (1, 0, 2, 5), (1, 70_000, 4, 1)]]
     store = updates.VersionedStore(spark, str(tmp_path / "store"))
