@@ -36,3 +36,14 @@ def test_query_matches_sql(spark, duck, name):
 def test_entry(spark):
     assert __spark_entry__.entry(spark).columns == ["i", "j", "v"]
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+def test_rounding_at_halves_is_that_of_sql(spark, duck):
+    from pyspark.sql import functions as F
+
+    from gridsparse.queries.matrix import round_scaled
+
+    values = [(2 * k + 1) / 2e6 * m for k in range(500) for m in (1, 3, 1001)]
+    frame = spark.createDataFrame([(x,) for x in values], "x double")
+    got = {r["x"]: r["y"] for r in frame.select("x", round_scaled(F.col("x"), 6).alias("y")).collect()}
+    assert got == dict(duck.sql(f"SELECT x, round(x, 6) FROM (SELECT unnest({values}::DOUBLE[]) AS x)").fetchall())
