@@ -236,6 +236,7 @@ def test_searches_that_are_not_done_are_errors(spark):
         with pytest.raises(RuntimeError):
             search()
     assert {r["vertex"]: r["level"] for r in graph.bfs_multi(a, sources).collect()} == {k: k for k in range(7)}
+    assert {r["vertex"]: r["level"] for r in graph.bfs_multi(a, sources, depth=4).collect()} == {k: k for k in range(5)}
 
 
 def test_library_and_one_processor_baselines(pair):
