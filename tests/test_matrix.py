@@ -297,3 +297,26 @@ def test_loop_has_a_barrier_and_phases_are_measured(spark, pair):
     done = {}
     found = measures.phase_breakdown(spark, lambda: done.update(c=to_dense(a.multiply(b, mode="loop", block=5))))
     assert (done["c"] == x @ y).all() and found["compute_s"] > 0 and found["moved_mb"] > 0 and found["out_of_memory"] == 0
+
+
+def test_kernels_hold_slabs_and_runs(spark, monkeypatch):
+    """Large cells go slab after slab and give their result in bounded parts, in every layout."""
+    import pyarrow as pa
+
+    (a, x), (b, y) = random_matrix(spark, 60, 40, 0.3, 5), random_matrix(spark, 40, 50, 0.3, 6)
+    monkeypatch.setattr(product, "CELL_ENTRIES", 50)
+    for kernel in ("outer", "columnwise"):
+        got = {}
+        body = {"outer": kernels.outer_runs, "columnwise": kernels.columnwise_runs}[kernel]
+        for i, j, v in body((*np.nonzero(x), x[np.nonzero(x)]), (*np.nonzero(y), y[np.nonzero(y)]), Semiring.plus_times(), most=200):
+            assert len(i) <= 200 + 40 * 50 * 0.3
+            assert not got.keys() & set(zip(i.tolist(), j.tolist(), strict=True))
+            got |= dict(zip(zip(i.tolist(), j.tolist(), strict=True), v.tolist(), strict=True))
+        assert got == {(i, j): int((x @ y)[i, j]) for i, j in zip(*(n.tolist() for n in np.nonzero(x @ y)), strict=True)}
+        for grid in (Grid(2, 2), Grid(1, 1), Grid(2, 3, inner=2, layout="hash")):
+            assert product._slabs(a, b, grid) > 1
+            assert (to_dense(a.multiply(b, strategy="grid", grid=grid, kernel=kernel)) == x @ y).all()
+        apart = (np.array([0]), np.array([1]), np.array([1])), (np.array([2]), np.array([0]), np.array([1]))
+        assert not list(body(*apart, Semiring.plus_times()))
+    table = lambda m: pa.table(dict(zip("ijv", (*np.nonzero(m), m[np.nonzero(m)]), strict=True)))
+    assert len(kernels.outer(table(x), table(y), Semiring.plus_times())[0]) == (x @ y > 0).sum()
