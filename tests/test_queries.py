@@ -47,3 +47,17 @@ def test_rounding_at_halves_is_that_of_sql(spark, duck):
     frame = spark.createDataFrame([(x,) for x in values], "x double")
     got = {r["x"]: r["y"] for r in frame.select("x", round_scaled(F.col("x"), 6).alias("y")).collect()}
     assert got == dict(duck.sql(f"SELECT x, round(x, 6) FROM (SELECT unnest({values}::DOUBLE[]) AS x)").fetchall())
+
+
+def test_words_of_one_hash_are_not_shared(spark, tmp_path):
+    """Two words whose md5 begins alike are two words."""
+    import hashlib
+
+    met: dict[str, str] = {}
+    for k in range(200_000):
+        if (other := met.setdefault(hashlib.md5(f"w{k}".encode()).hexdigest()[:7], f"w{k}")) != f"w{k}":
+            break
+    spark.createDataFrame([(0, f"{other} both")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([(0, f"w{k} both both"), (1, f"w{k}"), (2, "both")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(0, 1), (1, 1), (2, 0)], "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    assert [tuple(r) for r in catalog.QUERIES["term_intersection"](spark, str(tmp_path)).collect()] == [(0, 0, 1)]
