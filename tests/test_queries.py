@@ -15,6 +15,9 @@ pytestmark = pytest.mark.skipif(not Path(SF).exists(), reason="no test tables")
 QUICK = ["prod_inner", "prod_grid_rect", "semiring_min_plus", "extract_join", "assign_join", "contract_fused", "bfs_multi", "storage_words_4", "stage_cells", "r17_asof_join", "r18_interval_join", "stream_extend_add", "stream_assign_last", "stream_windows", "betweenness", "peer_pressure", "markov_cluster_step", "cfg_reach", "w06_restrict_counts", "dcsc_columns_aux", "dcsc_columns_search", "dcsc_column_range", "scatter_words_diagonal", "scatter_words_all", "exchange_words", "selector_exchange", "r48_row_store"]
 
 
+QUICK += ["r04_data_source", "r52_table_function"]
+
+
 @pytest.fixture(scope="module")
 def duck():
     con = duckdb.connect()
