@@ -320,3 +320,22 @@ def test_kernels_hold_slabs_and_runs(spark, monkeypatch):
         assert not list(body(*apart, Semiring.plus_times()))
     table = lambda m: pa.table(dict(zip("ijv", (*np.nonzero(m), m[np.nonzero(m)]), strict=True)))
     assert len(kernels.outer(table(x), table(y), Semiring.plus_times())[0]) == (x @ y > 0).sum()
+
+
+def test_grammar_reach_doubles_and_falls_back(spark):
+    """A long cycle takes few rounds; dense steps and grammars of other forms go round by round, all to the same closure."""
+    def closure(pairs):
+        out = set(pairs)
+        while more := {(i, j) for i, k in out for h, j in pairs if h == k} - out:
+            out |= more
+        return out
+
+    cycle = [(k, (k + 1) % 40) for k in range(40)]
+    bush = [(0, k) for k in range(1, 9)] + [(k, 9) for k in range(1, 9)] + [(9, k) for k in range(10, 18)] + [(17, 0), (17, 18), (18, 19)]
+    for pairs, most in ((cycle, 7), (bush, None)):
+        frame = spark.createDataFrame(pairs, "i long, j long").select(F.explode(F.array(F.lit("E"), F.lit("S"))).alias("label"), "i", "j")
+        for rules in ([("S", "S", "E")], [("S", "E", "S")], [("S", "S", "S")]):
+            if pairs is cycle and rules[0][1] == "E":
+                continue  # forty rounds
+            rows = [tuple(r) for r in graph.cfg_reach(rules, frame, most).collect()]
+            assert sorted(rows) == sorted([("S", *x) for x in closure(pairs)] + [("E", *x) for x in pairs])
