@@ -339,3 +339,13 @@ def test_grammar_reach_doubles_and_falls_back(spark):
                 continue  # forty rounds
             rows = [tuple(r) for r in graph.cfg_reach(rules, frame, most).collect()]
             assert sorted(rows) == sorted([("S", *x) for x in closure(pairs)] + [("E", *x) for x in pairs])
+
+
+def test_interpolation_of_a_partition_is_not_summed(spark):
+    s = from_arrays(spark, [0, 0, 1, 2], [0, 2, 1, 3], [1, 2, 3, 1], (3, 5), kind="long")
+    y = from_arrays(spark, [0, 1, 1, 2], [0, 0, 1, 2], [5, 7, 1, 4], (3, 3), kind="long")
+    made = contract.interpolate(s, y)
+    assert "Aggregate" not in made.df._jdf.queryExecution().optimizedPlan().toString()
+    assert made.shape == (5, 3) and (to_dense(made) == to_dense(s).T @ to_dense(y)).all()
+    twice = from_arrays(spark, [0, 1, 1], [0, 0, 1], [1, 2, 3], (3, 5), kind="long")
+    assert (to_dense(contract.interpolate(twice, y)) == to_dense(twice).T @ to_dense(y)).all()
