@@ -322,6 +322,40 @@ def test_kernels_hold_slabs_and_runs(spark, monkeypatch):
     assert len(kernels.outer(table(x), table(y), Semiring.plus_times())[0]) == (x @ y > 0).sum()
 
 
+def test_tiled_kernel(spark, monkeypatch):
+    """Dense and sparse tiles, entries that cancel, sums that doubles would round, other semirings: all as in whole numbers."""
+    monkeypatch.setattr(kernels, "TILE", 8)
+    (a, x), (b, y) = random_matrix(spark, 60, 40, 0.3, 5), random_matrix(spark, 40, 50, 0.3, 6)
+    x[:20] *= np.random.default_rng(1).integers(0, 50, (20, 40)) == 0  # a sparse part
+    x[30:40] *= -1
+    x[40, :2], y[:2, 7] = (3, -3), (2, 2)  # cancels
+    entries = lambda m: (*np.nonzero(m), m[np.nonzero(m)])
+    for scale, least, kind in ((1, 1, int), (1, 40, int), (1, 1 << 40, int), (1 << 45, 1, int), (0.5, 1, float)):
+        monkeypatch.setattr(kernels, "DENSE_PRODUCTS", least)
+        left, right = x.astype(kind) * scale, y.astype(kind)
+        got, want = np.zeros((60, 50), kind), left @ right
+        present = np.zeros((60, 50), bool)
+        for i, j, v in kernels.tiled_runs(entries(left), entries(right), Semiring.plus_times()):
+            assert not present[i, j].any() and v.dtype == want.dtype
+            present[i, j], got[i, j] = True, v
+        assert (got == want).all() and (present == ((x != 0).astype(int) @ (y != 0).astype(int) > 0)).all()
+    unsafe = [(np.array([0, 0]), np.array([0, 1]), np.array([1.0, np.inf])), (np.array([0, 1]), np.array([0, 1]), np.array([1.0, 1.0]))]
+    assert {(i, j): v for part in kernels.tiled_runs(*unsafe, Semiring.plus_times()) for i, j, v in zip(*(c.tolist() for c in part), strict=True)} == {(0, 0): 1.0, (0, 1): np.inf}
+    assert not list(kernels.tiled_runs((np.array([0]), np.array([1]), np.array([1])), (np.array([2]), np.array([0]), np.array([1])), Semiring.plus_times()))
+
+
+def test_tiled_product(spark, pair, monkeypatch):
+    (a, x), (b, y) = pair
+    monkeypatch.setattr(product, "TILED_ENTRIES", 20)
+    monkeypatch.setattr(kernels, "TILE", 4)
+    finer = product._finer(a, b, Grid(2, 2))
+    assert finer.pr > 2 and finer.pc > 2  # no cell holds more than it may
+    for grid in (None, Grid(2, 2), Grid(2, 3, inner=2, layout="hash")):
+        assert (to_dense(a.multiply(b, strategy="grid", grid=grid, kernel="tiled")) == x @ y).all()
+    ring = Semiring.max_plus()
+    assert set(a.multiply(b, semiring=ring, strategy="grid", kernel="tiled").df.collect()) == set(a.multiply(b, semiring=ring).df.collect())
+
+
 def test_grammar_reach_doubles_and_falls_back(spark):
     """A long cycle takes few rounds; dense steps and grammars of other forms go round by round, all to the same closure."""
     def closure(pairs):
