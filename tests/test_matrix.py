@@ -356,6 +356,16 @@ def test_tiled_product(spark, pair, monkeypatch):
     assert set(a.multiply(b, semiring=ring, strategy="grid", kernel="tiled").df.collect()) == set(a.multiply(b, semiring=ring).df.collect())
 
 
+def test_third_power_lists_no_products(spark):
+    """Powers of a nearly dense graph go tile by tile: no join makes a row for each product."""
+    from gridsparse.queries import catalog, matrix  # noqa: F401
+
+    a, x = random_matrix(spark, 30, 30, 0.3, 7)
+    assert (to_dense(product.power(a, 3, strategy="grid", kernel="tiled")) == x @ x @ x).all()
+    plan = catalog.QUERIES["square_power3"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "Join" not in plan
+
+
 def test_grammar_reach_doubles_and_falls_back(spark):
     """A long cycle takes few rounds; dense steps and grammars of other forms go round by round, all to the same closure."""
     def closure(pairs):
