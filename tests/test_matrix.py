@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from gridsparse.functions import permutations as perms
 from gridsparse.matrix import SparseMatrix, from_arrays, from_triples
-from gridsparse.operators import assign, build, contract, elementwise, graph, indexing, layout, measures, product
+from gridsparse.operators import assign, baselines, build, contract, elementwise, graph, indexing, layout, measures, product
 from gridsparse.operators import kernels
 from gridsparse.operators.baselines import dense, mllib_block, one_processor, to_dense
 from gridsparse.operators.layout import Grid
@@ -244,6 +244,19 @@ def test_library_and_one_processor_baselines(pair):
     assert (to_dense(mllib_block(a, b, 8)) == x @ y).all() and (to_dense(one_processor(a, b)) == x @ y).all()
 
 
+def test_library_tasks_are_bounded(spark, pair, monkeypatch):
+    """The library's tasks grow in number with the result and the inner range, and no entry goes through Python."""
+    (a, x), (b, y) = pair
+    parts, splits = baselines.library_tasks(a, b, 2)
+    assert parts * baselines.TASK_BLOCKS >= 9 * 10
+    monkeypatch.setattr(baselines, "TASK_PRODUCTS", 2)
+    assert baselines.library_tasks(a, b, 2)[1] > splits
+    monkeypatch.setattr(baselines, "TASK_BLOCKS", 20)
+    done = mllib_block(a, b, 2)
+    assert (to_dense(done) == x @ y).all()
+    assert "Python" not in done.df._jdf.queryExecution().toString()
+
+
 def test_planner(spark, pair, monkeypatch):
     (a, _), (b, _) = pair
     assert planner.choose(a, b)[0].startswith("broadcast")
