@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -406,3 +407,55 @@ def test_interpolation_of_a_partition_is_not_summed(spark):
     assert made.shape == (5, 3) and (to_dense(made) == to_dense(s).T @ to_dense(y)).all()
     twice = from_arrays(spark, [0, 1, 1], [0, 0, 1], [1, 2, 3], (3, 5), kind="long")
     assert (to_dense(contract.interpolate(twice, y)) == to_dense(twice).T @ to_dense(y)).all()
+
+
+def test_packed_tiles():
+    """Parts of tiles add to the product: dense and listed, signed, cancelling, beyond doubles, fractions, more inner indices than one step takes."""
+    (x, y), rng = (np.random.default_rng(s).integers(1, 9, shape) * (np.random.default_rng(s + 5).random(shape) < 0.3) for s, shape in ((1, (60, 40)), (2, (40, 50)))), np.random.default_rng(3)
+    signed = x * rng.choice([-1, 1], x.shape)
+    signed[40, :], y[:2, 7] = 0, (2, 2)
+    signed[40, :2] = 3, -3
+    large = x.copy()
+    large[large > 0] += 1 << 30
+    entries = lambda m: (*np.nonzero(m), m[np.nonzero(m)])
+    for left, inner in ((x, 1024), (x, 7), (signed, 7), (large, 1024), (large << 15, 1024), (x * 0.5, 7), (np.where(x > 1, 0, x) * (np.arange(60) == 9)[:, None], 1024)):
+        with pytest.MonkeyPatch.context() as patch:
+            patch.setattr(kernels, "INNER", inner)
+            parts = list(kernels.packed_tiles(entries(left), entries(y.astype(left.dtype)), Semiring.plus_times(), 8, left is not large))
+        batches = [kernels._packed_batch(*p) for p in parts]
+        got, present = np.zeros((64, 56), left.dtype), np.zeros((64, 56), bool)
+        for tile in {p[:2] for p in parts}:
+            mine = [r for r, p in zip(batches, parts, strict=True) if p[:2] == tile]
+            again = list(kernels.merge_kernel(8, True)(iter(mine)))
+            for rows in kernels.merge_kernel(8, False)(iter(again)):
+                i, j, v = (rows.column(c).to_numpy() for c in ("i", "j", "v"))
+                assert not present[i, j].any() and v.dtype == left.dtype and i.dtype == j.dtype == np.int64
+                present[i, j], got[i, j] = True, v
+        assert (got[:60, :50] == left @ y).all() and (present[:60, :50] == ((left != 0).astype(int) @ (y != 0).astype(int) > 0)).all() and present.sum() == present[:60, :50].sum()
+
+
+def test_loop_adds_slabs_by_tile(spark, monkeypatch):
+    """Slabs of a dense product are written and added by tile, not as rows, on any grid and merge; a sparse one keeps its rows, and scratch removes what was written."""
+    from gridsparse import storage
+
+    monkeypatch.setattr(product, "DENSE_PRODUCTS", 8)
+    monkeypatch.setattr(kernels, "TILE", 4)
+    monkeypatch.setattr(product, "CELL_TILES", 2)
+    (a, x), (b, y) = random_matrix(spark, 40, 30, 0.5, 5), random_matrix(spark, 30, 35, 0.5, 6)
+    assert max(len({strip for _, _, strip in rows}) for rows in product._strips(a.df.selectExpr("*", "j div 8 AS slab"), "i", Grid(3, 1).row_block(product.F.col("i"), 40), 4).values()) >= 4
+    for options in ({}, {"strategy": "grid", "grid": Grid(2, 2, layout="hash"), "merge": "threshold", "every": 2}):
+        made = a.multiply(b, mode="loop", block=8, kernel="tiled", **options)
+        plan = made.df._jdf.queryExecution().optimizedPlan().toString()
+        assert "FlatMapGroupsInArrow" in plan and "Aggregate" not in plan
+        assert (to_dense(made) == x @ y).all() and made.df.count() == (x @ y > 0).sum()
+    sparse, z = random_matrix(spark, 30, 35, 0.05, 7)
+    for least, packed in ((1, True), (1 << 12, False)):
+        monkeypatch.setattr(product, "PACKED_PRODUCTS", least)
+        made = a.multiply(sparse, mode="loop", block=8, kernel="tiled")
+        assert ("FlatMapGroupsInArrow" in made.df._jdf.queryExecution().optimizedPlan().toString()) == packed
+        assert (to_dense(made) == x @ z).all() and made.df.count() == (x @ z > 0).sum()
+    with storage.scratch(spark):
+        kept = storage.settle(a.df)
+        assert kept.count() == a.df.count()
+    path = kept.inputFiles()[0].removeprefix("file://")
+    assert not Path(path).exists()
