@@ -6,12 +6,13 @@ frequencies, the number of documents and their mean length are global, so
 scores of different shards compare.  Documents of equal terms and counts are
 one entry of a shard with several ids: they share their score.
 
-Every list carries, for aligned blocks of ``BLOCK`` documents, its largest
-impact there.  The lists' cursors move over the blocks together: a block whose
-maxima, summed over the query's lists, stay under the query's threshold is
-skipped before any posting in it is read; what is left is scored in full.  The
-maxima of the common lists stand in a matrix and those of the others as
-(list, block) entries, and a batch of queries is tested at once.
+Every common list carries, for aligned blocks of ``BLOCK`` documents, its
+largest impact there; the blocks of the other lists are single documents, since
+such a list seldom has two in a block, so their maxima are the impacts.  The
+lists' cursors move over the documents together: one whose maxima, summed over
+the query's lists, stay under the query's threshold is skipped before any
+posting of a common list is read; what is left is scored in full.  The maxima
+of the common lists stand in a matrix, and a batch of queries is tested at once.
 
 The threshold is the k-th best score that the query has met anywhere: shards
 have levels (a level has four times the shards of the next), the few shards of
@@ -40,13 +41,15 @@ TOP = 10
 SHARD_DOCUMENTS = 4096
 SHARD_BYTES = 24 << 20
 BLOCK = 4
-COMMON_SHARE = 1 / 16  # lists in more than this share of a shard's documents keep their maxima in a matrix; work differs, results don't
+COMMON_SHARE = 1 / 24  # lists in more than this share of a shard's documents keep their maxima in a matrix; work differs, results don't
 FIRST_SHARDS = 8
 MOST_LEVEL = 15
 QUERY_BLOCK = 4096
 BLOCK_TERMS = 4_000_000
 BATCH_ENTRIES = 600_000
-SLAB = 512  # blocks of documents that are scored together
+BATCH_QUERIES = 256
+RUN_POSTINGS = 100_000  # postings of the lists that are not common, read at once: their arrays should fit a core's cache
+MATRIX_DOCUMENTS = 128  # a query with more open documents in a shard gets the common lists' part of all by a matrix product
 INDEX_SCHEMA = "shard long, n_docs int, words long, ids binary, id_starts binary, lengths binary, terms binary, starts binary, docs binary, counts binary, frequencies binary, level int"
 
 
@@ -218,20 +221,11 @@ class Shard:
         self.dense = np.zeros((self.blocks * BLOCK, len(many)), np.float32)
         self.dense[self.docs[place], which] = self.impacts[place]
         self.maxima = np.ascontiguousarray(self.dense.reshape(self.blocks, BLOCK, len(many)).max(axis=1).T)
-        # the other lists' (list, block) entries: where their postings begin, and their largest impact
-        block = self.docs // BLOCK
-        begin = np.ones(len(block), bool)
-        begin[1:] = block[1:] != block[:-1]
-        begin[self.starts[:-1]] = True
-        self.entry = np.flatnonzero(begin).astype(np.int32)
-        self.entry_block = block[self.entry].astype(np.int16)
-        self.entry_max = np.maximum.reduceat(self.impacts, self.entry) if len(self.entry) else np.empty(0, np.float32)
-        self.entry_size = np.diff(np.append(self.entry, len(block))).astype(np.int8)
-        self.entry_starts = np.searchsorted(self.entry, self.starts)
         # postings by document, for exact scores
         self.by_doc = np.argsort(self.docs.astype(np.uint16), kind="stable").astype(np.int32)
         self.doc_starts = np.concatenate(([0], np.cumsum(np.bincount(self.docs, minlength=self.n))))
         self.term_of = np.repeat(np.arange(len(self.terms), dtype=np.int32), size)
+        self.rare_size = np.append(np.where(self.common < 0, size, 0), 0)  # the last one for terms that the shard lacks
 
     def search(self, queries: QueryBlock) -> int:
         """Offer this shard's hits of all queries; gives the number of documents that were scored."""
@@ -239,80 +233,84 @@ class Shard:
             return 0
         at = np.minimum(np.searchsorted(self.terms, queries.vocabulary), len(self.terms) - 1)
         place = np.where(self.terms[at] == queries.vocabulary, at, -1)[queries.slots]
-        entries = np.concatenate((np.diff(self.entry_starts), [0]))
-        entries[np.flatnonzero(self.common >= 0)] = 0
-        cost = np.concatenate(([0], np.cumsum(entries[place])))[queries.ends]
-        first, scored, number = 0, 0, len(queries.ids)
-        most = max(1, min(256, BATCH_ENTRIES // max(1, self.blocks)))
-        while first < number:
-            stop = min(first + most, max(first + 1, int(np.searchsorted(cost, cost[first] + BATCH_ENTRIES, side="right")) - 1))
-            scored += self._batch(queries, place, first, min(stop, number))
-            first = min(stop, number)
+        cost = np.concatenate(([0], np.cumsum(self.rare_size[place])))[queries.ends]
+        scored, number = 0, len(queries.ids)
+        most = max(1, min(BATCH_QUERIES, BATCH_QUERIES * SHARD_DOCUMENTS // max(1, self.n)))
+        for first in range(0, number, most):
+            scored += self._batch(queries, place, cost, first, min(first + most, number))
         return scored
 
-    def _batch(self, queries: QueryBlock, place: np.ndarray, first: int, stop: int) -> int:
-        """The queries from ``first`` up to ``stop``: test all their blocks, then score what is open."""
+    def _rare(self, queries: QueryBlock, place: np.ndarray, cost: np.ndarray, first: int, stop: int) -> np.ndarray:
+        """The part of the lists that are not common in the scores of all documents, in 32 bits; runs of some ``RUN_POSTINGS`` postings."""
+        width = self.blocks * BLOCK
+        out = np.zeros((stop - first, width), np.float32)
+        low = first
+        while low < stop:
+            high = min(stop, max(low + 1, int(np.searchsorted(cost, cost[low] + RUN_POSTINGS, side="right")) - 1))
+            if cost[high] > cost[low]:
+                a, b = queries.ends[low], queries.ends[high]
+                lists, size = place[a:b], self.rare_size[place[a:b]]
+                some = np.flatnonzero(size)
+                lists, size = lists[some], size[some]
+                begin = np.repeat(np.arange(high - low) * width, np.diff(queries.ends[low : high + 1]))[some]
+                at = np.repeat(self.starts[lists] - np.cumsum(size) + size, size)
+                at += np.arange(len(at))
+                cell = self.docs[at]
+                cell = cell + np.repeat(begin, size)
+                load = np.repeat(queries.weights[a:b][some], size)
+                load *= self.impacts[at]
+                out[low - first : high - first] = np.bincount(cell, load, (high - low) * width).reshape(high - low, width)
+            low = high
+        return out
+
+    def _batch(self, queries: QueryBlock, place: np.ndarray, cost: np.ndarray, first: int, stop: int) -> int:
+        """The queries from ``first`` up to ``stop``: test all their documents, then score what is open."""
         a, b = queries.ends[first], queries.ends[stop]
         number = stop - first
         owner = np.repeat(np.arange(number), np.diff(queries.ends[first : stop + 1]))
         known = place[a:b] >= 0
         owner, lists, weights = owner[known], place[a:b][known], queries.weights[a:b][known]
         slot = self.common[lists]
-        often, rare = slot >= 0, slot < 0
+        often = slot >= 0
         share = np.zeros((number, self.dense.shape[1]), np.float32)
         share[owner[often], slot[often]] = weights[often]
-        low = self.entry_starts[lists[rare]]
-        at, which = _runs(low, self.entry_starts[lists[rare] + 1] - low)
-        cell = owner[rare][which] * self.blocks + self.entry_block[at]
-        load = weights[rare][which].astype(np.float32)
+        rare = self._rare(queries, place, cost, first, stop)
         bound = share @ self.maxima
-        bound += np.bincount(cell, load * self.entry_max[at], number * self.blocks).reshape(number, self.blocks)
-        slack = 1e-4 * bound.max(initial=0) + 1e-3  # far above the rounding of 32-bit sums
+        slack = 1e-4 * (bound.max(initial=0) + rare.max(initial=0)) + 1e-3  # far above the rounding of 32-bit sums
         bar = queries.bar[first:stop].copy()
         scored = 0
 
-        def scores(open_blocks):
-            """Query, document and score (in 32 bits) of all documents of the open (query, block) cells."""
-            q, block = np.nonzero(open_blocks)
-            index = np.cumsum(open_blocks.ravel()) - 1
-            live = open_blocks.ravel()[cell]
-            posting, of = _runs(self.entry[at[live]], self.entry_size[at[live]])
-            total = np.bincount(index[cell[live]][of] * BLOCK + self.docs[posting] % BLOCK, load[live][of] * self.impacts[posting], len(q) * BLOCK)
-            shape = total.reshape(-1, BLOCK)
-            column = np.full(self.blocks, -1)
-            for c in range(0, self.blocks if share.size else 0, SLAB):  # the common lists' part: a block is read once for all queries that it is open for
-                union = np.flatnonzero(open_blocks[:, c : c + SLAB].any(axis=0)) + c
-                if not len(union):
-                    continue
-                if 4 * len(union) > SLAB:
-                    union = np.arange(c, min(self.blocks, c + SLAB))
-                    rows = self.dense[c * BLOCK : (c + SLAB) * BLOCK]
-                else:
-                    rows = self.dense.reshape(self.blocks, BLOCK, -1)[union].reshape(len(union) * BLOCK, share.shape[1])
-                column[union] = np.arange(len(union))
-                part = (share @ rows.T).reshape(number, len(union), BLOCK)
-                here = np.flatnonzero((block >= c) & (block < c + SLAB))
-                shape[here] += part[q[here], column[block[here]]]
-            return np.repeat(q, BLOCK), (block[:, None] * BLOCK + np.arange(BLOCK)).ravel(), total
+        def scores(open_documents):
+            """Query, document and score (in 32 bits) of the open (query, document) cells."""
+            q, doc = np.nonzero(open_documents)
+            total = rare[q, doc]
+            edges = np.searchsorted(q, np.arange(number + 1))
+            size = np.diff(edges)
+            many = np.flatnonzero(size > MATRIX_DOCUMENTS)
+            part = share[many] @ self.dense.T if len(many) else ()
+            for k, row in zip(many, part, strict=True):
+                total[edges[k] : edges[k + 1]] += row[doc[edges[k] : edges[k + 1]]]
+            for k in np.flatnonzero((size > 0) & (size <= MATRIX_DOCUMENTS)):
+                run = slice(edges[k], edges[k + 1])
+                total[run] += self.dense[doc[run]] @ share[k]
+            return q, doc, total, edges
 
         fresh = np.flatnonzero(np.isneginf(bar))
-        if len(fresh):  # no threshold yet: the blocks of the highest bounds give one
-            ahead = np.zeros(bound.shape, bool)
-            most = min(self.blocks, 2 * queries.top)
-            ahead[fresh[:, None], np.argpartition(-bound[fresh], most - 1, axis=1)[:, :most]] = True
-            q, doc, total = scores(ahead & (bound > 0))
+        if len(fresh):  # no threshold yet: the documents of the highest bounds give one
+            ahead = np.zeros(rare.shape, bool)
+            most = min(self.n, 8 * queries.top)
+            upper = (rare[fresh] + np.repeat(bound[fresh], BLOCK, axis=1))[:, : self.n]
+            ahead[fresh[:, None], np.argpartition(-upper, most - 1, axis=1)[:, :most]] = True
+            q, _, total, edges = scores(ahead)
             scored += len(q)
-            total[doc >= self.n] = 0
-            edges = np.searchsorted(q, np.arange(number + 1))
             for k in fresh:
                 own = total[edges[k] : edges[k + 1]]
                 if len(own) >= queries.top:
                     bar[k] = np.partition(own, -queries.top)[-queries.top]
-        least = np.maximum(bar - slack, 1e-6)[:, None]
-        q, doc, total = scores(bound >= least)
+        least = np.maximum(bar - slack, 1e-6).astype(np.float32)[:, None]
+        q, doc, total, edges = scores(rare >= np.repeat(least - bound, BLOCK, axis=1))
         scored += len(q)
         total[doc >= self.n] = 0
-        edges = np.searchsorted(q, np.arange(number + 1))
         for k in np.flatnonzero(np.diff(edges) > queries.top):
             own = total[edges[k] : edges[k + 1]]
             least[k] = max(least[k, 0], np.partition(own, -queries.top)[-queries.top] - slack)
@@ -328,23 +326,26 @@ class Shard:
         return scored
 
     def _exact(self, q, doc, owner, lists, weights) -> np.ndarray:
-        """Rounded 64-bit scores of (query, document) pairs, by runs of some ``BATCH_ENTRIES`` postings."""
-        width, out = len(self.terms), np.zeros(len(q))
-        wanted = owner * width + lists
-        order = np.argsort(wanted)
+        """Rounded 64-bit scores of (query, document) pairs, sorted by query; a query's weights stand in an array over the lists, for some ``RUN_POSTINGS`` postings at once."""
+        weight, out = np.zeros(len(self.terms)), np.zeros(len(q))
         size = self.doc_starts[doc + 1] - self.doc_starts[doc]
-        upto, a = np.cumsum(size), 0
-        while a < len(q):
-            b = max(a + 1, int(np.searchsorted(upto, (upto[a - 1] if a else 0) + BATCH_ENTRIES, side="right")))
-            posting, pair = _runs(self.doc_starts[doc[a:b]], size[a:b])
-            posting = self.by_doc[posting]
-            key = q[a:b][pair] * width + self.term_of[posting]
-            found = order[np.minimum(np.searchsorted(wanted, key, sorter=order), len(order) - 1)]
-            hit = wanted[found] == key
-            count = self.counts[posting[hit]]
-            impact = count * (K1 + 1) / (count + self.norm[self.docs[posting[hit]]])
-            out[a:b] = np.bincount(pair[hit], impact * weights[found[hit]], b - a)
-            a = b
+        upto = np.concatenate(([0], np.cumsum(size)))
+        edges, own = (np.searchsorted(x, np.arange((q[-1] if len(q) else -1) + 2)) for x in (q, owner))
+        for k in np.flatnonzero(np.diff(edges)):
+            mine = slice(own[k], own[k + 1])
+            weight[lists[mine]] = weights[mine]
+            a = edges[k]
+            while a < edges[k + 1]:
+                b = min(edges[k + 1], max(a + 1, int(np.searchsorted(upto, upto[a] + RUN_POSTINGS, side="right")) - 1))
+                posting, pair = _runs(self.doc_starts[doc[a:b]], size[a:b])
+                posting = self.by_doc[posting]
+                load = weight[self.term_of[posting]]
+                hit = np.flatnonzero(load)
+                posting = posting[hit]
+                count = self.counts[posting]
+                out[a:b] = np.bincount(pair[hit], count * (K1 + 1) / (count + self.norm[self.docs[posting]]) * load[hit], b - a)
+                a = b
+            weight[lists[mine]] = 0
         return np.round(out, 6)
 
 
