@@ -380,6 +380,53 @@ def test_third_power_lists_no_products(spark):
     assert "FlatMapGroupsInArrow" in plan and "Join" not in plan
 
 
+def test_packed_products(monkeypatch):
+    """Products of packed tiles: dense and listed, signed and cancelling, beyond singles and doubles, fractions, tiles without positions."""
+    rng = np.random.default_rng(5)
+    x, y = (rng.integers(1, 9, shape) * (rng.random(shape) < 0.4) for shape in ((40, 24), (24, 32)))
+    signed = x * rng.choice([-1, 1], x.shape)
+    signed[3, :], y[:2, 7] = 0, (2, 2)
+    signed[3, :2] = 3, -3
+
+    def tiles(m, dense):
+        out = {}
+        for ti, tj in np.ndindex(m.shape[0] // 8, m.shape[1] // 8):
+            part = m[ti * 8 : ti * 8 + 8, tj * 8 : tj * 8 + 8].ravel()
+            at = np.flatnonzero(part).astype(np.uint32)
+            if len(at) and (ti, tj) != (1, 1):
+                out.setdefault(ti, {})[tj] = (None, part) if dense else (at, part[at])
+        return out
+
+    monkeypatch.setattr(kernels, "TILE", 8)
+    x[8:16, 8:16], signed[8:16, 8:16], y[8:16, 8:16] = 0, 0, 0
+    large = np.where(x > 0, x + (1 << 22), 0)
+    for least in (1, 1 << 20):
+        monkeypatch.setattr(kernels, "DENSE_PRODUCTS", least)
+        for left, dense in ((x, False), (x, True), (signed, False), (large, True), (large << 26, False), (x * 0.5, False)):
+            got, present = np.zeros((40, 32), left.dtype), np.zeros((40, 32), bool)
+            for ti, tj, at, v in kernels.packed_products(tiles(left, dense), tiles(y.astype(left.dtype), dense), Semiring.plus_times(), left.dtype.name):
+                i, j, v = kernels._tile_entries((at, v), ti, tj, left.dtype)
+                assert not present[i, j].any()
+                present[i, j], got[i, j] = True, v
+            assert (got == left @ y).all() and (present == ((left != 0).astype(int) @ (y != 0).astype(int) > 0)).all()
+
+
+def test_power_writes_no_rows_of_intermediates(spark, monkeypatch):
+    """Several tiles and cells, sparse and dense; what is written between the steps is packed by tile."""
+    written = []
+    monkeypatch.setattr(product, "settle", lambda df, *a, f=product.settle, **o: written.append(df.columns) or f(df, *a, **o))
+    monkeypatch.setattr(product, "TILED_ENTRIES", 4000)
+    for size, density, exponent in ((1300, 0.004, 4), (600, 0.2, 3)):
+        a, x = random_matrix(spark, size, size, density, 9)
+        made = product.power(a, exponent, strategy="grid", kernel="tiled")
+        want = np.linalg.matrix_power(x, exponent)
+        rows = made.df.toPandas()
+        assert len(rows) == (want > 0).sum() and (want[rows["i"], rows["j"]] == rows["v"]).all() and made.df.dtypes == [("i", "bigint"), ("j", "bigint"), ("v", "bigint")]
+    assert written and all("ti" in columns for columns in written)
+    none = a.with_df(a.df.limit(0))
+    assert product.power(none, 3, kernel="tiled").df.count() == 0
+
+
 def test_grammar_reach_doubles_and_falls_back(spark):
     """A long cycle takes few rounds; dense steps and grammars of other forms go round by round, all to the same closure."""
     def closure(pairs):
