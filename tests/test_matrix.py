@@ -380,6 +380,25 @@ def test_third_power_lists_no_products(spark):
     assert "FlatMapGroupsInArrow" in plan and "Join" not in plan
 
 
+def test_tiled_grid_moves_packed_blocks(spark, monkeypatch):
+    """Copies along the grid are rows of a packed block each, not rows of entries; any grid, whole numbers and fractions, other semirings."""
+    monkeypatch.setattr(product, "TILED_ENTRIES", 200)
+    (a, x), (b, y) = random_matrix(spark, 60, 30, 0.5, 5), random_matrix(spark, 30, 50, 0.5, 6)
+    a, x = a.apply(lambda v: F.when(F.col("i") % 2 == 0, -v).otherwise(v)), x * np.where(np.arange(60) % 2 == 0, -1, 1)[:, None]
+    for grid in (Grid(2, 2), Grid(2, 3, inner=2, layout="hash")):
+        made = a.multiply(b, strategy="grid", grid=grid, kernel="tiled")
+        plan = made.df._jdf.queryExecution().optimizedPlan().toString()
+        copied = plan[plan.index("Generate explode") :]
+        assert plan.count("FlatMapGroupsInArrow") == 3 and copied.count("FlatMapGroupsInArrow") == 2
+        rows = made.df.collect()
+        assert len(rows) == ((x != 0).astype(int) @ (y != 0).astype(int) > 0).sum() and all((x @ y)[r["i"], r["j"]] == r["v"] for r in rows)
+    half = a.apply(lambda v: v / 2)
+    assert (to_dense(half.multiply(b.cast("double"), strategy="grid", kernel="tiled")) == x / 2 @ y).all()
+    ring = Semiring.min_plus()
+    assert set(a.multiply(b, semiring=ring, strategy="grid", kernel="tiled").df.collect()) == set(a.multiply(b, semiring=ring).df.collect())
+    assert a.with_df(a.df.limit(0)).multiply(b, strategy="grid", kernel="tiled").df.count() == 0
+
+
 def test_packed_products(monkeypatch):
     """Products of packed tiles: dense and listed, signed and cancelling, beyond singles and doubles, fractions, tiles without positions."""
     rng = np.random.default_rng(5)
