@@ -399,6 +399,23 @@ def test_tiled_grid_moves_packed_blocks(spark, monkeypatch):
     assert a.with_df(a.df.limit(0)).multiply(b, strategy="grid", kernel="tiled").df.count() == 0
 
 
+def test_products_are_summed_by_one_key(monkeypatch):
+    """Sums of equal positions take one sort of a joint key; positions too far apart for one keep two keys."""
+    rng = np.random.default_rng(2)
+    i, j = (rng.integers(3, 9, 500) for _ in range(2))
+    lexsort, calls = np.lexsort, []
+    monkeypatch.setattr(np, "lexsort", lambda *a: calls.append(1) or lexsort(*a))
+    for far in (1, 1 << 40):
+        for v in (rng.integers(-5, 5, 500), rng.random(500), rng.random(500) < 0.5):
+            add = np.logical_or if v.dtype == bool else np.add
+            x, y, w = kernels._reduce(add, i * far, j * far, v)
+            want = {}
+            for a, b, c in zip(i * far, j * far, v, strict=True):
+                want[b, a] = add(want[b, a], c) if (b, a) in want else c
+            assert list(zip(y, x)) == sorted(want) and w.tolist() == pytest.approx([want[k] for k in sorted(want)])
+        assert len(calls) == (0 if far == 1 else 3)
+
+
 def test_packed_products(monkeypatch):
     """Products of packed tiles: dense and listed, signed and cancelling, beyond singles and doubles, fractions, tiles without positions."""
     rng = np.random.default_rng(5)
